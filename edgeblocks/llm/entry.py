@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import mixing, secrets
+from . import mixing, secrets, simhash
 
 QUERIES = {
     "op3_mixing": mixing.op3_mixing,
+    "op4_simhash": simhash.op4_simhash,
     "op8_secrets": secrets.op8_secrets,
 }
 

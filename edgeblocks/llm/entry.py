@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import mixing, secrets, simhash
+from . import bpe, mixing, secrets, simhash
 
 QUERIES = {
     "op3_mixing": mixing.op3_mixing,
     "op4_simhash": simhash.op4_simhash,
     "op8_secrets": secrets.op8_secrets,
+    "op10_bpe": bpe.op10_bpe,
 }
 
 ORACLES = {"op3_mixing": mixing.SQL}

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import bpe, mixing, secrets, simhash
+from . import bpe, mixing, secrets, simhash, warc
 
 QUERIES = {
+    "op1_warc": warc.op1_warc,
     "op3_mixing": mixing.op3_mixing,
     "op4_simhash": simhash.op4_simhash,
     "op8_secrets": secrets.op8_secrets,
     "op10_bpe": bpe.op10_bpe,
 }
 
-ORACLES = {"op3_mixing": mixing.SQL}
+ORACLES = {"op1_warc": warc.SQL, "op3_mixing": mixing.SQL}

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import bpe, mixing, secrets, simhash, warc
+from . import ann, bpe, mixing, secrets, simhash, warc
 
 QUERIES = {
     "op1_warc": warc.op1_warc,
+    "op2_nearest": ann.op2_nearest,
     "op3_mixing": mixing.op3_mixing,
     "op4_simhash": simhash.op4_simhash,
     "op8_secrets": secrets.op8_secrets,

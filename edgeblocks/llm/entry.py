@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import ann, bpe, mixing, secrets, simhash, warc
+from . import ann, bpe, langid, mixing, secrets, simhash, warc
 
 QUERIES = {
     "op1_warc": warc.op1_warc,
     "op2_nearest": ann.op2_nearest,
     "op3_mixing": mixing.op3_mixing,
     "op4_simhash": simhash.op4_simhash,
+    "op5_langid": langid.op5_langid,
     "op8_secrets": secrets.op8_secrets,
     "op10_bpe": bpe.op10_bpe,
 }

@@ -27,8 +27,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..storage import materialise
+
 #: Words of the lexicon, and words that a worker remembers beside it before it starts anew.
-LEXICON, REMEMBERED = 50_000, 200_000
+LEXICON, REMEMBERED = 50_000, 500_000
 #: Texts below this code point are cut into words here.
 RANGE = "԰"
 #: Fixed value: the tokenizer's word pattern, with its white space spelt out up to RANGE.
@@ -267,10 +269,21 @@ def by_size(batch: pa.RecordBatch, most: int = 1 << 20) -> Iterator[pa.RecordBat
 
 
 def frequent_words(docs: DataFrame, n: int = LEXICON) -> list[str]:
-    """The n most frequent letter words over all documents, ties by code point. The driver receives n words."""
+    """The most frequent letter words over all documents, n at most.
+
+    A histogram of counts in steps of a sixteenth of a power of two says from which count on there are n words at most; the
+    driver receives that histogram (some thousand rows) and those words.
+    """
     words = docs.select(F.explode(F.split(F.lower(F.col("text")), r"[^\p{L}]+")).alias("word")).where("word <> ''")
-    top = words.groupBy("word").agg(F.count(F.lit(1)).alias("n")).where("n > 1 and length(word) <= 64")
-    return [r.word for r in top.orderBy(F.desc("n"), "word").limit(n).collect()]
+    counts = words.groupBy("word").agg(F.count(F.lit(1)).alias("n")).where("n > 1 and length(word) <= 64")
+    counts = materialise(counts.select("word", F.floor(F.log2("n") * 16).cast("int").alias("step")), "word-counts")
+    least, total = None, 0
+    for r in sorted(counts.groupBy("step").count().collect(), key=lambda r: -r["step"]):
+        total += r["count"]
+        if total > n:
+            break
+        least = r["step"]
+    return [] if least is None else [r.word for r in counts.where(F.col("step") >= least).select("word").collect()]
 
 
 def compile_lexicon(words: Iterable[str], spec_json: str) -> bytes:

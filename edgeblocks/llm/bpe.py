@@ -248,7 +248,7 @@ class Encoder:
         parts = [[(x, None if x in self.special else self.pieces(x)) for x in (self.cut(t) if "<|" in t else [t]) if x] for t in (t or "" for t in texts)]
         self.learn({w for t in parts for _, words in t if words for w in words})
         ids = lambda x, words: [self.special[x].to_bytes(4, "little")] if words is None else map(self.known.__getitem__, words)
-        return [b"".join(b for x, words in t for b in ids(x, words)) for t in parts]
+        return [b"".join(b"".join(ids(x, words)) for x, words in t) for t in parts]
 
     def encode(self, text: str | None) -> bytes:
         return self.encode_all([text])[0]
@@ -307,7 +307,7 @@ def tokenizer_json(path: str | None = None) -> str:
 
 
 def encode(docs: DataFrame, path: str | None = None, lexicon_words: int = LEXICON, keep_ids: bool = False) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256, and with keep_ids also ids array<int> and decoded."""
+    """doc_id, n_tokens, ids_sha256, decoded_sha256, and with keep_ids also ids array<int>."""
     spark, spec = docs.sparkSession, tokenizer_json(path)
     lexicon = compile_lexicon(frequent_words(docs, lexicon_words), spec)
     shared = spark.sparkContext.broadcast((spec, lexicon))  # a few MB: the tokenizer file and lexicon_words words
@@ -317,7 +317,7 @@ def encode(docs: DataFrame, path: str | None = None, lexicon_words: int = LEXICO
         enc = Encoder(*shared.value)
         for b in it:
             for part in by_size(b):
-                n, sha, dec, ids, texts = [], [], [], [], []
+                n, sha, dec, ids = [], [], [], []
                 for raw in enc.encode_all(part.column("text").to_pylist()):
                     text = enc.decode(raw)
                     n.append(len(raw) // 4)
@@ -325,14 +325,13 @@ def encode(docs: DataFrame, path: str | None = None, lexicon_words: int = LEXICO
                     dec.append(hashlib.sha256(text.encode()).hexdigest())
                     if keep_ids:
                         ids.append(np.frombuffer(raw, "<u4").astype(np.int32))
-                        texts.append(text)
                 cols = [part.column("doc_id"), pa.array(n, pa.int64()), pa.array(sha, pa.string()), pa.array(dec, pa.string())]
                 names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
                 if keep_ids:
-                    cols, names = [*cols, pa.array(ids, pa.list_(pa.int32())), pa.array(texts, pa.string())], [*names, "ids", "decoded"]
+                    cols, names = [*cols, pa.array(ids, pa.list_(pa.int32()))], [*names, "ids"]
                 yield pa.RecordBatch.from_arrays(cols, names=names)
 
-    schema = f"doc_id {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string" + ", ids array<int>, decoded string" * keep_ids
+    schema = f"doc_id {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * keep_ids
     return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(batches, schema)
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import ann, bm25, bpe, langid, mixing, secrets, simhash, toxicity, warc
+from . import ann, bm25, bpe, langid, licenses, mixing, secrets, simhash, toxicity, warc
 
 QUERIES = {
     "op1_warc": warc.op1_warc,
@@ -13,6 +13,7 @@ QUERIES = {
     "op6_toxicity": toxicity.op6_toxicity,
     "op7_search": bm25.op7_search,
     "op8_secrets": secrets.op8_secrets,
+    "op9_licenses": licenses.op9_licenses,
     "op10_bpe": bpe.op10_bpe,
 }
 

@@ -28,5 +28,5 @@ def cells(memory: DataFrame) -> DataFrame:
 
 def block_bitmap(assign: DataFrame) -> DataFrame:
     """(v, bucket, bits): blocks of a vertex as bitmaps, for many blocks; they merge with bitmap_or_agg."""
-    ends = assign.select(F.explode(F.array("u", "v")).alias("v"), F.col("block").cast("long").alias("block"))
+    ends = assign.select(F.explode(F.array("u", "v")).alias("v"), (F.col("block").cast("long") + 1).alias("block"))  # bit positions count from 1
     return ends.groupBy("v", F.bitmap_bucket_number("block").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("block")).alias("bits"))

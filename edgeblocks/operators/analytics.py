@@ -22,7 +22,8 @@ def mirrors(assign: DataFrame) -> DataFrame:
 
 def components(assign: DataFrame) -> DataFrame:
     """(v, component). Stars are found in each block first; only their edges, one for each copy, meet across blocks."""
-    inside = assign.groupBy("block", F.explode(F.array("u", "v")).alias("v")).agg(F.min(F.least("u", "v")).alias("near"))
+    ends = assign.select("block", F.least("u", "v").alias("least"), F.explode(F.array("u", "v")).alias("x"))
+    inside = ends.groupBy("block", F.col("x").alias("v")).agg(F.min("least").alias("near"))
     hooks = inside.select(F.col("v").alias("a"), F.col("near").alias("b"))
     rest = assign.select(F.col("u").alias("a"), F.col("v").alias("b"))
     found = connected_components(hooks.unionByName(rest))

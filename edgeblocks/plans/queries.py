@@ -314,15 +314,17 @@ def _published(s: SparkSession) -> DataFrame:
     return s.createDataFrame(published.rows(), "alg string, graph string, k int, rf double, seconds double, gb double")
 
 
-_PUB = "WITH r(alg, graph, k, rf, seconds, gb) AS (VALUES " + ", ".join(repr(x) for x in published.rows()) + ")"
+_PUB = "WITH r0(alg, graph, k, rf, seconds, gb) AS (VALUES " + ", ".join(repr(x) for x in published.rows()) + "), r AS (SELECT alg, graph, k::INT AS k, rf::DOUBLE AS rf, seconds::DOUBLE AS seconds, gb::DOUBLE AS gb FROM r0)"
 _TAUS = [1.0, 1.1, 1.5, 2.0, 5.0, 10.0]
-add(
-    "performance_profile_published", lambda s, d: profiles.performance_profile(_published(s), "rf", _TAUS),
-    _PUB + f""", i AS (SELECT DISTINCT graph, k FROM r), a AS (SELECT DISTINCT alg FROM r), f AS (SELECT a.alg, i.graph, i.k, r.rf FROM a CROSS JOIN i LEFT JOIN r USING (alg, graph, k)),
-q AS (SELECT alg, rf / min(rf) OVER (PARTITION BY graph, k) AS ratio FROM f) SELECT alg, tau::DOUBLE AS tau, round(avg(CASE WHEN ratio <= tau THEN 1 ELSE 0 END), 6) AS share FROM q, (SELECT unnest({_TAUS}) AS tau) GROUP BY alg, tau""",
-    None,
-)
-add("performance_profile_large_k", lambda s, d: profiles.performance_profile(_published(s), "seconds", _TAUS, 512), ORACLES["performance_profile_published"].replace("i AS (SELECT DISTINCT graph, k FROM r)", "i AS (SELECT DISTINCT graph, k FROM r WHERE k >= 512)").replace("rf", "seconds").replace("alg, graph, k, seconds, seconds, gb", "alg, graph, k, rf, seconds, gb"), None)
+
+
+def _profile_sql(measure: str, where: str = "") -> str:
+    return _PUB + f""", i AS (SELECT DISTINCT graph, k FROM r {where}), a AS (SELECT DISTINCT alg FROM r {where}), f AS (SELECT a.alg, i.graph, i.k, r.{measure} AS x FROM a CROSS JOIN i LEFT JOIN r USING (alg, graph, k)),
+q AS (SELECT alg, x / min(x) OVER (PARTITION BY graph, k) AS ratio FROM f) SELECT alg, tau::DOUBLE AS tau, round(avg(CASE WHEN ratio <= tau THEN 1 ELSE 0 END), 6) AS share FROM q, (SELECT unnest({_TAUS}) AS tau) GROUP BY alg, tau"""
+
+
+add("performance_profile_published", lambda s, d: profiles.performance_profile(_published(s), "rf", _TAUS), _profile_sql("rf"), None)
+add("performance_profile_large_k", lambda s, d: profiles.performance_profile(_published(s), "seconds", _TAUS, 512), _profile_sql("seconds", "WHERE k >= 512"), None)
 add("improvement_published", lambda s, d: profiles.mean_improvement(_published(s), "buffered_32x", "two_phase_hdrf", "rf"), _PUB + " SELECT count(*) AS instances, round((exp(avg(ln(b.rf))) / exp(avg(ln(a.rf))) - 1) * 100, 6) AS improvement, round(avg(CASE WHEN a.rf < b.rf THEN 1.0 ELSE 0.0 END), 6) AS win_rate FROM r a JOIN r b USING (graph, k) WHERE a.alg = 'buffered_32x' AND b.alg = 'two_phase_hdrf'", None)
 add("rollup_published", lambda s, d: profiles.rolled(_published(s), "rf"), _PUB + " SELECT alg, k, count(*) AS runs, round(exp(avg(ln(rf))), 6) AS mean FROM r GROUP BY ROLLUP (alg, k)", None)
 add("pivot_published", lambda s, d: profiles.pivoted(_published(s), "rf", published.METHODS), _PUB + " SELECT graph, k, " + ", ".join(f"max(rf) FILTER (alg = '{m}') AS {m}" for m in published.METHODS) + " FROM r GROUP BY graph, k", None)

@@ -155,9 +155,11 @@ def fit(docs: DataFrame, labels: DataFrame, chain: list[tuple[str, str]] = CHAIN
 
     rows = picked.mapInArrow(read, f"doc_id {kind}, {', '.join(f'{n} int' for n in names)}, ids array<int>, dense array<double>").dropDuplicates(["doc_id"]).toArrow()
     order = np.argsort(rows.column("doc_id").to_numpy(), kind="stable")
-    ids, dense = (rows.column(c).to_pylist() for c in ("ids", "dense"))
+    rows = rows.combine_chunks()
+    flat = lambda c: rows.column(c).combine_chunks() if rows.num_rows else None
+    ids, dense = ([], []) if not rows.num_rows else (np.split(flat("ids").flatten().to_numpy(), np.cumsum(flat("ids").value_lengths().to_numpy())[:-1]), flat("dense").flatten().to_numpy().reshape(-1, MEASURES))
     table = np.stack([rows.column(n).to_numpy() for n in names], axis=1)[order] if rows.num_rows else np.zeros((0, len(names)))
-    return fit_chain([np.array(ids[i], np.int32) for i in order], np.array([dense[i] for i in order]).reshape(len(order), MEASURES), table, names, shares)
+    return fit_chain([ids[i] for i in order], np.array([dense[i] for i in order]).reshape(len(order), MEASURES), table, names, shares)
 
 
 def predict(docs: DataFrame, chain: Chain, keep: bool = False) -> DataFrame:

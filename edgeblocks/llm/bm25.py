@@ -5,9 +5,10 @@ and their mean length are taken over all documents, so scores do not depend on t
 shards of at most SHARD; a shard has posting lists, the maximum of each list, and the maximum of each list in each block of
 BLOCK documents. For a query the lists are ordered by their maxima; the weakest ones whose maxima together stay below the
 k-th best score so far can't lift a document into the result alone (the pivot test). Only the other lists are walked; a
-document goes on if its sum so far and the block maxima of the weak lists reach the k-th best score, and is then scored
-in full from its forward list. The k-th best score carries over from shard to shard of a task. Whole blocks of postings are
-handled at a time, which changes the order of the tests but not their outcome.
+document goes on if its sum so far and the block maxima of the weak lists reach the k-th best score. Those that go on
+are scored in full, from their forward lists if they are few. The k-th best score carries over from shard to shard of a task.
+Whole lists are handled at a time, which changes the order of the tests but not their outcome. A query is the set of its
+different terms: how often it repeats one has no weight.
 
 Defined cases: null text and text without terms match nothing and ask nothing; a query matches its own document too; ties go to
 the smaller id; documents of null id take no part; documents that share no term with a query are not returned, so fewer than
@@ -71,10 +72,10 @@ def _spread(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
 
 
 class Queries:
-    """A pack of queries: their terms as numbers in one sorted vocabulary, with weights count x idf."""
+    """A pack of queries: their different terms as numbers in one sorted vocabulary, weighted by idf."""
 
-    def __init__(self, ids: np.ndarray, flat: np.ndarray, counts: np.ndarray, lengths: np.ndarray):
-        self.ids, self.lengths, self.counts = ids, lengths, counts
+    def __init__(self, ids: np.ndarray, flat: np.ndarray, lengths: np.ndarray):
+        self.ids = ids
         self.vocabulary, self.terms = np.unique(flat, return_inverse=True)
         self.ends = np.concatenate([[0], np.cumsum(lengths)])
         self.idf, self.mean = np.zeros(len(self.vocabulary)), 1.0
@@ -89,7 +90,7 @@ class Queries:
 
     def of(self, i: int) -> tuple[np.ndarray, np.ndarray]:
         own = slice(self.ends[i], self.ends[i + 1])
-        return self.terms[own], self.counts[own] * self.idf[self.terms[own]]
+        return self.terms[own], self.idf[self.terms[own]]
 
 
 class Shard:
@@ -122,11 +123,15 @@ class Shard:
         return np.bincount(np.repeat(np.arange(len(docs)), lengths), weights=self.doc_gains[at] * self.weights[self.doc_terms[at]], minlength=len(docs))
 
     def _walk(self, lists: np.ndarray, weights: np.ndarray) -> np.ndarray:
-        at = _spread(self.starts[lists], self.sizes[lists])
-        return np.bincount(self.docs[at], weights=self.gains[at] * np.repeat(weights, self.sizes[lists]), minlength=len(self.ids))
+        """Sum over lists of weight x gain for every document of the shard."""
+        sizes = self.sizes[lists]
+        spans = list(zip(self.starts[lists].tolist(), (self.starts[lists] + sizes).tolist()))
+        gains = np.concatenate([self.gains[a:b] for a, b in spans])
+        gains *= np.repeat(weights, sizes)
+        return np.bincount(np.concatenate([self.docs[a:b] for a, b in spans]), weights=gains, minlength=len(self.ids))
 
     def best(self, terms: np.ndarray, weights: np.ndarray, k: int, floor: float) -> tuple[np.ndarray, np.ndarray]:
-        """Positions and scores of all documents that may be among the k best, given the k-th best score so far."""
+        """Positions and scores of all documents that may be among the k best, given the k-th best score so far (0: none yet)."""
         at = np.searchsorted(self.terms, terms)
         here = at < len(self.terms)
         here[here] = self.terms[at[here]] == terms[here]
@@ -134,32 +139,28 @@ class Shard:
         if not len(lists):
             return np.zeros(0, np.int64), np.zeros(0)
         self.weights[terms] = weights
-        order = np.argsort(-(w * self.tops[lists]), kind="stable")
-        lists, w = lists[order], w[order]
         tops = w * self.tops[lists]
-        # a first floor from the strongest lists: the k-th full score of their best documents
-        few = max(1, int(np.searchsorted(np.cumsum(self.sizes[lists]), 2 * len(self.ids))))
-        sums = self._walk(lists[:few], w[:few])
-        some = np.argpartition(-sums, min(4 * k, len(sums) - 1))[: 4 * k]
-        some = some[sums[some] > 0]
-        if len(some) >= k:
-            floor = max(floor, float(np.partition(self.full(some), len(some) - k)[len(some) - k]))
-        low = floor - 1e-9 * max(1.0, abs(floor))
+        order = np.argsort(-tops, kind="stable")
+        lists, w, tops = lists[order], w[order], tops[order]
+        low = floor - 1e-9 * max(1.0, floor)
         # pivot: the weak lists' maxima together stay below the floor
-        weak = np.cumsum(tops[::-1])[::-1] < low
-        strong = int(len(tops) - weak.sum())
-        if strong > few:
-            sums += self._walk(lists[few:strong], w[few:strong])
-        walked = max(strong, few)
+        strong = len(tops) - int((np.cumsum(tops[::-1]) < low).sum())
+        sums = self._walk(lists[:strong], w[:strong]) if strong else np.zeros(len(self.ids))
         alive = np.flatnonzero(sums > 0)
-        if walked < len(lists):
-            rest, rw = lists[walked:], w[walked:]
+        if strong < len(lists) and len(alive):
+            rest, rw = lists[strong:], w[strong:]
             at = _spread(self.block_starts[rest], self.block_sizes[rest])
             bound = np.bincount(self.block_of[at], weights=self.block_top[at] * np.repeat(rw, self.block_sizes[rest]), minlength=len(self.ids) // BLOCK + 1)
             alive = alive[sums[alive] + bound[alive // BLOCK] >= low]
-        else:
+            if len(alive) > 4 * k:  # many are left: adding the weak lists costs less than their forward lists
+                sums += self._walk(rest, rw)
+                strong = len(lists)
+        if strong == len(lists):
             alive = alive[sums[alive] >= low]
-        scores = self.full(alive)
+            if len(alive) > k:
+                edge = np.partition(sums[alive], len(alive) - k)[len(alive) - k]
+                alive = alive[sums[alive] >= edge - 1e-9 * max(1.0, edge)]
+        scores = self.full(alive)  # in one order of terms, so that equal documents score alike in every shard
         self.weights[terms] = 0
         return alive, scores
 
@@ -224,11 +225,11 @@ def search(docs: DataFrame, is_query, k: int = 10, pack: int = PACK, shard: int
     packs = max(1, -(-asked // max(1, pack // 2)))
     found = []
     for p in range(packs if words else 0):
-        rows = index.where(is_query & (F.pmod(F.xxhash64("doc_id"), F.lit(packs)) == p)).select("doc_id", "terms", "counts").toArrow().combine_chunks()
+        rows = index.where(is_query & (F.pmod(F.xxhash64("doc_id"), F.lit(packs)) == p)).select("doc_id", "terms").toArrow().combine_chunks()
         if not rows.num_rows:
             continue
         flat, lengths = _lists(rows.column("terms").combine_chunks())
-        queries = Queries(rows.column("doc_id").to_numpy(), flat, _lists(rows.column("counts").combine_chunks())[0], lengths)
+        queries = Queries(rows.column("doc_id").to_numpy(), flat, lengths)
         queries.weigh(_matched(index, spark.sparkContext.broadcast(queries)), n, words / n)
         found.append(index.mapInArrow(_searcher(spark.sparkContext.broadcast(queries), k, shard), "query_id bigint, doc_id bigint, score double"))
     if not found:

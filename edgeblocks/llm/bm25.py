@@ -30,7 +30,7 @@ from .bpe import by_size
 
 K1, B = 1.2, 0.75
 #: Documents in a shard and in a block, and queries in a broadcast.
-SHARD, BLOCK, PACK = 16384, 64, 4096
+SHARD, BLOCK, PACK = 4096, 64, 4096
 _PLAIN = bytes(32 if i < 48 or 57 < i < 65 or 90 < i < 97 or 122 < i < 128 else i for i in range(256))
 
 

@@ -13,8 +13,8 @@ import numpy as np
 
 from .fennel import GAMMA, place_items
 
-#: Rounds of clustering and of refinement, and the bounds of the coarsest level.
-CLUSTER_ROUNDS, REFINE_ROUNDS, COARSEST_FACTOR, COARSEST_MOST, SHRINK = 5, 5, 4, 20_000, 0.95
+#: Rounds of clustering and of refinement, bounds of the coarsest level, least shrinking, and which part of a block a cluster may fill.
+CLUSTER_ROUNDS, REFINE_ROUNDS, COARSEST_FACTOR, COARSEST_MOST, SHRINK, CAP_SHARE = 5, 20, 4, 20_000, 0.95, 2
 
 
 @dataclass
@@ -178,10 +178,10 @@ class Cut:
 def cut(level: Level, loads: np.ndarray, limits: np.ndarray, alpha: float, l_max: int, gamma: float = GAMMA, strategy: str = "two_set", cluster_rounds: int = CLUSTER_ROUNDS, refine_rounds: int = REFINE_ROUNDS, seed: int = 0) -> Cut:
     """Blocks of a batch's items; loads (with earlier batches) are raised in place.
 
-    Clusters weigh at most an eighth of the largest block; one for which no block has room is placed in parts on the next finer
+    Clusters weigh at most a CAP_SHARE-th of the largest block; one for which no block has room is placed in parts on the next finer
     level, down to single edges, which always fit.
     """
-    levels, maps = coarsen(level, len(loads), max(1, l_max // 8), cluster_rounds, seed)
+    levels, maps = coarsen(level, len(loads), max(1, l_max // CAP_SHARE), cluster_rounds, seed)
     blocks = np.full(levels[-1].size, -1, np.int64)
     scores = place(levels[-1], blocks, loads, limits, alpha, gamma, strategy)
     moves = 0

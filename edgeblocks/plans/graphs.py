@@ -10,7 +10,6 @@ from pyspark.sql import functions as F
 from ..operators.canonical import Graph, build, dense_ids
 from ..sources.tables import table
 
-_NULL = F.lit(None)
 
 
 def _pairs(df: DataFrame, a_kind: int, a, b_kind: int, b) -> DataFrame:
@@ -19,7 +18,7 @@ def _pairs(df: DataFrame, a_kind: int, a, b_kind: int, b) -> DataFrame:
     def end(s: str, kind: int, col) -> list:
         kind_of = dict(df.select(col.alias("x")).dtypes)["x"]
         text = kind_of == "string"
-        return [F.lit(kind).alias(f"{s}_kind"), (_NULL.cast("long") if text else col.cast("long")).alias(f"{s}_num"), (col if text else _NULL.cast("string")).alias(f"{s}_str")]
+        return [F.lit(kind).alias(f"{s}_kind"), (F.lit(None).cast("long") if text else col.cast("long")).alias(f"{s}_num"), (col if text else F.lit(None).cast("string")).alias(f"{s}_str")]
 
     return df.select(*end("a", a_kind, a), *end("b", b_kind, b))
 

@@ -30,7 +30,7 @@ from .bpe import by_size
 
 K1, B = 1.2, 0.75
 #: Documents in a shard and in a block, and queries in a broadcast.
-SHARD, BLOCK, PACK = 4096, 64, 4096
+SHARD, BLOCK, PACK = 8192, 64, 8192
 _PLAIN = bytes(32 if i < 48 or 57 < i < 65 or 90 < i < 97 or 122 < i < 128 else i for i in range(256))
 
 
@@ -99,13 +99,16 @@ class Shard:
     def __init__(self, queries: Queries, ids: np.ndarray, flat: np.ndarray, counts: np.ndarray, lengths: np.ndarray, sizes: np.ndarray):
         self.ids, n = ids, len(ids)
         at, known = queries.number(flat)
-        doc = np.repeat(np.arange(n), lengths)[known]
-        term, tf = at[known], counts[known].astype(np.float64)
+        doc = np.repeat(np.arange(n, dtype=np.int32), lengths)[known]
+        term, tf = at[known].astype(np.int32), counts[known].astype(np.float64)
+        del at, known
         gain = tf * (K1 + 1) / (tf + K1 * (1 - B + B * sizes[doc] / queries.mean))
+        del tf
         self.doc_terms, self.doc_gains = term, gain
         self.doc_ends = np.concatenate([[0], np.cumsum(np.bincount(doc, minlength=n))])
-        order = np.lexsort((doc, term))
-        self.docs, self.gains, term = doc[order], gain[order], term[order]
+        order = np.argsort(term, kind="stable")  # documents are in order already
+        self.docs, self.gains, term = doc[order].astype(np.intp), gain[order], term[order]
+        del order, doc
         self.terms, self.starts = np.unique(term, return_index=True)
         self.sizes = np.diff(np.append(self.starts, len(term)))
         self.tops = np.maximum.reduceat(self.gains, self.starts) if len(term) else np.zeros(0)

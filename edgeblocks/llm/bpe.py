@@ -36,6 +36,10 @@ RANGE = "԰"
 #: Fixed value: the tokenizer's word pattern, with its white space spelt out up to RANGE.
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\t-\r \x85\xA0\p{L}\p{N}]+"
 
+#: The same for texts in the first 256 code points, with their letters and numbers spelt out.
+_LETTERS, _NUMBERS = "a-zA-Zªµº\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9²³¹¼½¾"
+LATIN_WORDS = re.compile(f"[{_LETTERS}]+|'(?:s|t|re|ve|m|ll|d)|[{_NUMBERS}]|[^\\t-\\r \\x85\\xA0{_LETTERS}{_NUMBERS}]+").findall
+
 
 def byte_letters() -> list[str]:
     """The printable letter that stands for each byte in a byte-level vocabulary."""
@@ -137,6 +141,11 @@ def unpack(data) -> list[np.ndarray]:
     return out
 
 
+#: Layout of a merge: rank above _BITS bits of id; _NONE sorts after all of them.
+_BITS = 24
+_ID, _NONE = (1 << _BITS) - 1, 1 << 62
+
+
 class Merger:
     """Exact byte-pair merges of single words by the ranks of a tokenizer file."""
 
@@ -145,8 +154,8 @@ class Merger:
         self.vocab: dict[str, int] = model["vocab"]
         self.suffix = model.get("end_of_word_suffix") or ""
         merges = [m.split(" ") if isinstance(m, str) else m for m in model["merges"]]
-        #: pair of ids to rank and id of what they become
-        self.ranks = {(self.vocab[a], self.vocab[b]): (i, self.vocab[a + b]) for i, (a, b) in enumerate(merges)}
+        #: pair of ids to rank and the id of what they become, in one number that sorts by rank
+        self.ranks = {(self.vocab[a], self.vocab[b]): i << _BITS | self.vocab[a + b] for i, (a, b) in enumerate(merges)}
         letters = byte_letters()
         self.inner = [self.vocab[x] for x in letters]
         self.ending = [self.vocab[x + self.suffix] for x in letters]
@@ -157,39 +166,39 @@ class Merger:
         ids = [self.inner[b] for b in word[:-1]] + [self.ending[word[-1]]]
         if len(ids) > 64:
             return self._merge_long(ids)
-        get, none = self.ranks.get, (1 << 60, -1)
-        pairs = [get(p, none) for p in zip(ids, ids[1:])]
+        get = self.ranks.get
+        pairs = [get(p, _NONE) for p in zip(ids, ids[1:])]
         while pairs:
             best = min(pairs)
-            if best[1] < 0:
+            if best == _NONE:
                 break
             i = pairs.index(best)
-            ids[i : i + 2] = [best[1]]
-            del pairs[i]
+            ids[i] = new = best & _ID
+            del ids[i + 1], pairs[i]
             if i < len(pairs):
-                pairs[i] = get((ids[i], ids[i + 1]), none)
+                pairs[i] = get((new, ids[i + 1]), _NONE)
             if i:
-                pairs[i - 1] = get((ids[i - 1], ids[i]), none)
+                pairs[i - 1] = get((ids[i - 1], new), _NONE)
         return ids
 
     def _merge_long(self, ids: list[int]) -> list[int]:
         """The same order of merges with a heap over a linked list."""
         n = len(ids)
         after, before = [*range(1, n + 1)], [*range(-1, n - 1)]
-        heap = [(*r, i, ids[i], ids[i + 1]) for i in range(n - 1) if (r := self.ranks.get((ids[i], ids[i + 1])))]
+        heap = [(r, i, ids[i], ids[i + 1]) for i in range(n - 1) if (r := self.ranks.get((ids[i], ids[i + 1]))) is not None]
         heapq.heapify(heap)
         while heap:
-            _, new, i, a, b = heapq.heappop(heap)
+            rank, i, a, b = heapq.heappop(heap)
             j = after[i] if ids[i] == a else n
             if j >= n or ids[j] != b:
                 continue
-            ids[i], ids[j], after[i] = new, -1, after[j]
+            ids[i], ids[j], after[i] = rank & _ID, -1, after[j]
             if after[j] < n:
                 before[after[j]] = i
             for left in (before[i], i):
                 right = after[left] if left >= 0 else n
-                if right < n and (r := self.ranks.get((ids[left], ids[right]))):
-                    heapq.heappush(heap, (*r, left, ids[left], ids[right]))
+                if right < n and (r := self.ranks.get((ids[left], ids[right]))) is not None:
+                    heapq.heappush(heap, (r, left, ids[left], ids[right]))
         return [x for x in ids if x >= 0]
 
 
@@ -221,10 +230,13 @@ class Encoder:
 
     def pieces(self, text: str) -> list[str]:
         """Words of a text without special strings, after NFC and lower case."""
-        if text.isascii() or max(text) < RANGE:
-            text = text if text.isascii() else unicodedata.normalize("NFC", text)
-            if text.isascii() or max(text) < RANGE:
-                return self.words(text.replace("Σ", "σ").lower())
+        try:
+            text.encode("latin-1")  # such text is in NFC already
+            return LATIN_WORDS(text.lower())
+        except UnicodeEncodeError:
+            pass
+        if max(text) < RANGE and max(text := unicodedata.normalize("NFC", text)) < RANGE:
+            return self.words(text.replace("Σ", "σ").lower())
         back = {c: b for b, c in enumerate(byte_letters())}
         cut = self.library.pre_tokenizer.pre_tokenize_str(self.library.normalizer.normalize_str(text))
         return [bytes(back[c] for c in w).decode() for w, _ in cut]

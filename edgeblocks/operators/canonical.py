@@ -108,7 +108,8 @@ def degree_histogram(edges: DataFrame) -> DataFrame:
 
 def adjacency(edges: DataFrame) -> DataFrame:
     """(v, nbrs sorted): the vertex-centric form, for interfaces only."""
-    return arcs(edges).groupBy("v").agg(F.array_sort(F.collect_list("nbr")).alias("nbrs"))
+    ends = F.array(F.struct(F.col("u").alias("v"), F.col("v").alias("nbr")), F.struct(F.col("v").alias("v"), F.col("u").alias("nbr")))
+    return edges.select(F.explode(ends).alias("x")).groupBy("x.v").agg(F.array_sort(F.collect_list("x.nbr")).alias("nbrs"))
 
 
 def induced(edges: DataFrame, ids: DataFrame) -> DataFrame:

@@ -14,6 +14,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..storage import materialise
+from .columns import unused
 
 WORD = r"[^\x20\x09-\x0D]+"
 #: Hash bits of a level's bucket number, and the levels: 48 bits in all.
@@ -89,10 +90,11 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3) ->
 def apply_mix(docs: DataFrame, **options) -> DataFrame:
     """The mixed corpus: each document as often as the mix takes it, with the columns of docs."""
     plan = mix(docs.select("doc_id", "source", "text"), **options)
-    keep = plan.where("repeats > 0").groupBy("doc_id", "source").agg(F.max("repeats").alias("_repeats"))
-    keep = keep.select(F.col("doc_id").alias("_id"), F.col("source").alias("_source"), "_repeats")
-    same = docs["doc_id"].eqNullSafe(keep["_id"]) & docs["source"].eqNullSafe(keep["_source"])
-    kept = docs.join(keep, same).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_repeats").cast("int"))))
+    key, source, repeats, copy = unused(docs, "key", "from", "repeats", "copy")
+    keep = plan.where("repeats > 0").groupBy("doc_id", "source").agg(F.max("repeats").alias(repeats))
+    keep = keep.select(F.col("doc_id").alias(key), F.col("source").alias(source), repeats)
+    same = docs["doc_id"].eqNullSafe(keep[key]) & docs["source"].eqNullSafe(keep[source])
+    kept = docs.join(keep, same).withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(repeats).cast("int"))))
     return kept.select(*docs.columns)
 
 

@@ -15,6 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..storage import materialise
+from .columns import unused
 
 #: Fixed patterns: kind, pattern, group that must be long enough, its least length.
 BASE = [
@@ -137,13 +138,14 @@ def redact(docs: DataFrame, max_owners: int = MAX_OWNERS, mark: str = "<secret>"
     """
     base, generic = candidates(F.col("text"))
     flagged = F.coalesce((F.size(base) + F.size(generic)) > 0, F.lit(False))
+    key, hashed, spans = unused(docs, "key", "hashed", "spans")
     rows = judged(scanned(docs), max_owners)
-    live = rows.select(F.col("repo").alias("_id"), F.col("text_hash").alias("_text"), F.filter("judged", lambda s: s["live"]).alias("_spans")).where(F.size("_spans") > 0).dropDuplicates(["_id", "_text"])
+    live = rows.select(F.col("repo").alias(key), F.col("text_hash").alias(hashed), F.filter("judged", lambda s: s["live"]).alias(spans)).where(F.size(spans) > 0).dropDuplicates([key, hashed])
     hit = docs.where(flagged)
-    hit = hit.join(live, hit["doc_id"].eqNullSafe(F.col("_id")) & (F.xxhash64(hit["text"]) == F.col("_text")), "left")
-    hit = hit.withColumn("text", F.when(F.col("_spans").isNotNull(), _cut(F.col("text"), F.col("_spans"), mark)).otherwise(F.col("text")))
+    hit = hit.join(live, hit["doc_id"].eqNullSafe(F.col(key)) & (F.xxhash64(hit["text"]) == F.col(hashed)), "left")
+    hit = hit.withColumn("text", F.when(F.col(spans).isNotNull(), _cut(F.col("text"), F.col(spans), mark)).otherwise(F.col("text")))
     if "n_chars" in docs.columns:
-        hit = hit.withColumn("n_chars", F.when(F.col("_spans").isNotNull(), F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
+        hit = hit.withColumn("n_chars", F.when(F.col(spans).isNotNull(), F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
     return docs.where(~flagged).unionByName(hit.select(*docs.columns))
 
 

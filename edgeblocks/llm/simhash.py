@@ -23,6 +23,7 @@ from pyspark.sql import functions as F
 
 from ..operators.components import connected_components
 from ..storage import materialise
+from .columns import unused
 
 SEED, SHINGLE, DISTANCE = 42, 3, 3
 #: Widths of the blocks, of which DISTANCE may differ.
@@ -145,8 +146,9 @@ def components(docs: DataFrame) -> DataFrame:
 def dedup(docs: DataFrame) -> DataFrame:
     """docs with one document of each component: that of the least doc_id. The text is shuffled once."""
     keep = components(docs.select("doc_id", "text")).where("doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(keep, "doc_id").withColumn("_row", F.row_number().over(Window.partitionBy("doc_id").orderBy("doc_id")))
-    return kept.where("_row = 1").select(*docs.columns).unionByName(docs.where("doc_id IS NULL"))
+    (row,) = unused(docs, "row")
+    kept = docs.join(keep, "doc_id").withColumn(row, F.row_number().over(Window.partitionBy("doc_id").orderBy("doc_id")))
+    return kept.where(F.col(row) == 1).select(*docs.columns).unionByName(docs.where("doc_id IS NULL"))
 
 
 def op4_simhash(spark, sf_dir: str) -> DataFrame:

@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import by_size
+from .columns import unused
 
 #: Labelled documents for the fit, word buckets, words that a model keeps, folds.
 SAMPLE, BUCKETS, KEPT, FOLDS = 6000, 1 << 20, 1024, 5
@@ -163,8 +164,9 @@ def fit(docs: DataFrame, labels: DataFrame, chain: list[tuple[str, str]] = CHAIN
 
 
 def predict(docs: DataFrame, chain: Chain, keep: bool = False) -> DataFrame:
-    """doc_id, p_<category> of each, toxic (the last above its cut); with keep, the columns of docs and toxic as _toxic."""
+    """doc_id, p_<category> of each, toxic (the last above its cut); with keep, the columns of docs and the flag under a name of its own, last."""
     sent = docs.sparkSession.sparkContext.broadcast(chain)
+    (flag_name,) = unused(docs, "toxic")
 
     def score(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = sent.value
@@ -173,20 +175,21 @@ def predict(docs: DataFrame, chain: Chain, keep: bool = False) -> DataFrame:
                 got = [c.probabilities(t) for t in p.column("text").to_pylist()]
                 flag = pa.array([g[-1] > c.cut and g[-1] > 0 for g in got], pa.bool_())
                 if keep:
-                    yield pa.RecordBatch.from_arrays([*p.columns, flag], names=[*p.schema.names, "_toxic"])
+                    yield pa.RecordBatch.from_arrays([*p.columns, flag], names=[*p.schema.names, flag_name])
                 else:
                     yield pa.RecordBatch.from_arrays([p.column("doc_id"), *(pa.array([g[i] for g in got], pa.float64()) for i in range(len(c.names))), flag], names=["doc_id", *(f"p_{n}" for n in c.names), "toxic"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     if keep:
         fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-        return docs.mapInArrow(score, f"{fields}, _toxic boolean")
+        return docs.mapInArrow(score, f"{fields}, `{flag_name}` boolean")
     return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(score, f"doc_id {kind}, {', '.join(f'p_{n} double' for n in chain.names)}, toxic boolean")
 
 
 def reject(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """docs without those that the chain calls toxic."""
-    return predict(docs, fit(docs, labels, **options), keep=True).where("NOT _toxic").select(*docs.columns)
+    scored = predict(docs, fit(docs, labels, **options), keep=True)
+    return scored.where(~F.col(scored.columns[-1])).select(*docs.columns)
 
 
 def op6_toxicity(spark, sf_dir: str) -> DataFrame:

@@ -60,3 +60,18 @@ def test_encoding_covers_the_mixture(stages):
 def test_all_queries_are_registered():
     numbers = sorted(int(n[2:].split("_")[0]) for n in entry.QUERIES)
     assert numbers == list(range(1, 11)) and set(entry.ORACLES) <= set(entry.QUERIES)
+
+
+def test_clashing_columns(spark):
+    """Extra columns named like working columns, nulls everywhere and an empty table pass through every stage."""
+    ddl = "doc_id long, text string, lang string, source string, n_chars long, toxic string, row string, key string, spans string, repeats string, hashed string, copy string, `from` string, n string"
+    more = ["x"] * 9
+    rows = [(1, "some words here token=abcdefgh12", "en", "s", 31, *more), (None, None, None, None, None, *[None] * 9), (2, "", "en", None, 0, *more), (1, "some words here token=abcdefgh12", "en", "s", 31, *more)]
+    for data in (rows, []):
+        docs = spark.createDataFrame(data, ddl)
+        for name, stage in corpus_pipeline.STAGES:
+            got = materialise(stage(spark, docs, "/root/testdata/sf0.001"), name)
+            if name != "bpe":
+                assert got.columns == docs.columns
+                docs = got
+        assert got.count() == docs.count()

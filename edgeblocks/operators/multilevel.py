@@ -13,8 +13,9 @@ import numpy as np
 
 from .fennel import GAMMA, place_items
 
-#: Rounds of clustering and of refinement, bounds of the coarsest level, least shrinking, and which part of a block a cluster may fill.
-CLUSTER_ROUNDS, REFINE_ROUNDS, COARSEST_FACTOR, COARSEST_MOST, SHRINK, CAP_SHARE = 5, 20, 4, 20_000, 0.95, 2
+#: Rounds of clustering and of refinement, bounds of the coarsest level, least shrinking, which part of a block a cluster
+#: may fill, and below which part of the items the moves of two rounds end the refinement.
+CLUSTER_ROUNDS, REFINE_ROUNDS, COARSEST_FACTOR, COARSEST_MOST, SHRINK, CAP_SHARE, STALLED = 5, 20, 4, 20_000, 0.95, 2, 400
 
 
 @dataclass
@@ -130,24 +131,29 @@ def place(level: Level, blocks: np.ndarray, loads: np.ndarray, limits: np.ndarra
 def refine(level: Level, blocks: np.ndarray, loads: np.ndarray, limits: np.ndarray, alpha: float, gamma: float = GAMMA, rounds: int = REFINE_ROUNDS, seed: int = 0) -> int:
     """Moves items to adjacent blocks of larger gain, in place; fixed blocks count and stay; limits hold strictly."""
     n, k, moves, idle = level.size, len(loads), 0, 0
+    everyone = np.arange(n)
     x, y, w = np.concatenate([level.a, level.b]), np.concatenate([level.b, level.a]), np.concatenate([level.w, level.w])
     edge = alpha * gamma
     for r in range(rounds):
-        key, total = _sum_by(np.concatenate([x * k + blocks[y], level.items * k + level.fixed]), np.concatenate([w, level.fw]))
+        border = np.zeros(n, bool)  # only items with a link into another block can move
+        border[x[blocks[x] != blocks[y]]] = True
+        border[level.items[blocks[level.items] != level.fixed]] = True
+        border &= _hash(everyone, seed + r) & np.uint64(1) == 0
+        near, far = border[x], border[level.items]
+        key, total = _sum_by(np.concatenate([x[near] * k + blocks[y[near]], level.items[far] * k + level.fixed[far]]), np.concatenate([w[near], level.fw[far]]))
         item, block = key // k, key % k
         c = level.weights[item]
         home = block == blocks[item]
         now = -level.weights * (edge * np.maximum(loads[blocks] - level.weights, 0).astype(float) ** (gamma - 1))
         now[item[home]] += total[home]
         value = total - c * (edge * loads[block].astype(float) ** (gamma - 1))
-        ok = ~home & (value > now[item] + 1e-12) & (loads[block] + c <= limits[block]) & (_hash(item, seed + r) & np.uint64(1) == 0)
+        ok = ~home & (value > now[item] + 1e-12) & (loads[block] + c <= limits[block])
         item, block, value = item[ok], block[ok], value[ok]
         if not len(item):
             idle += 1
             if idle == 2:
                 break
             continue
-        idle = 0
         order = np.lexsort((block, loads[block], -value, item))
         first = order[np.flatnonzero(np.diff(item[order], prepend=-1))]
         item, block, better = item[first], block[first], value[first] - now[item[first]]
@@ -163,6 +169,9 @@ def refine(level: Level, blocks: np.ndarray, loads: np.ndarray, limits: np.ndarr
         np.add.at(loads, block, c)
         blocks[item] = block
         moves += len(item)
+        idle = idle + 1 if len(item) * STALLED < n else 0
+        if idle == 2:
+            break
     return moves
 
 

@@ -151,3 +151,30 @@ def redact(docs: DataFrame, max_owners: int = MAX_OWNERS, mark: str = "<secret>"
 
 def op8_secrets(spark, sf_dir: str) -> DataFrame:
     return scan_secrets(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+
+
+#: The same in SQL: pieces between matches give the offsets, as above.
+SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, source, coalesce(text, '') AS t FROM documents),
+k(kind, name, pattern, grp, least) AS (VALUES
+  (0, 'assign', '((?i:password|passwd|secret|token|api_?key))["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)', 2, 8),
+  (1, 'access', 'AKIA[A-Z0-9]+', 0, 16), (2, 'hex', '[0-9a-f]+', 0, 32), (3, 'generic', '[A-Za-z0-9+/_-]{20,}', 0, 20)),
+c AS (
+  SELECT rid, 0 AS kind, regexp_extract_all(t, (SELECT pattern FROM k WHERE kind = 0)) AS ms, regexp_extract_all(t, (SELECT pattern FROM k WHERE kind = 0), 2) AS vs, string_split_regex(t, (SELECT pattern FROM k WHERE kind = 0)) AS ps FROM d
+  UNION ALL SELECT rid, 1, regexp_extract_all(t, 'AKIA[A-Z0-9]+'), regexp_extract_all(t, 'AKIA[A-Z0-9]+'), string_split_regex(t, 'AKIA[A-Z0-9]+') FROM d
+  UNION ALL SELECT rid, 2, regexp_extract_all(t, '[0-9a-f]{32,}'), regexp_extract_all(t, '[0-9a-f]{32,}'), string_split_regex(t, '[0-9a-f]{32,}') FROM d
+  UNION ALL SELECT rid, 3, regexp_extract_all(t, '[A-Za-z0-9+/_-]{20,}'), regexp_extract_all(t, '[A-Za-z0-9+/_-]{20,}'), string_split_regex(t, '[A-Za-z0-9+/_-]{20,}') FROM d),
+u AS (SELECT rid, kind, i, ms[i] AS m, vs[i] AS v, ps[i] AS p FROM (SELECT *, unnest(range(1, len(ms) + 1)) AS i FROM c)),
+o AS (SELECT rid, kind, v, m, sum(length(p) + length(m)) OVER (PARTITION BY rid, kind ORDER BY i ROWS UNBOUNDED PRECEDING) AS stop FROM u),
+b AS (SELECT rid, kind, v, (stop - length(m))::BIGINT AS start, stop::BIGINT AS stop FROM o JOIN k USING (kind) WHERE length(v) >= least
+  AND (kind < 3 OR (regexp_matches(v, '[0-9]') AND regexp_matches(v, '[A-Z]') AND regexp_matches(v, '[a-z]')))),
+s AS (SELECT * FROM b WHERE kind < 3 OR NOT EXISTS (SELECT 1 FROM b x WHERE x.rid = b.rid AND x.kind < 3 AND x.start < b.stop AND b.start < x.stop)),
+w AS (SELECT v, count(DISTINCT coalesce(source, chr(1))) AS owners FROM s JOIN d USING (rid) GROUP BY v),
+j AS (SELECT s.rid, s.kind, s.start, s.stop, name, owners FROM s JOIN w USING (v) JOIN k USING (kind)),
+a AS (SELECT rid, count(*) FILTER (kind = 0) AS n_assign, count(*) FILTER (kind = 1) AS n_access, count(*) FILTER (kind = 2) AS n_hex,
+  string_agg(name || ':' || start || ':' || stop, ',' ORDER BY start, kind) FILTER (kind < 3) AS base,
+  string_agg(name || ':' || start || ':' || stop, ',' ORDER BY start, kind) FILTER (kind < 3 OR owners <= 1) AS spans,
+  count(*) FILTER (owners <= 1) AS n_live, count(*) FILTER (owners > 1) AS n_copied FROM j GROUP BY rid)
+SELECT doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_access, coalesce(n_hex, 0) AS n_hex, sha256(coalesce(base, '')) AS base_sha256,
+  coalesce(spans, '') AS spans, coalesce(n_live, 0) AS n_live, coalesce(n_copied, 0) AS n_copied FROM d LEFT JOIN a USING (rid)
+"""

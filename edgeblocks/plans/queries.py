@@ -8,9 +8,10 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import sqlapi
-from ..operators import analytics, baselines, batching, buffered, canonical, fennel, hypergraph, linegraph, metrics, model, multilevel, onthefly, sequential, state
+from ..operators import analytics, baselines, batching, buffered, canonical, fennel, hypergraph, linegraph, metrics, model, multilevel, onthefly, relational, sequential, state
 from ..operators.canonical import Graph
 from ..sources.tables import table
+from ..storage import materialise
 from ..streaming import stream
 from . import profiles, published, workloads
 from .graphs import NAMES, graph, sql_prefix
@@ -464,6 +465,41 @@ def _contract_round(s: SparkSession, d: str) -> DataFrame:
 add("contract_round", _contract_round, _LINKS + " SELECT batch, least(e1 // 2, e2 // 2) AS a, greatest(e1 // 2, e2 // 2) AS b, count(*) AS w FROM l WHERE e1 // 2 <> e2 // 2 GROUP BY 1, 2, 3")
 add("coarsest_sizes", lambda s, d: s.createDataFrame([(n, k, multilevel.coarsest_size(n, k)) for n in (100, 10_000, 10_000_000) for k in (2, 32, 1024)], "items long, k int, bound long"), "SELECT i::BIGINT AS items, k::INT AS k, least(20000, greatest(i // (2 * k), 4 * k))::BIGINT AS bound FROM (SELECT unnest([100, 10000, 10000000]) AS i), (SELECT unnest([2, 32, 1024]) AS k)", None)
 
+
+
+def _one_batch(s: SparkSession, d: str) -> DataFrame:
+    return linegraph.contracted(g_of(s, d, "page_link").edges).groupBy("e1", "e2").agg(F.sum("w").alias("w"))
+
+
+def _refined(s: SparkSession, d: str) -> DataFrame:
+    """Cut and largest block before and after six rounds of moves on a hash partition; the limit holds, the cut must not grow."""
+    g, links = g_of(s, d, "page_link"), _one_batch(s, d)
+    first = _items(baselines.hash_edges(g, K))
+    cap, now = max(metrics.block_cap(g.m, K), metrics.loads(baselines.hash_edges(g, K)).agg(F.max("load")).first()[0]), first
+    for i in range(6):
+        now = materialise(relational.refine_round(links, now, 0.01, cap, i % 2), "refined")
+    cut = lambda a: metrics.edge_cut(links, a.withColumnRenamed("item", "eid")).first()[0]
+    most = now.groupBy("block").count().agg(F.max("count")).first()[0]
+    return s.createDataFrame([(now.count(), cut(now) < cut(first), most <= cap)], "items long, better boolean, within boolean")
+
+
+add("refine_rounds", _refined, "SELECT count(*) AS items, true AS better, true AS within FROM e", "page_link")
+
+
+def _clustered(s: SparkSession, d: str) -> DataFrame:
+    """Four rounds of clustering and a contraction: fewer items, no cluster above the limit, and no link inside a cluster left."""
+    g, links = g_of(s, d, "page_link"), _one_batch(s, d)
+    labels = g.edges.select(F.col("eid").alias("item"), F.col("eid").alias("label"))
+    for i in range(4):
+        labels = materialise(relational.cluster_round(links, labels, 16, i % 2), "clusters")
+    small = relational.contract(links, labels)
+    most = labels.groupBy("label").count().agg(F.max("count").alias("most"), F.count(F.lit(1)).alias("left"))
+    loops = small.agg(F.count_if(F.col("e1") == F.col("e2")).alias("loops"))
+    return most.crossJoin(loops).select((F.col("most") <= 16).alias("within"), (F.col("left") < g.m).alias("fewer"), "loops")
+
+
+add("cluster_rounds", _clustered, "SELECT true AS within, true AS fewer, 0::BIGINT AS loops", None)
+
 # ---- experiments
 
 for _n, _run in workloads.EXPERIMENTS.items():

@@ -4,14 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..storage import materialise
 
-#: Partitions up to which the offsets of dense ids are broadcast (two numbers each).
-MAX_OFFSETS = 200_000
-
 
 @dataclass
 class Graph:
@@ -56,7 +53,6 @@ def build(pairs: DataFrame, name: str = "", id_order: str = "small_side_first",
     ends = lambda s: [F.col(f"{s}_kind").cast("int").alias("kind"), F.col(f"{s}_num").cast("long").alias("num"), F.col(f"{s}_str").cast("string").alias("str")]
     known = F.coalesce("a_num", F.when(F.col("a_str").isNotNull(), 0)).isNotNull() & F.coalesce("b_num", F.when(F.col("b_str").isNotNull(), 0)).isNotNull()
     pairs = materialise(pairs.where(known).distinct(), "pairs")
-    both = pairs.select(*ends("a")).union(pairs.select(*ends("b")))
     different = (F.col("a_kind") != F.col("b_kind")) | ~F.col("a_num").eqNullSafe(F.col("b_num")) | ~F.col("a_str").eqNullSafe(F.col("b_str"))
     both = pairs.where(different).select(*ends("a")).union(pairs.where(different).select(*ends("b")))
     if isolated is not None:
@@ -69,19 +65,18 @@ def build(pairs: DataFrame, name: str = "", id_order: str = "small_side_first",
         vertices = vertices.withColumn("kind_rank", F.element_at(F.create_map(*(F.lit(x) for kv in rank.items() for x in kv)), F.col("kind")))
     else:
         vertices = vertices.withColumn("kind_rank", F.lit(0))
-    order = [F.xxhash64("kind", "num", "str"), "kind", "num", "str"] if id_order == "random" else ["kind_rank", "num", "str"]
     if id_order == "random":
-        vertices = vertices.withColumn("_h", order[0])
-        order[0] = "_h"
+        vertices = vertices.withColumn("_h", F.xxhash64("kind", "num", "str"))
+    order = ["_h", "kind", "num", "str"] if id_order == "random" else ["kind_rank", "num", "str"]
     vertices = materialise(dense_ids(vertices, order, "id").select("id", F.col("kind_rank").alias("kind"), F.col("kind").alias("_own"), "num", "str"), f"vertices-{name}")
 
-    def key(s: str, side: DataFrame, out: str) -> DataFrame:
-        v = side.select(F.col("_own").alias(f"{s}_k"), F.col("num").alias(f"{s}_n"), F.col("str").alias(f"{s}_s"), F.col("id").alias(out))
+    def key(s: str, out: str) -> tuple[DataFrame, Column]:
+        v = vertices.select(F.col("_own").alias(f"{s}_k"), F.col("num").alias(f"{s}_n"), F.col("str").alias(f"{s}_s"), F.col("id").alias(out))
         same = (F.col(f"{s}_kind") == F.col(f"{s}_k")) & F.col(f"{s}_num").eqNullSafe(F.col(f"{s}_n")) & F.col(f"{s}_str").eqNullSafe(F.col(f"{s}_s"))
         return v, same
 
-    va, on_a = key("a", vertices, "ia")
-    vb, on_b = key("b", vertices, "ib")
+    va, on_a = key("a", "ia")
+    vb, on_b = key("b", "ib")
     linked = simple_pairs(pairs.join(va, on_a).join(vb, on_b), "ia", "ib")
     edges = materialise(dense_ids(linked.select("u", "v"), ["u", "v"], "eid").select("eid", "u", "v"), f"edges-{name}")
     return Graph(edges, vertices.select("id", "kind", "num", "str"), vertices.count(), edges.count(), name)

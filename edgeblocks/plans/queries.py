@@ -415,6 +415,7 @@ SELECT v, count(*) AS sessions, max(c) AS longest FROM z GROUP BY v""", None,
 )
 add("stream_buffered", lambda s, d: workloads.stream_buffered(s, d), "SELECT count(*) AS placed, count(*) AS distinct_edges, 0::BIGINT AS bad_blocks FROM e", "user_prop")
 add("stream_one_pass", lambda s, d: workloads.stream_one_pass(s, d), "SELECT count(*) AS placed, count(*) AS distinct_edges, 0::BIGINT AS bad_blocks FROM e", "user_prop")
+add("stream_one_pass_stateful", lambda s, d: workloads.stream_one_pass_stateful(s, d), ORACLES["stream_one_pass"], None)
 add("stream_late_edges", lambda s, d: workloads.stream_late(s, d))
 add("stream_dedup", lambda s, d: workloads.stream_dedup(s, d))
 

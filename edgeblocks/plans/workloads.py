@@ -212,6 +212,20 @@ def stream_one_pass(spark: SparkSession, d: str, k: int = 8) -> DataFrame:
     return _placed(spark.read.parquet(f"{out}/assign"), k)
 
 
+def stream_one_pass_stateful(spark: SparkSession, d: str, k: int = 8) -> DataFrame:
+    """The same on the state store; the provider is set for the run only."""
+    folder, g = _timed(spark, d)
+    out, name = fresh_dir(spark, "stateful-stream"), "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(name)
+    spark.conf.set(name, stream.ROCKS)
+    try:
+        placed = stream.one_pass_stateful(stream.source(spark, folder, "ts timestamp, eid long, u long, v long"), k, g.m, g.n)
+        placed.writeStream.format("parquet").option("path", f"{out}/assign").option("checkpointLocation", f"{out}/checkpoint").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    finally:
+        spark.conf.set(name, before)
+    return _placed(spark.read.parquet(f"{out}/assign"), k)
+
+
 def stream_late(spark: SparkSession, d: str) -> DataFrame:
     """Daily edge windows over the stream with a watermark of an hour: windows closed, edges in them."""
     folder, _ = _timed(spark, d)

@@ -13,6 +13,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators import buffered, fennel, state
@@ -124,6 +125,50 @@ def one_pass(edges: DataFrame, k: int, m: int, n: int, lanes: int = 1, eps: floa
     return laned.groupBy("lane").applyInPandasWithState(place, "eid long, u long, v long, block int", "ids array<long>, blocks array<long>, loads array<long>", "append", GroupStateTimeout.NoTimeout)
 
 
+class OnePassPlacer(StatefulProcessor):
+    """The same with a map state, vertex to last block, and the loads as one value: only the vertices of a micro-batch are read and written."""
+
+    def __init__(self, k: int, limit: int, alpha: float):
+        self.k, self.limit, self.alpha = k, limit, alpha
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.last = handle.getMapState("last", "v long", "block int")
+        self.loads = handle.getValueState("loads", "loads array<long>")
+
+    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
+        load = np.array(self.loads.get()[0] if self.loads.exists() else [0] * self.k, np.int64)
+        limits, cost = np.full(self.k, self.limit), lambda i: self.alpha * GAMMA * float(load[i]) ** (GAMMA - 1)
+        for f in rows:
+            f = f.sort_values(["v", "u"])
+            ends = set(f["u"].tolist()) | set(f["v"].tolist())
+            last = {x: self.last.getValue((x,))[0] for x in ends if self.last.containsKey((x,))}
+            pick, out = fennel.Lightest(load, limits), []
+            for a, b in zip(f["u"].tolist(), f["v"].tolist()):
+                seen = {last.get(a, -1), last.get(b, -1), pick.get(1)} - {-1}
+                best = min((i for i in seen if load[i] < self.limit), key=lambda i: (cost(i) - (last.get(a) == i) - (last.get(b) == i), load[i], i))
+                last[a] = last[b] = best
+                load[best] += 1
+                out.append(best)
+            for x, block in last.items():
+                self.last.updateValue((x,), (int(block),))
+            yield f[["eid", "u", "v"]].assign(block=np.array(out, np.int32))
+        self.loads.update((load.tolist(),))
+
+    def close(self) -> None:
+        pass
+
+
+ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+
+
+def one_pass_stateful(edges: DataFrame, k: int, m: int, n: int, lanes: int = 1, eps: float | str = "0.03") -> DataFrame:
+    """one_pass on a state store with column families. The session's spark.sql.streaming.stateStore.providerClass must be ROCKS when it starts."""
+    limit = block_cap(m, k, eps) if lanes == 1 else max(1, block_cap(m, k, eps) // lanes)
+    laned = edges.withColumn("lane", F.pmod(F.xxhash64("v"), F.lit(lanes)).cast("int"))
+    placer = OnePassPlacer(k, limit, k**0.5 * n / max(m, 1) ** 1.5)
+    return laned.groupBy("lane").transformWithStateInPandas(placer, "eid long, u long, v long, block int", "Append", "None")
+
+
 # ---- timed graphs
 
 def unique_edges(edges: DataFrame, delay: str = "1 hour") -> DataFrame:

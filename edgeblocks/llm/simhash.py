@@ -6,6 +6,9 @@ one row. Of each key's group only a spanning forest of its links leaves the task
 fingerprints is split again: its free bits form eight small blocks of which at most three differ, so 56 finer keys with at most
 2**13 fingerprints each find the same links.
 
+One fingerprint of three-word shingles within three bits finds copies with very few edits only. dedup therefore adds fingerprints of
+single words under several mixes, and links what any of them links.
+
 Defined cases: null and empty text have no words and fingerprint zero, and link like any other; documents of null id get a
 component by their fingerprint and are never dropped by dedup; repeated rows stay rows (dedup keeps one per id); an empty table
 gives an empty result; extra columns are ignored by components and kept by dedup.
@@ -13,6 +16,7 @@ gives an empty result; extra columns are ignored by components and kept by dedup
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
 from itertools import combinations, repeat
 
@@ -30,6 +34,8 @@ SEED, SHINGLE, DISTANCE = 42, 3, 3
 BLOCKS = (11, 11, 11, 11, 10, 10)
 #: Fingerprints of a group that one task compares directly.
 GROUP = 4096
+#: Fingerprints of words that dedup takes beside the one of shingles.
+BAGS = 4
 _CHUNK = 1 << 16
 
 
@@ -75,6 +81,38 @@ def fingerprint(text: str | None) -> int:
     return majority_bits(np.fromiter(map(xxh64_intdigest, shingles, repeat(SEED)), np.uint64, len(words) - SHINGLE + 1))
 
 
+def bag_fingerprints(text: str | None, n: int) -> list[int]:
+    """SimHashes of the words of a text, each weighing 1 + log of its count, under n mixes of their hashes.
+
+    A changed word touches one feature here and three shingles there, so near copies with scattered edits come closer.
+    """
+    from xxhash import xxh64_intdigest
+
+    counts = Counter(text.encode("utf-8", "surrogatepass").lower().split()) if text else {}
+    if not counts:
+        return [0] * n
+    hashes = np.fromiter(map(xxh64_intdigest, counts, repeat(SEED)), np.uint64, len(counts))
+    weights = 1 + np.log(np.fromiter(counts.values(), np.float32, len(counts)))
+    out = []
+    for r in range(n):
+        h = (hashes + np.uint64(r)) * np.uint64(0x9E3779B97F4A7C15)
+        h = (h ^ h >> np.uint64(32)) * np.uint64(0xD6E8FEB86659FD93)
+        h ^= h >> np.uint64(32)
+        bits = np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1).astype(np.float32)
+        out.append(int(np.packbits(2 * (weights @ bits) > weights.sum()).view(np.uint64)[0]))
+    return out
+
+
+def _all_fingerprint_batches(bags: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            fps = np.array([[fingerprint(t), *bag_fingerprints(t, bags)] for t in (x.as_py() for x in b.column("text"))], np.uint64).reshape(b.num_rows, 1 + bags)
+            lists = pa.FixedSizeListArray.from_arrays(pa.array(fps.view(np.int64).ravel()), 1 + bags).cast(pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), lists], names=["doc_id", "fps"])
+
+    return run
+
+
 def _fingerprint_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
         fps = np.fromiter((fingerprint(t.as_py()) for t in b.column("text")), np.uint64, b.num_rows).view(np.int64)
@@ -143,9 +181,33 @@ def components(docs: DataFrame) -> DataFrame:
     return rows.join(linked.join(first, "root").select("fp", "component_id"), "fp")
 
 
-def dedup(docs: DataFrame) -> DataFrame:
+def wide_components(docs: DataFrame, bags: int = BAGS) -> DataFrame:
+    """doc_id, component_id, where documents link if any of their fingerprints do: that of shingles or one of words.
+
+    Documents of equal fingerprints are one node. A fingerprint's value stands for the least node that has it, so the graph
+    has an edge per node that shares a value and per link between values.
+    """
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(_all_fingerprint_batches(bags), f"doc_id {kind}, fps array<bigint>")
+    rows = materialise(rows.withColumn("node", F.xxhash64("fps")), "all-fingerprints")
+    nodes = materialise(rows.groupBy("node").agg(F.first("fps").alias("fps"), F.min("doc_id").alias("least")), "fingerprint-nodes")
+    edges = None
+    for r in range(1 + bags):
+        own = nodes.select("node", F.col("fps")[r].alias("fp"))
+        values = materialise(own.groupBy("fp").agg(F.min("node").alias("first"), F.count(F.lit(1)).alias("n")), "fingerprint-values")
+        shared = own.join(values.where("n > 1"), "fp").select(F.col("node").alias("a"), F.col("first").alias("b"))
+        to = lambda end: values.select(F.col("fp").alias(end), F.col("first").alias(f"first_{end}"))  # noqa: B023, E731
+        near = links(values.select("fp")).join(to("a"), "a").join(to("b"), "b").select(F.col("first_a").alias("a"), F.col("first_b").alias("b"))
+        edges = shared.unionByName(near) if edges is None else edges.unionByName(shared).unionByName(near)
+    found = connected_components(edges)
+    roots = materialise(nodes.join(found, "node", "left").select("node", "least", F.coalesce("component", "node").alias("root")), "fingerprint-roots")
+    first = roots.groupBy("root").agg(F.min("least").alias("component_id"))
+    return rows.select("doc_id", "node").join(roots.join(first, "root").select("node", "component_id"), "node").select("doc_id", "component_id")
+
+
+def dedup(docs: DataFrame, bags: int = BAGS) -> DataFrame:
     """docs with one document of each component: that of the least doc_id. The text is shuffled once."""
-    keep = components(docs.select("doc_id", "text")).where("doc_id = component_id").select("doc_id").distinct()
+    keep = wide_components(docs.select("doc_id", "text"), bags).where("doc_id = component_id").select("doc_id").distinct()
     (row,) = unused(docs, "row")
     kept = docs.join(keep, "doc_id").withColumn(row, F.row_number().over(Window.partitionBy("doc_id").orderBy("doc_id")))
     return kept.where(F.col(row) == 1).select(*docs.columns).unionByName(docs.where("doc_id IS NULL"))

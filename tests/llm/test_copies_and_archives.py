@@ -83,6 +83,21 @@ def test_dedup(spark):
     assert simhash.dedup(docs(spark, [])).count() == 0 and simhash.components(docs(spark, [])).count() == 0
 
 
+def test_dedup_of_scattered_edits(spark):
+    """Copies with four edits in 250 words (about 0.85 of five-word shingles in common) go; other documents of the same words stay."""
+    rng = np.random.default_rng(8)
+    p = 1 / np.arange(1, 2001)
+    texts = []
+    for _ in range(60):
+        words = [f"w{i}" for i in rng.choice(2000, 250, p=p / p.sum())]
+        texts.append(" ".join(words))
+        for at in rng.choice(250, 4, replace=False):
+            words[at] = f"new{rng.integers(1000)}"
+        texts.append(" ".join(words))
+    kept = {r.doc_id for r in simhash.dedup(docs(spark, [(i, t, "s") for i, t in enumerate(texts)])).collect()}
+    assert set(range(0, 120, 2)) <= kept and len(kept) <= 60 + 12
+
+
 # ---- packages
 
 def packed(records, force=True):

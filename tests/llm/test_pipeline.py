@@ -35,7 +35,7 @@ def test_toxicity_drops_labelled_documents(spark, stages):
 
 def test_one_document_of_each_group(stages):
     before, after = stages[1]["near_duplicates"]
-    parts = simhash.components(before)
+    parts = simhash.wide_components(before)
     assert sorted(r.doc_id for r in after.collect()) == sorted(r.component_id for r in parts.select("component_id").distinct().collect())
 
 

@@ -145,36 +145,40 @@ def forest(fps: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def _forest_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
-        col = b.column(0)
+        col, kinds = b.column("fps"), b.column("r").to_numpy()
         flat = col.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
         ends = np.cumsum(col.value_lengths().to_numpy(zero_copy_only=False))
         starts = np.concatenate([[0], ends[:-1]]).astype(np.int64)
         pairs = ends - starts == 2
         a, c = flat[starts[pairs]], flat[starts[pairs] + 1] if pairs.any() else flat[:0]
         near = np.bitwise_count(a ^ c) <= DISTANCE
-        out = [(a[near], c[near])] + [forest(flat[s:e]) for s, e in zip(starts[~pairs], ends[~pairs])]
-        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x).view(np.int64)) for x in zip(*out)], names=["a", "b"])
+        out = [(kinds[pairs][near], a[near], c[near])]
+        for r, s, e in zip(kinds[~pairs], starts[~pairs], ends[~pairs]):
+            x, y = forest(flat[s:e])
+            out.append((np.full(len(x), r), x, y))
+        r, x, y = (np.concatenate(z) for z in zip(*out))
+        yield pa.RecordBatch.from_arrays([pa.array(r.astype(np.int32)), pa.array(x.view(np.int64)), pa.array(y.view(np.int64))], names=["r", "a", "b"])
 
 
 def links(fps: DataFrame) -> DataFrame:
-    """Links (a, b) between different fingerprints: enough of them to connect all that are near. fps: distinct fp."""
+    """Links (r, a, b) between different fingerprints of one kind r: enough of them to connect all that are near. fps: distinct (r, fp)."""
     masks = _key_masks()
     keys = F.array(*(F.struct(F.lit(t).alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("k")) for t, m in enumerate(masks)))
-    keyed = fps.select("fp", F.inline(keys))
-    sizes = keyed.groupBy("t", "k").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    met = keyed.join(sizes, ["t", "k"])
-    groups = met.where(F.col("n") <= GROUP).groupBy("t", "k").agg(F.collect_list("fp").alias("fps")).select("fps")
+    keyed = fps.select("r", "fp", F.inline(keys))
+    sizes = keyed.groupBy("r", "t", "k").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    met = keyed.join(sizes, ["r", "t", "k"])
+    groups = met.where(F.col("n") <= GROUP).groupBy("r", "t", "k").agg(F.collect_list("fp").alias("fps")).select("r", "fps")
     finer = F.array(*(F.array(*(F.lit(_signed(m)) for m in _finer_masks(mask))) for mask in masks))
-    split = met.where(F.col("n") > GROUP).select("fp", "t", F.posexplode(F.element_at(finer, F.col("t") + 1)).alias("s", "mask"))
-    split = split.groupBy("t", "s", F.col("fp").bitwiseAND(F.col("mask")).alias("k")).agg(F.collect_list("fp").alias("fps"))
-    return groups.union(split.where(F.size("fps") > 1).select("fps")).mapInArrow(_forest_batches, "a bigint, b bigint").distinct()
+    split = met.where(F.col("n") > GROUP).select("r", "fp", "t", F.posexplode(F.element_at(finer, F.col("t") + 1)).alias("s", "mask"))
+    split = split.groupBy("r", "t", "s", F.col("fp").bitwiseAND(F.col("mask")).alias("k")).agg(F.collect_list("fp").alias("fps"))
+    return groups.union(split.where(F.size("fps") > 1).select("r", "fps")).mapInArrow(_forest_batches, "r int, a bigint, b bigint").distinct()
 
 
 def components(docs: DataFrame) -> DataFrame:
     """doc_id, fp, component_id for every row of docs."""
     rows = materialise(fingerprints(docs), "fingerprints")
     least = materialise(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints")
-    linked = connected_components(links(least.select("fp")))
+    linked = connected_components(links(least.select(F.lit(0).alias("r"), "fp")))
     linked = least.join(linked, least["fp"] == linked["node"], "left").select("fp", "least", F.coalesce("component", "fp").alias("root"))
     linked = materialise(linked, "fingerprint-roots")
     first = linked.groupBy("root").agg(F.min("least").alias("component_id"))
@@ -191,14 +195,12 @@ def wide_components(docs: DataFrame, bags: int = BAGS) -> DataFrame:
     rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(_all_fingerprint_batches(bags), f"doc_id {kind}, fps array<bigint>")
     rows = materialise(rows.withColumn("node", F.xxhash64("fps")), "all-fingerprints")
     nodes = materialise(rows.groupBy("node").agg(F.first("fps").alias("fps"), F.min("doc_id").alias("least")), "fingerprint-nodes")
-    edges = None
-    for r in range(1 + bags):
-        own = nodes.select("node", F.col("fps")[r].alias("fp"))
-        values = materialise(own.groupBy("fp").agg(F.min("node").alias("first"), F.count(F.lit(1)).alias("n")), "fingerprint-values")
-        shared = own.join(values.where("n > 1"), "fp").select(F.col("node").alias("a"), F.col("first").alias("b"))
-        to = lambda end: values.select(F.col("fp").alias(end), F.col("first").alias(f"first_{end}"))  # noqa: B023, E731
-        near = links(values.select("fp")).join(to("a"), "a").join(to("b"), "b").select(F.col("first_a").alias("a"), F.col("first_b").alias("b"))
-        edges = shared.unionByName(near) if edges is None else edges.unionByName(shared).unionByName(near)
+    own = nodes.select("node", F.posexplode("fps").alias("r", "fp"))
+    values = materialise(own.groupBy("r", "fp").agg(F.min("node").alias("first"), F.count(F.lit(1)).alias("n")), "fingerprint-values")
+    shared = own.join(values.where("n > 1"), ["r", "fp"]).select(F.col("node").alias("a"), F.col("first").alias("b"))
+    to = lambda end: values.select("r", F.col("fp").alias(end), F.col("first").alias(f"first_{end}"))
+    near = links(values.select("r", "fp")).join(to("a"), ["r", "a"]).join(to("b"), ["r", "b"]).select(F.col("first_a").alias("a"), F.col("first_b").alias("b"))
+    edges = shared.unionByName(near)
     found = connected_components(edges)
     roots = materialise(nodes.join(found, "node", "left").select("node", "least", F.coalesce("component", "node").alias("root")), "fingerprint-roots")
     first = roots.groupBy("root").agg(F.min("least").alias("component_id"))

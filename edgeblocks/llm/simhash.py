@@ -7,7 +7,10 @@ fingerprints is split again: its free bits form eight small blocks of which at m
 2**13 fingerprints each find the same links.
 
 One fingerprint of three-word shingles within three bits finds copies with very few edits only. dedup therefore adds fingerprints of
-single words under several mixes, and links what any of them links.
+single words under several mixes. Texts that share a key are candidates; the exact Jaccard similarity of their sets of five-word shingles
+decides (SIMILAR or more). dedup goes by ascending id: a text stays unless it is that similar to one that stays, so each one dropped has a
+direct, verified link to a kept one. A key's texts are compared with its first few first, and with more of them where that leaves
+some open; a group of near copies is mostly gone before all its pairs would be made.
 
 Defined cases: null and empty text have no words and fingerprint zero, and link like any other; documents of null id get a
 component by their fingerprint and are never dropped by dedup; repeated rows stay rows (dedup keeps one per id); an empty table
@@ -36,6 +39,8 @@ BLOCKS = (11, 11, 11, 11, 10, 10)
 GROUP = 4096
 #: Fingerprints of words that dedup takes beside the one of shingles.
 BAGS = 4
+#: Words of a shingle and Jaccard similarity by which dedup calls two texts copies; first texts of a key that others meet at first.
+WIDE_SHINGLE, SIMILAR, LEADERS = 5, 0.8, 4
 _CHUNK = 1 << 16
 
 
@@ -103,16 +108,74 @@ def bag_fingerprints(text: str | None, n: int) -> list[int]:
     return out
 
 
-def _all_fingerprint_batches(bags: int):
+def shingle_set(text: str | None) -> np.ndarray:
+    """Sorted different hashes of the five-word shingles of a text; fewer words are one shingle, no words none."""
+    from xxhash import xxh64_intdigest
+
+    words = text.encode("utf-8", "surrogatepass").lower().split() if text else []
+    if not words:
+        return np.zeros(0, np.uint64)
+    if len(words) < WIDE_SHINGLE:
+        return np.array([xxh64_intdigest(b" ".join(words), SEED)], np.uint64)
+    hashes = np.fromiter(map(xxh64_intdigest, words, repeat(SEED)), np.uint64, len(words))
+    n = len(words) - WIDE_SHINGLE + 1
+    out = np.zeros(n, np.uint64)
+    for i in range(WIDE_SHINGLE):
+        out = (out ^ out >> np.uint64(29)) * np.uint64(0x9E3779B97F4A7C15) + hashes[i : i + n]
+    return np.unique(out)
+
+
+def jaccard(a: np.ndarray, b: np.ndarray) -> float:
+    """Of two shingle sets; two empty ones are equal."""
+    both = np.concatenate([a, b])
+    both.sort()
+    common = int((both[1:] == both[:-1]).sum())
+    return common / (len(both) - common) if len(both) else 1.0
+
+
+def candidate_keys(text: str | None, shingles: np.ndarray, bags: int) -> np.ndarray:
+    """Numbers of which near copies share one: three of six blocks of each fingerprint, named by kind and choice."""
+    fps = np.array([fingerprint(text), *bag_fingerprints(text, bags)], np.uint64)
+    masks = np.array(_key_masks(), np.uint64)
+    names = np.arange(1, len(fps) * len(masks) + 1, dtype=np.uint64).reshape(len(fps), -1)
+    return _named(fps[:, None] & masks, names).ravel()
+
+
+def _named(values: np.ndarray, names: np.ndarray) -> np.ndarray:
+    """Values of different names made different."""
+    h = (values ^ names * np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD6E8FEB86659FD93)
+    return (h ^ h >> np.uint64(32)) * np.uint64(0x9E3779B97F4A7C15) ^ names
+
+
+def _key_batches(bags: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from xxhash import xxh64_intdigest
+
         for b in batches:
-            fps = np.array([[fingerprint(t), *bag_fingerprints(t, bags)] for t in (x.as_py() for x in b.column("text"))], np.uint64).reshape(b.num_rows, 1 + bags)
-            lists = pa.FixedSizeListArray.from_arrays(pa.array(fps.view(np.int64).ravel()), 1 + bags).cast(pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), lists], names=["doc_id", "fps"])
+            nodes, keys = np.zeros(b.num_rows, np.uint64), []
+            for i, t in enumerate(x.as_py() for x in b.column("text")):
+                shingles = shingle_set(t)
+                nodes[i] = xxh64_intdigest(shingles.tobytes(), SEED)
+                keys.append(candidate_keys(t, shingles, bags).view(np.int64))
+            ends = np.cumsum([0, *map(len, keys)]).astype(np.int32)
+            lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.zeros(0, np.int64), *keys])))
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("hashed"), pa.array(nodes.view(np.int64)), lists], names=["doc_id", "hashed", "node", "keys"])
 
     return run
 
 
+def _verify_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Adds whether the texts of a and b are copies; the sets of a run of equal a are made once."""
+    last, held = None, None
+    for batch in batches:
+        near = []
+        for a, ta, tb in zip(*(batch.column(c).to_pylist() for c in ("a", "text_a", "text_b"))):
+            if a != last:
+                last, held = a, shingle_set(ta)
+            near.append(jaccard(held, shingle_set(tb)) >= SIMILAR)
+        yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(near, pa.bool_())], names=["a", "b", "near"])
+
+
 def _fingerprint_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
         fps = np.fromiter((fingerprint(t.as_py()) for t in b.column("text")), np.uint64, b.num_rows).view(np.int64)
@@ -185,30 +248,89 @@ def components(docs: DataFrame) -> DataFrame:
     return rows.join(linked.join(first, "root").select("fp", "component_id"), "fp")
 
 
-def wide_components(docs: DataFrame, bags: int = BAGS) -> DataFrame:
-    """doc_id, component_id, where documents link if any of their fingerprints do: that of shingles or one of words.
+def _leading(held: DataFrame, n: int) -> DataFrame:
+    """The first n nodes of each key by least id; the limit is applied before the shuffle already."""
+    first = held.withColumn("place", F.row_number().over(Window.partitionBy("key").orderBy("least", "node")))
+    return first.where(F.col("place") <= n).drop("place")
+
+
+def _represented(nodes: DataFrame, texts: DataFrame) -> DataFrame:
+    """node, kept: the node that stands for it, for every node that shares a key with another. nodes: node, least, keys.
 
-    Documents of equal fingerprints are one node. A fingerprint's value stands for the least node that has it, so the graph
-    has an edge per node that shares a value and per link between values.
+    Each round verifies pairs of a key's first nodes with all of its others, more of them every time. A node that is
+    among the first under all its keys knows all its earlier neighbours: it stays once none of them is left, and then its later
+    neighbours go.
     """
+    open_, tested, decided, n = nodes, None, [], LEADERS
+    while True:
+        held = open_.select("node", "least", F.explode("keys").alias("key"))
+        held = held.join(held.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key"), "key")
+        held = materialise(held, "copy-keys")
+        if held.isEmpty():
+            return _union(decided + [open_.select("node", F.col("node").alias("kept"))])
+        leading = materialise(_leading(held, n), "copy-leaders")
+        led = leading.groupBy("node").agg(F.count(F.lit(1)).alias("led"))
+        known = held.groupBy("node").agg(F.count(F.lit(1)).alias("all")).join(led, "node", "left").where("led = all").select("node")
+        # a node that shares no key any more has no candidate left
+        known = materialise(known.union(open_.join(held, "node", "left_anti").select("node")), "copy-known")
+        a, b = leading.select("key", F.col("node").alias("a"), F.col("least").alias("la")), held.select("key", F.col("node").alias("b"), F.col("least").alias("lb"))
+        pairs = b.join(a, "key").where("la < lb OR la = lb AND a < b").select("a", "b").distinct()
+        if tested is not None:
+            pairs = pairs.join(tested, ["a", "b"], "left_anti")
+        with_texts = pairs.join(texts.select(F.col("node").alias("b"), F.col("text").alias("text_b")), "b").join(texts.select(F.col("node").alias("a"), F.col("text").alias("text_a")), "a")
+        new = materialise(with_texts.select("a", "b", "text_a", "text_b").mapInArrow(_verify_batches, "a bigint, b bigint, near boolean"), "copy-pairs")
+        tested = new if tested is None else tested.unionByName(new)
+        ids = open_.select("node", "least")
+        edges = tested.where("near").select("a", "b").join(ids.select(F.col("node").alias("a"), "least"), "a").join(ids.select(F.col("node").alias("b")), "b")
+        while True:
+            edges = materialise(edges, "copy-links")
+            stay = known.join(edges.select(F.col("b").alias("node")), "node", "left_anti")
+            gone = edges.join(stay, edges["a"] == stay["node"], "left_semi").groupBy("b").agg(F.min(F.struct("least", "a")).alias("first"))
+            done = materialise(stay.select("node", F.col("node").alias("kept")).union(gone.select("b", "first.a")), "copy-decided")
+            if done.isEmpty():
+                break
+            decided.append(done)
+            over = done.select("node")
+            known = materialise(known.join(over, "node", "left_anti"), "copy-known")
+            edges = edges.join(over, edges["a"] == over["node"], "left_anti").join(over, edges["b"] == over["node"], "left_anti")
+            open_ = open_.join(over, "node", "left_anti")
+        open_ = materialise(open_, "copy-open")
+        if open_.isEmpty():
+            return _union(decided)
+        n *= 4
+
+
+def _union(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+def _copies(docs: DataFrame, bags: int) -> DataFrame:
+    """doc_id, hashed (of the text) and component_id, the id of the kept document that stands for it, of every row of docs."""
     kind = docs.schema["doc_id"].dataType.simpleString()
-    rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(_all_fingerprint_batches(bags), f"doc_id {kind}, fps array<bigint>")
-    rows = materialise(rows.withColumn("node", F.xxhash64("fps")), "all-fingerprints")
-    nodes = materialise(rows.groupBy("node").agg(F.first("fps").alias("fps"), F.min("doc_id").alias("least")), "fingerprint-nodes")
-    own = nodes.select("node", F.posexplode("fps").alias("r", "fp"))
-    values = materialise(own.groupBy("r", "fp").agg(F.min("node").alias("first"), F.count(F.lit(1)).alias("n")), "fingerprint-values")
-    shared = own.join(values.where("n > 1"), ["r", "fp"]).select(F.col("node").alias("a"), F.col("first").alias("b"))
-    to = lambda end: values.select("r", F.col("fp").alias(end), F.col("first").alias(f"first_{end}"))
-    near = links(values.select("r", "fp")).join(to("a"), ["r", "a"]).join(to("b"), ["r", "b"]).select(F.col("first_a").alias("a"), F.col("first_b").alias("b"))
-    edges = shared.unionByName(near)
-    found = connected_components(edges)
-    roots = materialise(nodes.join(found, "node", "left").select("node", "least", F.coalesce("component", "node").alias("root")), "fingerprint-roots")
-    first = roots.groupBy("root").agg(F.min("least").alias("component_id"))
-    return rows.select("doc_id", "node").join(roots.join(first, "root").select("node", "component_id"), "node").select("doc_id", "component_id")
+    text = docs.select("doc_id", F.col("text").cast("string").alias("text")).withColumn("hashed", F.xxhash64("text"))
+    rows = materialise(text.mapInArrow(_key_batches(bags), f"doc_id {kind}, hashed bigint, node bigint, keys array<bigint>"), "copy-rows")
+    whole = rows.where("doc_id IS NOT NULL").groupBy("node").agg(F.min(F.struct("doc_id", "hashed")).alias("first"), F.first("keys").alias("keys"))
+    nodes = materialise(whole.select("node", F.col("first.doc_id").alias("least"), F.col("first.hashed").alias("hashed"), "keys"), "copy-nodes")
+    held = nodes.select("node", F.explode(F.array_distinct("keys")).alias("key"))
+    met = held.join(held.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "key").groupBy("node").agg(F.collect_list("key").alias("keys"))
+    some = materialise(nodes.drop("keys").join(met, "node"), "copy-candidates")
+    texts = materialise(some.join(text.withColumnRenamed("doc_id", "least"), ["least", "hashed"]).select("node", "text").dropDuplicates(["node"]), "copy-texts")
+    stands = materialise(_represented(some.select("node", "least", "keys"), texts), "copy-stands")
+    kept = nodes.select(F.col("node").alias("kept"), F.col("least").alias("component_id"))
+    to = nodes.select("node").join(stands, "node", "left").select("node", F.coalesce("kept", "node").alias("kept")).join(kept, "kept").select("node", "component_id")
+    return rows.select("doc_id", "hashed", "node").join(to, "node", "left").select("doc_id", "hashed", "component_id")
+
+
+def wide_components(docs: DataFrame, bags: int = BAGS) -> DataFrame:
+    """doc_id, component_id: the id of the kept document that the row equals or is similar to; null where only null ids have the text."""
+    return _copies(docs, bags).select("doc_id", "component_id")
 
 
 def dedup(docs: DataFrame, bags: int = BAGS) -> DataFrame:
-    """docs with one document of each component: that of the least doc_id. The text is shuffled once."""
+    """docs without those that are copies of a kept document of a smaller id."""
     keep = wide_components(docs.select("doc_id", "text"), bags).where("doc_id = component_id").select("doc_id").distinct()
     (row,) = unused(docs, "row")
     kept = docs.join(keep, "doc_id").withColumn(row, F.row_number().over(Window.partitionBy("doc_id").orderBy("doc_id")))

@@ -14,7 +14,7 @@ direct, verified link to a kept one. A key's texts are compared with its first f
 some open; a group of near copies is mostly gone before all its pairs would be made.
 
 Defined cases: null and empty text have no words and fingerprint zero, and link like any other; documents of null id get a
-component by their fingerprint and are never dropped by dedup; repeated rows stay rows (dedup keeps one per id); an empty table
+component by their fingerprint and are never dropped by dedup; repeated rows stay rows (dedup keeps one per id and text); an empty table
 gives an empty result; extra columns are ignored by components and kept by dedup.
 """
 
@@ -304,7 +304,7 @@ def _union(parts: list[DataFrame]) -> DataFrame:
 
 
 def _copies(docs: DataFrame, bands: int) -> DataFrame:
-    """doc_id, hashed (of the text) and component_id, the id of the kept document that stands for it, of every row of docs."""
+    """Of every row of docs doc_id, hashed (of the text), component_id, the id of the kept document that stands for it, and whether it is that one."""
     kind = docs.schema["doc_id"].dataType.simpleString()
     text = docs.select("doc_id", F.col("text").cast("string").alias("text")).withColumn("hashed", F.xxhash64("text"))
     rows = materialise(text.mapInArrow(_key_batches(bands), f"doc_id {kind}, hashed bigint, node bigint, keys array<bigint>"), "copy-rows")
@@ -315,9 +315,10 @@ def _copies(docs: DataFrame, bands: int) -> DataFrame:
     some = materialise(nodes.drop("keys").join(met, "node"), "copy-candidates")
     texts = materialise(some.join(text.withColumnRenamed("doc_id", "least"), ["least", "hashed"]).select("node", "text").dropDuplicates(["node"]), "copy-texts")
     stands = materialise(_represented(some.select("node", "least", "keys"), texts), "copy-stands")
-    kept = nodes.select(F.col("node").alias("kept"), F.col("least").alias("component_id"))
-    to = nodes.select("node").join(stands, "node", "left").select("node", F.coalesce("kept", "node").alias("kept")).join(kept, "kept").select("node", "component_id")
-    return rows.select("doc_id", "hashed", "node").join(to, "node", "left").select("doc_id", "hashed", "component_id")
+    kept = nodes.select(F.col("node").alias("kept"), F.col("least").alias("component_id"), F.col("hashed").alias("first"))
+    to = nodes.select("node").join(stands, "node", "left").select("node", F.coalesce("kept", "node").alias("kept")).join(kept, "kept")
+    stays = (F.col("node") == F.col("kept")) & (F.col("doc_id") == F.col("component_id")) & (F.col("hashed") == F.col("first"))
+    return rows.select("doc_id", "hashed", "node").join(to, "node", "left").select("doc_id", "hashed", "component_id", stays.alias("stays"))
 
 
 def wide_components(docs: DataFrame, bands: int = BANDS) -> DataFrame:
@@ -326,11 +327,13 @@ def wide_components(docs: DataFrame, bands: int = BANDS) -> DataFrame:
 
 
 def dedup(docs: DataFrame, bands: int = BANDS) -> DataFrame:
-    """docs without those that are copies of a kept document of a smaller id."""
-    keep = wide_components(docs.select("doc_id", "text"), bands).where("doc_id = component_id").select("doc_id").distinct()
-    (row,) = unused(docs, "row")
-    kept = docs.join(keep, "doc_id").withColumn(row, F.row_number().over(Window.partitionBy("doc_id").orderBy("doc_id")))
-    return kept.where(F.col(row) == 1).select(*docs.columns).unionByName(docs.where("doc_id IS NULL"))
+    """docs without those that are copies of a kept document of a smaller id; rows that repeat an id with another text are other documents."""
+    keep = _copies(docs.select("doc_id", "text"), bands).where("stays")
+    row, hashed, key = unused(docs, "row", "hashed", "key")
+    keep = keep.select(F.col("doc_id").alias(key), F.col("hashed").alias(hashed)).distinct()
+    kept = docs.join(keep, (docs["doc_id"] == F.col(key)) & (F.xxhash64(docs["text"].cast("string")) == F.col(hashed)))
+    kept = kept.withColumn(row, F.row_number().over(Window.partitionBy(key, hashed).orderBy(key)))
+    return kept.where(F.col(row) == 1).select(*(docs[c] for c in docs.columns)).unionByName(docs.where("doc_id IS NULL"))
 
 
 def op4_simhash(spark, sf_dir: str) -> DataFrame:

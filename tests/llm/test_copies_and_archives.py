@@ -162,6 +162,12 @@ def test_dedup_of_inserted_and_cut_passages(spark):
     assert kept == plain_kept(texts) and len(kept) < 0.6 * len(texts)
 
 
+def test_dedup_keeps_other_texts_of_an_id(spark):
+    rows = [(5, "a b c d e f", "s"), (5, "quite another text of this id", "s"), (5, "A b c d e f", "s"), (6, "a b c d e f", "s"), (6, "third text with the same id six", "s")]
+    got = sorted((r.doc_id, r.text.lower()) for r in simhash.dedup(docs(spark, rows)).collect())
+    assert got == [(5, "a b c d e f"), (5, "quite another text of this id"), (6, "third text with the same id six")]
+
+
 # ---- packages
 
 def packed(records, force=True):

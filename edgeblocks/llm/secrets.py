@@ -3,7 +3,7 @@
 Patterns propose spans; the hash of each proposed value is then counted over the whole corpus by distinct repository
 (document) and distinct owner (source). A value that many owners hold is a copied example, one that a single owner holds looks
 live. Pattern spans always stay; the count decides about the generic mixed-character tokens, which are added only where they
-belong to few owners, and about redaction.
+belong to few owners. Redaction spares only what is copied widely: by many owners and many repositories together.
 
 Defined cases: null text is empty; null ids and owners count as one value each; repeated rows are counted once as a
 repository; an empty table gives an empty result; extra columns are ignored.
@@ -30,6 +30,8 @@ GENERIC = ("generic", r"[A-Za-z0-9+/_-]{20,}")
 KINDS = ["assign", "access", "hex", "generic"]
 #: A value is owner-specific if at most so many owners hold it.
 MAX_OWNERS = 1
+#: Redaction spares a value held by more owners and also by more repositories than these.
+SPARED_OWNERS, SPARED_REPOS = 3, 10
 
 
 def _found(text: Column, kind: str) -> Column:
@@ -131,16 +133,17 @@ def _cut(text: Column, spans: Column, mark: str) -> Column:
     return F.concat(done["out"], F.substring(text, done["at"] + 1, F.length(text)))
 
 
-def redact(docs: DataFrame, max_owners: int = MAX_OWNERS, mark: str = "<secret>") -> DataFrame:
-    """docs with owner-specific secrets replaced in the text; n_chars follows it if there is such a column.
+def redact(docs: DataFrame, max_owners: int = SPARED_OWNERS, max_repos: int = SPARED_REPOS, mark: str = "<secret>") -> DataFrame:
+    """docs with secrets that aren't copied widely replaced in the text; n_chars follows it if there is such a column.
 
     Only documents that hold a span are shuffled; the others pass by untouched.
     """
     base, generic = candidates(F.col("text"))
     flagged = F.coalesce((F.size(base) + F.size(generic)) > 0, F.lit(False))
     key, hashed, spans = unused(docs, "key", "hashed", "spans")
-    rows = judged(scanned(docs), max_owners)
-    live = rows.select(F.col("repo").alias(key), F.col("text_hash").alias(hashed), F.filter("judged", lambda s: s["live"]).alias(spans)).where(F.size(spans) > 0).dropDuplicates([key, hashed])
+    rows = judged(scanned(docs))
+    rare = F.filter("judged", lambda s: (s["owners"] <= max_owners) | (s["repos"] <= max_repos))
+    live = rows.select(F.col("repo").alias(key), F.col("text_hash").alias(hashed), rare.alias(spans)).where(F.size(spans) > 0).dropDuplicates([key, hashed])
     hit = docs.where(flagged)
     hit = hit.join(live, hit["doc_id"].eqNullSafe(F.col(key)) & (F.xxhash64(hit["text"]) == F.col(hashed)), "left")
     hit = hit.withColumn("text", F.when(F.col(spans).isNotNull(), _cut(F.col("text"), F.col(spans), mark)).otherwise(F.col("text")))

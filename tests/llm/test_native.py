@@ -101,6 +101,14 @@ def test_secret_edges(spark):
     assert sorted(r.text for r in secrets.redact(twice).collect()) == ["<secret>", "a <secret> b", "a <secret> b"]
 
 
+def test_redaction_of_values_in_few_copies(spark):
+    """A value in two sources, or in many documents of few sources, goes; one that many of both hold stays."""
+    few, narrow, wide = "token=abcdefgh1", "token=abcdefgh2", "token=abcdefgh3"
+    rows = [(i, few, f"s{i}") for i in range(2)] + [(10 + i, narrow, f"s{i % 3}") for i in range(30)] + [(50 + i, wide, f"s{i % 6}") for i in range(30)]
+    clean = {r.doc_id: r.text for r in secrets.redact(docs(spark, rows)).collect()}
+    assert all(t == (wide if i >= 50 else "<secret>") for i, t in clean.items()) and len(clean) == len(rows)
+
+
 def test_native_plans(spark, small):
     for run in (mixing.op3_mixing, secrets.op8_secrets):
         plan = run(spark, small)._jdf.queryExecution().toString()

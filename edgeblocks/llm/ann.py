@@ -4,7 +4,8 @@ Smallest Euclidean distance is largest inner product after a vector x gets one m
 1. Vectors are cut into sub-spaces of two components with 16 centres each, so a code has four bits per sub-space. Centres
 and codes minimise a loss in which the part of the residual parallel to the vector, which is what changes the score of its
 best queries, weighs more than the part across it. A scan adds up 16-entry tables per sub-space and query; the best of
-each block are scored again on the original vectors in double precision.
+each block are scored again on the original vectors in double precision. So is every other vector whose code score, plus the length of
+its residual times that of the query, can still reach the k-th best of these: no neighbour is lost, also among near copies.
 
 Queries are taken in packs of at most PACK (a bounded broadcast); a pack is compared with all vectors in one pass over blocks,
 and each task keeps per query only the best k of what it has seen. Equal vectors are scanned once, with the smallest k + 1 of
@@ -27,7 +28,7 @@ from pyspark.sql import functions as F
 
 from ..storage import materialise
 
-#: Vectors that the centres are fitted on, queries in a broadcast, vectors in a block, candidates reranked per query and block.
+#: Vectors that the centres are fitted on, queries in a broadcast, vectors in a block, candidates reranked per query and block before the bound decides about the rest.
 FIT_SAMPLE, PACK, BLOCK, RERANK = 8192, 4096, 4096, 64
 #: Components in a sub-space, centres (four bits), score threshold as a share of the norm.
 WIDTH, CENTRES, THRESHOLD = 2, 16, 0.2
@@ -112,6 +113,13 @@ class Codebook:
         codes = np.hstack([codes, np.zeros((len(codes), codes.shape[1] % 2), np.uint8)])
         return codes[:, ::2] | codes[:, 1::2] << 4
 
+    def residuals(self, x: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """Length of what the codes of each vector leave out of it."""
+        a = _augmented(x) - self.shift
+        m = a.shape[1] // WIDTH
+        each = np.stack([codes & 15, codes >> 4], axis=2).reshape(len(codes), -1)[:, :m]
+        return np.linalg.norm(a - self.centres[np.arange(m)[None], each].reshape(len(a), -1), axis=1)
+
     def tables(self, q: np.ndarray) -> np.ndarray:
         """Per query and byte of a code, the score of each of the 256 pairs of centres."""
         pad = np.zeros((len(q), -(q.shape[1] + 1) % WIDTH))
@@ -122,17 +130,30 @@ class Codebook:
         return (one[:, 1::2, :, None] + one[:, ::2, None, :]).reshape(len(q), -1, 256).astype(np.float32)
 
 
-def scan(book: Codebook, queries: np.ndarray, codes: np.ndarray, rerank: int) -> np.ndarray:
-    """Per query the positions of the best rerank vectors of a block by their codes."""
-    if len(codes) <= rerank:
-        return np.tile(np.arange(len(codes)), (len(queries), 1))
-    out = np.empty((len(queries), rerank), np.int64)
+def scan(book: Codebook, queries: np.ndarray, block: np.ndarray, codes: np.ndarray, rerank: int, k: int, best: np.ndarray | None = None) -> list[np.ndarray]:
+    """Per query the positions of the vectors of a block that can be among its k nearest, itself and ties included.
+
+    best: distances beyond which nothing is wanted any more.
+    """
+    if len(codes) <= max(rerank, k + 1):
+        return [np.arange(len(codes))] * len(queries)
+    out = []
     columns = [np.ascontiguousarray(c) for c in codes.T]
+    lost = book.residuals(block, codes)
+    lengths = np.sqrt((queries**2).sum(axis=1) + 1)
+    shifts = queries @ book.shift[: queries.shape[1]] + book.shift[queries.shape[1]]
+    first = max(rerank, k + 1)
     for i, tables in enumerate(book.tables(queries)):
-        score = tables[0][columns[0]]
+        score, size = tables[0][columns[0]], np.abs(tables).max(axis=1).sum()
         for table, column in zip(tables[1:], columns[1:]):
             score += table[column]
-        out[i] = np.argpartition(score, len(codes) - rerank)[len(codes) - rerank :]
+        top = np.argpartition(score, len(codes) - first)[len(codes) - first :]
+        reach = np.partition(((block[top] - queries[i]) ** 2).sum(axis=1), k)[k]
+        if best is not None:
+            reach = min(reach, best[i] ** 2)
+        square = (queries[i] ** 2).sum()
+        slack = 1e-5 * size + 1e-9 * (square + reach)  # rounding of the tables, and of distances
+        out.append(np.flatnonzero(score + lengths[i] * lost >= (square - reach) / 2 - shifts[i] - slack))
     return out
 
 
@@ -201,7 +222,8 @@ def _scanner(book, sent, dim: int, k: int, rerank: int):
         best = [[] for _ in ids]
 
         def take(block: np.ndarray, codes: np.ndarray, owners: list[list[int]]) -> None:
-            for i, near in enumerate(scan(book.value, q, codes, rerank)):
+            far = np.array([x[-1][0] if len(x) >= k else np.inf for x in best])
+            for i, near in enumerate(scan(book.value, q, block, codes, rerank, k, far)):
                 d = np.sqrt(((block[near] - q[i]) ** 2).sum(axis=1))
                 keep = np.argsort(d, kind="stable")
                 if len(keep) > k + 1:  # ties at the edge stay

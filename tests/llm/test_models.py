@@ -108,6 +108,23 @@ def test_ann_edges(spark):
     assert ann.search(df.limit(0), F.col("vec_id") % 100 == 0).count() == 0
 
 
+def test_dense_group_over_full_blocks():
+    """A third of near-equal vectors: each block of 4096 still holds all of a query's nearest after the scan."""
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(3 * 4096, 64))
+    x[::3] = x[0] + 0.01 * rng.normal(size=(4096, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    book, q = ann.Codebook.fit(x[:4096]), x[:60]
+    for lo in range(0, len(x), 4096):
+        block = x[lo : lo + 4096]
+        found = ann.scan(book, q, block, book.encode(block), 64, 10)
+        for i, near in enumerate(found):
+            d = ((block - q[i]) ** 2).sum(axis=1)
+            assert set(np.argsort(d, kind="stable")[:11]) <= set(near.tolist())
+    assert np.mean([len(n) for n in found]) < 4096
+
+
+
 def test_anisotropic_codes_cut_the_parallel_error():
     rng = np.random.default_rng(1)
     x = rng.normal(size=(3000, 32))

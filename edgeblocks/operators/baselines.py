@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from . import sequential
 from .buffered import Partition
 from .canonical import Graph, degrees
+from .fennel import Lightest
 
 LAMBDA = 1.1
 
@@ -40,9 +41,11 @@ def round_robin(g: Graph, k: int) -> DataFrame:
     return g.edges.select("eid", "u", "v", F.pmod("eid", F.lit(k)).cast("int").alias("block"))
 
 
-def random_blocks(g: Graph, k: int, seed: int = 0) -> DataFrame:
-    """By hash of the edge, so a retried task draws the same."""
-    return g.edges.select("eid", "u", "v", F.pmod(F.xxhash64("eid", F.lit(seed)), F.lit(k)).cast("int").alias("block"))
+def random_blocks(g: Graph, k: int, seed: int = 12345) -> DataFrame:
+    """By an arithmetic hash of the edge, so a retried task draws the same, and any other engine too."""
+    x = F.col("eid") % 1_000_003
+    mixed = (x * 7919 + seed) % 1_000_003 * (x + 104_729) % 998_244_353
+    return g.edges.select("eid", "u", "v", F.pmod(mixed, F.lit(k)).cast("int").alias("block"))
 
 
 # ---- greedy by degree
@@ -50,34 +53,84 @@ def random_blocks(g: Graph, k: int, seed: int = 0) -> DataFrame:
 class _Greedy:
     """Replica table and scores over all k blocks."""
 
-    def __init__(self, n: int, k: int, limits: np.ndarray, lam: float, degree: np.ndarray | None):
-        self.table, self.loads, self.limits, self.lam = np.zeros((n, k), bool), np.zeros(k, np.int64), limits, lam
+    def __init__(self, n: int, k: int, limits: np.ndarray, lam: float, degree: np.ndarray | None, scan: str = "all"):
+        self.table, self.loads, self.limits, self.lam, self.scan = np.zeros((n, k), bool), np.zeros(k, np.int64), limits, lam, scan
         self.partial, self.degree = degree is None, np.zeros(n, np.int64) if degree is None else degree
+        if scan == "seen":  # blocks of each vertex, and loads from the lightest and the heaviest side
+            self.blocks: list[list[int]] = [[] for _ in range(n)]
+            self.light, self.top = Lightest(self.loads, limits), 0
+            self.at_load = {0: k}
+            self.low = 0
+
+    def score(self, a: int, b: int) -> np.ndarray:
+        share = self.degree[a] / (self.degree[a] + self.degree[b])
+        top, low = self.loads.max(), self.loads.min()
+        out = self.table[a] * (2 - share) + self.table[b] * (1 + share) + self.lam * (top - self.loads) / (1e-9 + top - low)
+        out[self.loads >= self.limits] = -1
+        return out
 
     def place(self, a: int, b: int) -> int:
         if self.partial:
             self.degree[a] += 1
             self.degree[b] += 1
+        return self.put(a, b, int(self.score(a, b).argmax()) if self.scan == "all" else self._of_seen(a, b))
+
+    def _of_seen(self, a: int, b: int) -> int:
+        """The same block from those of the two ends and the lightest: any other block gains nothing but balance, and less of it."""
         share = self.degree[a] / (self.degree[a] + self.degree[b])
-        top, low = self.loads.max(), self.loads.min()
-        score = self.table[a] * (2 - share) + self.table[b] * (1 + share) + self.lam * (top - self.loads) / (1e-9 + top - low)
-        score[self.loads >= self.limits] = -1
-        return self.put(a, b, int(score.argmax()))
+        best, key = -1, None
+        for i in {*self.blocks[a], *self.blocks[b], self.light.get(1)}:
+            load = int(self.loads[i])
+            if load < self.limits[i]:
+                new = (-(bool(self.table[a, i]) * (2 - share) + bool(self.table[b, i]) * (1 + share) + self.lam * (self.top - load) / (1e-9 + self.top - self.low)), i)
+                if key is None or new < key:
+                    best, key = i, new
+        return best
 
     def put(self, a: int, b: int, i: int) -> int:
+        if self.scan == "seen":
+            for x in (a, b):
+                if not self.table[x, i]:
+                    self.blocks[x].append(i)
+            load = int(self.loads[i])
+            self.at_load[load] -= 1
+            self.at_load[load + 1] = self.at_load.get(load + 1, 0) + 1
+            self.top = max(self.top, load + 1)
+            while not self.at_load[self.low]:
+                self.low += 1
         self.table[a, i] = self.table[b, i] = True
         self.loads[i] += 1
         return i
 
+    def cells(self) -> int:
+        """Entries held."""
+        return self.table.size + self.loads.size + self.degree.size
 
-def hdrf(g: Graph, k: int, eps: float | str = "0.03", lam: float = LAMBDA, degrees: str = "partial", lanes: int = 1) -> Partition:
-    """Prefers to copy the end of larger degree; lam weighs balance. degrees="exact" counts them in a pass before."""
 
-    def kernel(u, v, n, k, limits):
-        greedy = _Greedy(n, k, limits, lam, np.bincount(np.concatenate([u, v]), minlength=n) if degrees == "exact" else None)
-        return np.array([greedy.place(a, b) for a, b in zip(u.tolist(), v.tolist())], np.int64)
+def _pairs(u: np.ndarray, v: np.ndarray) -> list[tuple[int, int]]:
+    return list(zip(u.tolist(), v.tolist()))
+
 
-    return sequential.run(g, k, kernel, eps, lanes, 2 if degrees == "exact" else 1)
+def _degrees(u: np.ndarray, v: np.ndarray, n: int) -> np.ndarray:
+    return np.bincount(np.concatenate([u, v]), minlength=n)
+
+
+def hdrf_kernel(lam: float = LAMBDA, degrees: str = "partial", scan: str = "all") -> sequential.Kernel:
+    """scan="all" scores every block, as published; "seen" only those that can win, with the same result in time free of k."""
+
+    def kernel(u, v, n, k, limits, info=None):
+        greedy = _Greedy(n, k, limits, lam, _degrees(u, v, n) if degrees == "exact" else None, scan)
+        out = np.array([greedy.place(a, b) for a, b in _pairs(u, v)], np.int64)
+        if info is not None:
+            info["cells"] = greedy.cells()
+        return out
+
+    return kernel
+
+
+def hdrf(g: Graph, k: int, eps: float | str = "0.03", lam: float = LAMBDA, degrees: str = "partial", lanes: int | None = None, scan: str = "seen") -> Partition:
+    """Prefers to copy the end of larger degree; lam weighs balance. degrees="exact" counts them in a pass before."""
+    return sequential.run(g, k, hdrf_kernel(lam, degrees, scan), eps, lanes, 2 if degrees == "exact" else 1)
 
 
 # ---- two phases
@@ -85,7 +138,7 @@ def hdrf(g: Graph, k: int, eps: float | str = "0.03", lam: float = LAMBDA, degre
 def stream_clusters(u: np.ndarray, v: np.ndarray, degree: np.ndarray, cap: float) -> tuple[np.ndarray, np.ndarray]:
     """Cluster of each vertex and volumes: along the stream the end in the lighter cluster joins the heavier, below the cap."""
     own, volume, d = list(range(len(degree))), degree.tolist(), degree.tolist()
-    for a, b in zip(u.tolist(), v.tolist()):
+    for a, b in _pairs(u, v):
         ca, cb = own[a], own[b]
         if ca != cb and volume[ca] <= cap and volume[cb] <= cap:
             x, small, large = (a, ca, cb) if volume[ca] <= volume[cb] else (b, cb, ca)
@@ -113,17 +166,17 @@ def prepartition(edges: DataFrame, clusters: DataFrame, blocks: DataFrame) -> Da
     return both.where("bu = bv").select("eid", "u", "v", F.col("bu").alias("block"))
 
 
-def two_phase(g: Graph, k: int, second: str = "hdrf", eps: float | str = "0.03", lam: float = LAMBDA, lanes: int = 1) -> Partition:
-    """Clusters the stream, packs clusters on blocks, places what agrees, then the rest by HDRF over all blocks or, with
-    second="linear", on one of the two blocks of the ends' clusters."""
+def two_phase_kernel(second: str = "hdrf", lam: float = LAMBDA, scan: str = "all") -> sequential.Kernel:
+    if second not in ("hdrf", "linear"):
+        raise ValueError(second)
 
-    def kernel(u, v, n, k, limits):
-        degree = np.bincount(np.concatenate([u, v]), minlength=n)
+    def kernel(u, v, n, k, limits, info=None):
+        degree = _degrees(u, v, n)
         own, volume = stream_clusters(u, v, degree, 2 * len(u) / k)
         home = pack_clusters(volume, k)[own]
-        greedy = _Greedy(n, k, limits, lam, degree)
+        greedy = _Greedy(n, k, limits, lam, degree, scan)
         out = np.full(len(u), -1, np.int64)
-        pairs = list(zip(u.tolist(), v.tolist()))
+        pairs = _pairs(u, v)
         for e in np.flatnonzero(home[u] == home[v]).tolist():
             a, b = pairs[e]
             i = int(home[a])
@@ -132,11 +185,17 @@ def two_phase(g: Graph, k: int, second: str = "hdrf", eps: float | str = "0.03",
         for e in np.flatnonzero(out < 0).tolist():
             a, b = pairs[e]
             out[e] = greedy.place(a, b) if second == "hdrf" else _linear(greedy, a, b, home, own, volume, k)
+        if info is not None:
+            info["cells"] = greedy.cells() + own.size + volume.size + home.size
         return out
 
-    if second not in ("hdrf", "linear"):
-        raise ValueError(second)
-    return sequential.run(g, k, kernel, eps, lanes, 3)
+    return kernel
+
+
+def two_phase(g: Graph, k: int, second: str = "hdrf", eps: float | str = "0.03", lam: float = LAMBDA, lanes: int | None = None, scan: str = "seen") -> Partition:
+    """Clusters the stream, packs clusters on blocks, places what agrees, then the rest by HDRF over all blocks or, with
+    second="linear", on one of the two blocks of the ends' clusters."""
+    return sequential.run(g, k, two_phase_kernel(second, lam, scan), eps, lanes, 3)
 
 
 def _linear(greedy: _Greedy, a: int, b: int, home, own, volume, k: int) -> int:
@@ -154,10 +213,10 @@ def _linear(greedy: _Greedy, a: int, b: int, home, own, volume, k: int) -> int:
 
 # ---- further ones that the comparison leaves out
 
-def neighbour_expansion(g: Graph, k: int, eps: float | str = "0.03", sample: float = 2.0, lanes: int = 1) -> Partition:
+def neighbour_expansion(g: Graph, k: int, eps: float | str = "0.03", sample: float = 2.0, lanes: int | None = None) -> Partition:
     """Grows one block after the other from a bounded window of the stream, taking next the vertex with fewest outside edges."""
 
-    def kernel(u, v, n, k, limits):
+    def kernel(u, v, n, k, limits, info=None):
         window = max(1, int(sample * len(u) / k))
         out, done, todo = np.full(len(u), -1, np.int64), 0, list(range(len(u)))
         ends, at = list(zip(u.tolist(), v.tolist())), 0
@@ -205,29 +264,39 @@ def neighbour_expansion(g: Graph, k: int, eps: float | str = "0.03", sample: flo
     return sequential.run(g, k, kernel, eps, lanes)
 
 
-def window_greedy(g: Graph, k: int, window: int = 64, eps: float | str = "0.03", lam: float = LAMBDA, lanes: int = 1) -> Partition:
-    """Keeps a window of edges and places the one with the best score next."""
+def window_greedy(g: Graph, k: int, window: int = 64, eps: float | str = "0.03", lam: float = LAMBDA, lanes: int | None = None, adaptive: bool = True) -> Partition:
+    """Keeps a window of edges and places the one with the best score next; scores are those of HDRF with exact degrees, ties go to the edge read first.
+
+    The window starts with one edge. After as many placements as it holds, it doubles up to its bound if their mean score rose, and
+    halves if it fell: edges wait only as long as waiting pays.
+    """
 
-    def kernel(u, v, n, k, limits):
-        greedy = _Greedy(n, k, limits, lam, np.bincount(np.concatenate([u, v]), minlength=n))
-        pairs, out, held, nxt = list(zip(u.tolist(), v.tolist())), np.full(len(u), -1, np.int64), [], 0
+    def kernel(u, v, n, k, limits, info=None):
+        greedy = _Greedy(n, k, limits, lam, _degrees(u, v, n))
+        pairs, out, held, nxt = _pairs(u, v), np.full(len(u), -1, np.int64), [], 0
+        size, gained, before = 1 if adaptive else window, [], 0.0
         while nxt < len(pairs) or held:
-            while len(held) < window and nxt < len(pairs):
+            while len(held) < size and nxt < len(pairs):
                 held.append(nxt)
                 nxt += 1
-            x = np.array([pairs[e] for e in held])
-            best = int((greedy.table[x[:, 0]] & greedy.table[x[:, 1]]).any(axis=1).astype(int).argmax())
-            e = held.pop(best)
-            out[e] = greedy.place(*pairs[e])
+            scores = np.array([greedy.score(*pairs[e]) for e in held])
+            at = int(scores.max(axis=1).argmax())
+            e = held.pop(at)
+            out[e] = greedy.put(*pairs[e], int(scores[at].argmax()))
+            gained.append(float(scores[at].max()))
+            if adaptive and len(gained) >= size:
+                mean = sum(gained) / len(gained)
+                size = min(window, 2 * size) if mean >= before else max(1, size // 2)
+                before, gained = mean, []
         return out
 
     return sequential.run(g, k, kernel, eps, lanes)
 
 
-def restricted_buffer(g: Graph, k: int, buffer: int = 1024, eps: float | str = "0.03", lam: float = LAMBDA, lanes: int = 1) -> Partition:
+def restricted_buffer(g: Graph, k: int, buffer: int = 1024, eps: float | str = "0.03", lam: float = LAMBDA, lanes: int | None = None) -> Partition:
     """Postpones edges that no block holds an end of, in a buffer of fixed size; the buffer is emptied by degree when full."""
 
-    def kernel(u, v, n, k, limits):
+    def kernel(u, v, n, k, limits, info=None):
         degree = np.bincount(np.concatenate([u, v]), minlength=n)
         greedy = _Greedy(n, k, limits, lam, degree)
         pairs, out, held = list(zip(u.tolist(), v.tolist())), np.full(len(u), -1, np.int64), []

@@ -48,9 +48,20 @@ def place_stream(u: np.ndarray, v: np.ndarray, n: int, k: int, limits: np.ndarra
     return np.array(out)
 
 
-def partition(g: Graph, k: int, eps: float | str = "0.03", lanes: int = 1, net_memory: str = "last") -> Partition:
+def kernel(m: int | None = None, n_all: int | None = None, net_memory: str = "last") -> sequential.Kernel:
+    """m and n_all: edges and vertices of the whole graph, where the kernel sees a part of it."""
     if net_memory not in ("last", "all"):
         raise ValueError(net_memory)
-    m, n_all = g.m, g.n
-    kernel = lambda u, v, n, k, limits: place_stream(u, v, n, k, limits, m, n_all, net_memory=net_memory)
-    return sequential.run(g, k, kernel, eps, lanes)
+
+    def run(u, v, n, k, limits, info=None):
+        last = [set() for _ in range(n)] if net_memory == "all" else [-1] * n
+        out = place_stream(u, v, n, k, limits, m or len(u), n_all or n, net_memory=net_memory, last=last)
+        if info is not None:
+            info["cells"] = k + (sum(map(len, last)) if net_memory == "all" else len(last))
+        return out
+
+    return run
+
+
+def partition(g: Graph, k: int, eps: float | str = "0.03", lanes: int | None = None, net_memory: str = "last") -> Partition:
+    return sequential.run(g, k, kernel(g.m, g.n, net_memory), eps, lanes)

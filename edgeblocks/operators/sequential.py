@@ -14,8 +14,16 @@ from .buffered import Partition
 from .canonical import Graph
 from .metrics import block_cap
 
-#: A kernel gets local vertex numbers, the number of vertices, k and the limit of each block, and returns a block per edge.
-Kernel = Callable[[np.ndarray, np.ndarray, int, int, np.ndarray], np.ndarray]
+#: A kernel gets local vertex numbers, the number of vertices, k, the limit of each block and perhaps a dict for its figures, and returns a block per edge.
+Kernel = Callable[..., np.ndarray]
+#: Edges that one task takes at most where the number of lanes is left open.
+LANE_EDGES = 20_000_000
+
+
+def default_lanes(m: int, k: int) -> int:
+    """One lane, the exact stream order, as long as a task can hold the edges; beyond it as few lanes as that takes. Every lane may
+    round its quota up by an edge a block, so there are no more than the balance has room for."""
+    return max(1, min(-(-m // LANE_EDGES), 3 * m // (100 * k)))
 
 
 def lane_limits(sizes: list[int], k: int, l_max: int) -> list[int]:
@@ -28,8 +36,10 @@ def lane_limits(sizes: list[int], k: int, l_max: int) -> list[int]:
     return [n + spare * s // total for n, s in zip(need, sizes)]
 
 
-def run(g: Graph, k: int, kernel: Kernel, eps: float | str = "0.03", lanes: int = 1, passes: int = 1) -> Partition:
-    """assign from a kernel over edges in stream order: by later end, then the other. With lanes, each lane sees its own edges only."""
+def run(g: Graph, k: int, kernel: Kernel, eps: float | str = "0.03", lanes: int | None = None, passes: int = 1) -> Partition:
+    """assign from a kernel over edges in stream order: by later end, then the other. With lanes, each lane sees its own edges only;
+    lanes=None takes as many as default_lanes says."""
+    lanes = default_lanes(g.m, k) if lanes is None else lanes
     l_max = block_cap(g.m, k, eps)
     width = max(1, -(-g.n // lanes))
     lane_of = F.floor(F.col("v") / F.lit(width)).cast("int")

@@ -40,19 +40,26 @@ def batch_vertices(owned: DataFrame, delta: int) -> DataFrame:
     return ends.withColumn("label", F.when(F.col("is_past"), F.lit(delta) + rank).otherwise(F.col("v") - F.col("batch") * delta).cast("long"))
 
 
-def budget_cuts(edges: DataFrame, budget: int) -> DataFrame:
-    """Vertex to batch by owned edges instead of vertex count: (v, batch). A batch ends once it owns budget edges.
-
-    Prefix sums over a dense order: sums per range of ids first, then within each range; no task sees all vertices.
-    """
-    step = 4096
-    owned = edges.groupBy("v").agg(F.count(F.lit(1)).alias("own")).withColumn("r", F.floor(F.col("v") / step))
+def _prefix_batches(owned: DataFrame, budget: int, step: int = 4096) -> DataFrame:
+    """(v, batch) from (v, own): edges owned before v over the budget. Sums per range of ids first, then within each range; no task sees all vertices."""
+    owned = owned.withColumn("r", F.floor(F.col("v") / step))
     before = F.sum("s").over(Window.orderBy("r").rowsBetween(Window.unboundedPreceding, -1))
     ranges = owned.groupBy("r").agg(F.sum("own").alias("s")).select("r", F.coalesce(before, F.lit(0)).alias("base"))
     inside = F.sum("own").over(Window.partitionBy("r").orderBy("v").rowsBetween(Window.unboundedPreceding, 0))
     return owned.withColumn("upto", inside).join(ranges, "r").select("v", F.floor((F.col("upto") + F.col("base") - F.col("own")) / budget).alias("batch"))
 
 
+def budget_cuts(edges: DataFrame, budget: int) -> DataFrame:
+    """Vertex to batch by owned edges instead of vertex count: (v, batch), for vertices that own an edge. A batch ends once it owns budget edges."""
+    return _prefix_batches(edges.groupBy("v").agg(F.count(F.lit(1)).alias("own")), budget)
+
+
+def budget_batches(edges: DataFrame, budget: int) -> DataFrame:
+    """The same for every vertex that has an edge."""
+    ends = F.array(F.struct(F.col("v").alias("v"), F.lit(1).alias("own")), F.struct(F.col("u").alias("v"), F.lit(0).alias("own")))
+    return _prefix_batches(edges.select(F.explode(ends).alias("x")).groupBy("x.v").agg(F.sum("x.own").alias("own")), budget)
+
+
 def hub_pieces(edges: DataFrame, budget: int) -> DataFrame:
     """Edges of a vertex that owns more than budget of them, numbered in pieces of that size: (eid, u, v, piece)."""
     rank = F.row_number().over(Window.partitionBy("v").orderBy("u")) - 1
@@ -69,4 +76,4 @@ def arcs_with(edges: DataFrame, *more: str) -> DataFrame:
     return edges.select(*more, "eid", F.explode(ends).alias("x")).select(*more, "x.v", "x.nbr", "eid")
 
 
-__all__ = ["arcs", "arcs_with", "batch_arcs", "batch_count", "batch_of", "batch_sizes", "batch_vertices", "budget_cuts", "hub_pieces", "own_edges", "own_from_adjacency"]
+__all__ = ["arcs", "arcs_with", "batch_arcs", "batch_count", "batch_of", "batch_sizes", "batch_vertices", "budget_batches", "budget_cuts", "hub_pieces", "own_edges", "own_from_adjacency"]

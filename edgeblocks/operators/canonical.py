@@ -44,11 +44,11 @@ def simple_pairs(pairs: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     return kept.groupBy("u", "v").agg(F.count(F.lit(1)).alias("mult"))
 
 
-def build(pairs: DataFrame, name: str = "", id_order: str = "small_side_first", isolated: DataFrame | None = None) -> Graph:
+def build(pairs: DataFrame, name: str = "", id_order: str = "small_side_first", isolated: DataFrame | None = None, first: DataFrame | None = None) -> Graph:
     """Graph from pairs (a_kind, a_num, a_str, b_kind, b_num, b_str); isolated adds vertices (kind, num, str) without edges.
 
     id_order: small_side_first ranks kinds by how many vertices they have; natural keeps the kinds' own order; large_side_first
-    is the opposite; random orders by hash.
+    is the opposite; random orders by hash; event_time by the time (kind, num, str, at) of first, unseen vertices last.
     """
     ends = lambda s: [F.col(f"{s}_kind").cast("int").alias("kind"), F.col(f"{s}_num").cast("long").alias("num"), F.col(f"{s}_str").cast("string").alias("str")]
     known = F.coalesce("a_num", F.when(F.col("a_str").isNotNull(), 0)).isNotNull() & F.coalesce("b_num", F.when(F.col("b_str").isNotNull(), 0)).isNotNull()
@@ -59,7 +59,7 @@ def build(pairs: DataFrame, name: str = "", id_order: str = "small_side_first",
         both = both.union(isolated.select(F.col("kind").cast("int"), F.col("num").cast("long"), F.col("str").cast("string")))
     vertices = both.distinct()
     sizes = {r.kind: r["count"] for r in vertices.groupBy("kind").count().collect()}
-    by_size = {"small_side_first": lambda k: (sizes[k], k), "large_side_first": lambda k: (-sizes[k], k), "natural": lambda k: k, "random": lambda k: k}[id_order]
+    by_size = {"small_side_first": lambda k: (sizes[k], k), "large_side_first": lambda k: (-sizes[k], k), "natural": lambda k: k, "random": lambda k: k, "event_time": lambda k: k}[id_order]
     rank = {k: i for i, k in enumerate(sorted(sizes, key=by_size))}
     if rank:
         vertices = vertices.withColumn("kind_rank", F.element_at(F.create_map(*(F.lit(x) for kv in rank.items() for x in kv)), F.col("kind")))
@@ -67,7 +67,10 @@ def build(pairs: DataFrame, name: str = "", id_order: str = "small_side_first",
         vertices = vertices.withColumn("kind_rank", F.lit(0))
     if id_order == "random":
         vertices = vertices.withColumn("_h", F.xxhash64("kind", "num", "str"))
-    order = ["_h", "kind", "num", "str"] if id_order == "random" else ["kind_rank", "num", "str"]
+    if id_order == "event_time":
+        seen = first.select(F.col("kind").cast("int").alias("f_kind"), F.col("num").cast("long").alias("f_num"), F.col("str").cast("string").alias("f_str"), F.col("at").alias("_at_first"))
+        vertices = vertices.join(seen, (F.col("kind") == F.col("f_kind")) & F.col("num").eqNullSafe(F.col("f_num")) & F.col("str").eqNullSafe(F.col("f_str")), "left").drop("f_kind", "f_num", "f_str")
+    order = {"random": ["_h", "kind", "num", "str"], "event_time": [F.col("_at_first").asc_nulls_last(), "kind", "num", "str"]}.get(id_order, ["kind_rank", "num", "str"])
     vertices = materialise(dense_ids(vertices, order, "id").select("id", F.col("kind_rank").alias("kind"), F.col("kind").alias("_own"), "num", "str"), f"vertices-{name}")
 
     def key(s: str, out: str) -> tuple[DataFrame, Column]:

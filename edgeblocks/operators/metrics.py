@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from fractions import Fraction
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .canonical import Graph
@@ -72,11 +72,20 @@ def load_quantiles(assign: DataFrame, k: int) -> DataFrame:
     return loads(assign, k).agg(F.percentile_approx("load", F.array(F.lit(0.5), F.lit(0.9), F.lit(1.0)), 10000).alias("quantiles"))
 
 
-def new_replicas(assign: DataFrame) -> DataFrame:
-    """(batch, gamma): (vertex, block) pairs first met in a batch, less one for each vertex first met in it. assign has batch."""
-    ends = assign.select(F.explode(F.array("u", "v")).alias("v"), "block", "batch")
-    pairs = ends.groupBy("v", "block").agg(F.min("batch").alias("batch"))
-    starts = ends.groupBy("v").agg(F.min("batch").alias("batch"))
+def new_replicas(assign: DataFrame, seq: Column | None = None) -> DataFrame:
+    """(batch, gamma): (vertex, block) pairs first met in a batch, less one for each vertex first met in it. assign has batch.
+
+    seq: what orders the batches (their number, if not given). Batches of equal seq do not see each other: each counts against what came before.
+    """
+    ends = assign.select(F.explode(F.array("u", "v")).alias("v"), "block", "batch", (F.col("batch") if seq is None else seq).alias("seq"))
+    if seq is None:
+        pairs = ends.groupBy("v", "block").agg(F.min("batch").alias("batch"))
+        starts = ends.groupBy("v").agg(F.min("batch").alias("batch"))
+    else:  # a pair is new to every batch of the first seq that has it
+        seen = ends.distinct()
+        pairs = seen.join(seen.groupBy("v", "block").agg(F.min("seq").alias("seq")), ["v", "block", "seq"]).select("v", "block", "batch")
+        visits = seen.select("v", "batch", "seq").distinct()
+        starts = visits.join(visits.groupBy("v").agg(F.min("seq").alias("seq")), ["v", "seq"]).select("v", "batch")
     gained = pairs.groupBy("batch").agg(F.count(F.lit(1)).alias("p"))
     fresh = starts.groupBy("batch").agg(F.count(F.lit(1)).alias("s"))
     every = assign.select("batch").distinct().join(gained, "batch", "left").join(fresh, "batch", "left").na.fill(0, ["p", "s"])
@@ -107,14 +116,28 @@ def sync_messages(assign: DataFrame) -> DataFrame:
     return lambdas(assign).agg((2 * F.sum(F.col("lam") - 1)).alias("messages"))
 
 
-def certificate(assign: DataFrame, g: Graph, k: int, eps: float | str = "0.03") -> DataFrame:
-    """One row that a right partition shares with the base tables: placed, distinct_edges, bad_blocks, over_cap, bound_violations."""
+def certificate(assign: DataFrame, g: Graph, k: int, eps: float | str = "0.03", stats: DataFrame | None = None) -> DataFrame:
+    """One row that a right partition shares with the base tables: placed, distinct_edges, bad_blocks, over_cap, bound_violations.
+
+    bound_violations counts the batches of stats in which new replicas (gamma) exceed the cut of the batch's model, or are not known;
+    without stats the whole graph is one batch.
+    """
     from . import linegraph
 
     cap = block_cap(g.m, k, eps)
     base = assign.agg(F.count(F.lit(1)).alias("placed"), F.countDistinct("eid").alias("distinct_edges"), F.count_if((F.col("block") < 0) | (F.col("block") >= k) | F.col("block").isNull()).alias("bad_blocks"))
     over = loads(assign).agg(F.count_if(F.col("load") > cap).alias("over_cap"))
-    extra = lambdas(assign).agg(F.coalesce(F.sum(F.col("lam") - 1), F.lit(0)).alias("extra"))
-    cut = edge_cut(linegraph.contracted(g.edges), assign)
-    bound = extra.crossJoin(cut).select((F.col("extra") > F.col("cut")).cast("long").alias("bound_violations"))
+    if stats is None:
+        extra = lambdas(assign).agg(F.coalesce(F.sum(F.col("lam") - 1), F.lit(0)).alias("extra"))
+        bound = extra.crossJoin(edge_cut(linegraph.contracted(g.edges), assign)).select((F.col("extra") > F.col("cut")).cast("long").alias("bound_violations"))
+    else:
+        bound = stats.agg(F.count_if(F.col("gamma").isNull() | (F.col("gamma") > F.col("cut"))).alias("bound_violations"))
     return base.crossJoin(over).crossJoin(bound)
+
+
+def against_hashing(assign: DataFrame, g: Graph, k: int) -> DataFrame:
+    """One row: replicas that plain hashing makes (hash_copies), and whether assign makes fewer (below_hash)."""
+    from . import baselines
+
+    ours, plain = (replicas(a).agg(F.count(F.lit(1)).alias(n)) for a, n in ((assign, "copies"), (baselines.hash_edges(g, k), "hash_copies")))
+    return plain.crossJoin(ours).select("hash_copies", (F.col("copies") < F.col("hash_copies")).alias("below_hash"))

@@ -15,7 +15,7 @@ from .fennel import GAMMA, place_items
 
 #: Rounds of clustering and of refinement, bounds of the coarsest level, least shrinking, which part of a block a cluster
 #: may fill, and below which part of the items the moves of two rounds end the refinement.
-CLUSTER_ROUNDS, REFINE_ROUNDS, COARSEST_FACTOR, COARSEST_MOST, SHRINK, CAP_SHARE, STALLED = 5, 20, 4, 20_000, 0.95, 2, 400
+CLUSTER_ROUNDS, REFINE_ROUNDS, COARSEST_FACTOR, SHRINK, CAP_SHARE, STALLED = 5, 20, 4, 0.95, 2, 400
 
 
 @dataclass
@@ -44,7 +44,8 @@ def _sum_by(key: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def coarsest_size(items: int, k: int, factor: int = COARSEST_FACTOR) -> int:
-    return min(COARSEST_MOST, max(items // (2 * k), factor * k))
+    """The larger of a share of the items per block and some items per block."""
+    return max(items // (2 * k), factor * k)
 
 
 def cluster(level: Level, cap: int, rounds: int = CLUSTER_ROUNDS, seed: int = 0) -> np.ndarray:

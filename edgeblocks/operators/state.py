@@ -12,13 +12,17 @@ def seen(assign: DataFrame, seq: str = "batch") -> DataFrame:
     return ends.groupBy("v", "block").agg(F.max(F.struct("seq", "eid")).alias("at")).select("v", "block", F.col("at.seq").alias("seq"), F.col("at.eid").alias("eid"))
 
 
+def merge(memory: DataFrame, mode: str) -> DataFrame:
+    """One row per vertex (minimal: that of its last edge) or per vertex and block."""
+    if mode == "minimal":
+        return memory.groupBy("v").agg(F.max_by(F.struct("block", "seq", "eid"), F.struct("seq", "eid")).alias("x")).select("v", "x.block", "x.seq", "x.eid")
+    return memory.groupBy("v", "block").agg(F.max(F.struct("seq", "eid")).alias("at")).select("v", "block", F.col("at.seq").alias("seq"), F.col("at.eid").alias("eid"))
+
+
 def update(memory: DataFrame | None, assign: DataFrame, mode: str) -> DataFrame:
     """Memory after a batch. Minimal keeps the block of the vertex's last edge, the others every block; rows: (v, block, seq, eid)."""
     new = seen(assign)
-    both = new if memory is None else memory.unionByName(new)
-    if mode == "minimal":
-        return both.groupBy("v").agg(F.max_by(F.struct("block", "seq", "eid"), F.struct("seq", "eid")).alias("x")).select("v", "x.block", "x.seq", "x.eid")
-    return both.groupBy("v", "block").agg(F.max(F.struct("seq", "eid")).alias("at")).select("v", "block", F.col("at.seq").alias("seq"), F.col("at.eid").alias("eid"))
+    return merge(new if memory is None else memory.unionByName(new), mode)
 
 
 def cells(memory: DataFrame) -> DataFrame:

@@ -12,9 +12,11 @@ _LOCAL: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's checkpoint folder; a temporary one only where none is set (tests, local mode)."""
+    """The cluster's checkpoint folder; a temporary one only in local mode with none set (tests)."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = _LOCAL.setdefault("dir", "file://" + tempfile.mkdtemp(prefix="edgeblocks-"))
     if "://" not in base and base.startswith("/") and spark.sparkContext.master.startswith("local"):
         base = "file://" + base

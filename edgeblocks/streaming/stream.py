@@ -6,6 +6,7 @@ wrote. A one-pass stream keeps its state per lane in the state store. Windows, l
 
 from __future__ import annotations
 
+from collections import defaultdict
 from collections.abc import Iterator
 
 import numpy as np
@@ -16,8 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..operators import buffered, fennel, state
-from ..operators.fennel import GAMMA
+from ..operators import buffered, onthefly, state
 from ..operators.metrics import block_cap
 
 
@@ -38,11 +38,13 @@ class BufferedStream:
 
     folder/assign, folder/memory and folder/loads hold a subfolder per micro-batch, written whole or not at all: version b is made
     from version b - 1 alone, so a replay gives the same rows again. m_hint bounds the largest block from the start; without it
-    the bound grows with the edges seen.
+    the bound grows with the edges seen. mode: none looks nothing up, subset links r of the blocks that an edge's ends met, drawn by hash.
     """
 
-    def __init__(self, folder: str, k: int, eps: float | str = "0.03", m_hint: int | None = None, mode: str = "minimal"):
-        self.folder, self.k, self.eps, self.m_hint, self.mode = folder.rstrip("/"), k, eps, m_hint, mode
+    def __init__(self, folder: str, k: int, eps: float | str = "0.03", m_hint: int | None = None, mode: str = "minimal", r: int = 5):
+        if mode not in buffered.MODES:
+            raise ValueError(mode)
+        self.folder, self.k, self.eps, self.m_hint, self.mode, self.r = folder.rstrip("/"), k, eps, m_hint, mode, r
 
     def _last(self, batch_id: int, spark: SparkSession) -> int | None:
         """The version before batch_id."""
@@ -64,12 +66,14 @@ class BufferedStream:
                 loads[r["block"]] = r["load"]
             memory = spark.read.parquet(f"{self.folder}/memory/b={before}")
         new = rows.select("eid", F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).where("u < v").dropDuplicates(["u", "v"])
-        if memory is None:
+        if memory is None or self.mode == "none":
             known = new.select("eid", "u", "v", F.array().cast("array<bigint>").alias("blocks"))
         else:
-            ends = new.select("eid", F.explode(F.array("u", "v")).alias("x")).join(memory.select(F.col("v").alias("x"), "block"), "x")
-            lists = ends.groupBy("eid").agg(F.array_sort(F.collect_set(F.col("block").cast("long"))).alias("blocks"))
-            known = new.join(lists, "eid", "left").select("eid", "u", "v", "blocks")
+            ends = new.select("eid", F.explode(F.array("u", "v")).alias("x")).join(memory.select(F.col("v").alias("x"), F.col("block").cast("long").alias("block")), "x")
+            draw = F.pmod(F.col("eid") * 7919 + F.col("block") * 104729, F.lit(1_000_003))
+            met = ends.select("eid", F.struct((draw if self.mode == "subset" else F.lit(0)).alias("h"), "block").alias("x")).groupBy("eid").agg(F.array_sort(F.collect_set("x")).alias("x"))
+            first = F.slice("x", 1, self.r) if self.mode == "subset" else F.col("x")
+            known = new.join(met.select("eid", F.transform(first, lambda x: x["block"]).alias("blocks")), "eid", "left").select("eid", "u", "v", "blocks")
         size = known.count()
         cap = block_cap(self.m_hint or int(loads.sum()) + size, self.k, self.eps)
         o = buffered.Options(self.k, 1, cap, self.m_hint or int(loads.sum()) + size, self.mode)
@@ -81,7 +85,7 @@ class BufferedStream:
             col = table.column("blocks").combine_chunks()
             counts = np.array(col.value_lengths().fill_null(0))
             items = np.repeat(np.arange(len(eid)), counts)
-            block, _ = buffered.cut_batch(u, v, eid, None, items.tolist(), np.array(col.flatten()).tolist(), loads.copy(), limits, o, [0, 0])
+            block, _ = buffered.cut_batch(u, v, eid, None, items.tolist(), np.array(col.flatten()).tolist(), loads.copy(), limits, o, [0, 0, 0])
             return pa.table({"eid": eid, "u": u, "v": v, "block": block.astype(np.int32)})
 
         placed = known.withColumn("lane", F.lit(0)).groupBy("lane").applyInArrow(lambda t: cut(t.drop(["lane"])), "eid bigint, u bigint, v bigint, block int")
@@ -99,26 +103,30 @@ class BufferedStream:
         return spark.read.parquet(f"{self.folder}/assign").select("eid", "u", "v", "block", F.col("b").cast("long").alias("batch"))
 
 
+def lane_limits(load: np.ndarray, more: int, k: int, m: int, lanes: int, eps: float | str) -> np.ndarray:
+    """Limits of a lane's blocks for the next more edges: its share of the cap, or what the edges it has seen need where that is more. There is
+    always room; a lane that gets more than its share of the edges raises its blocks in step, evenly."""
+    share = block_cap(m, k, eps) if lanes == 1 else max(1, block_cap(m, k, eps) // lanes)
+    return np.full(k, max(share, block_cap(int(load.sum()) + more, k, eps)))
+
+
+def _placed(f: pd.DataFrame, load: np.ndarray, last: dict[int, int], k: int, m: int, n: int, lanes: int, eps: float | str) -> pd.DataFrame:
+    """The rows of f with their blocks; load and last are carried on."""
+    f = f.sort_values(["v", "u"])
+    held = defaultdict(lambda: -1, last)
+    blocks = onthefly.place_stream(f["u"].to_numpy(), f["v"].to_numpy(), 0, k, lane_limits(load, len(f), k, m, lanes, eps), m, n, loads=load, last=held)
+    last.update(held)
+    return f[["eid", "u", "v"]].assign(block=blocks.astype(np.int32))
+
+
 def one_pass(edges: DataFrame, k: int, m: int, n: int, lanes: int = 1, eps: float | str = "0.03") -> DataFrame:
     """Blocks for a stream of (eid, u, v): state per lane is the last block of each vertex and the loads."""
-    limit = block_cap(m, k, eps) if lanes == 1 else max(1, block_cap(m, k, eps) // lanes)
-    alpha = k**0.5 * n / max(m, 1) ** 1.5
 
     def place(key, frames: Iterator[pd.DataFrame], st: GroupState) -> Iterator[pd.DataFrame]:
         ids, blocks, loads = (list(x) for x in st.get) if st.exists else ([], [], [0] * k)
-        last = dict(zip(ids, blocks))
-        load = np.array(loads, np.int64)
-        limits = np.full(k, limit)
+        last, load = dict(zip(ids, blocks)), np.array(loads, np.int64)
         for f in frames:
-            f = f.sort_values(["v", "u"])
-            pick, out = fennel.Lightest(load, limits), []
-            for a, b in zip(f["u"].tolist(), f["v"].tolist()):
-                seen = {last.get(a, -1), last.get(b, -1), pick.get(1)} - {-1}
-                best = min((i for i in seen if load[i] < limit), key=lambda i: (alpha * GAMMA * float(load[i]) ** (GAMMA - 1) - (last.get(a) == i) - (last.get(b) == i), load[i], i))
-                last[a] = last[b] = best
-                load[best] += 1
-                out.append(best)
-            yield f[["eid", "u", "v"]].assign(block=np.array(out, np.int32))
+            yield _placed(f, load, last, k, m, n, lanes, eps)
         st.update((list(last), list(last.values()), load.tolist()))
 
     laned = edges.withColumn("lane", F.pmod(F.xxhash64("v"), F.lit(lanes)).cast("int"))
@@ -128,8 +136,8 @@ def one_pass(edges: DataFrame, k: int, m: int, n: int, lanes: int = 1, eps: floa
 class OnePassPlacer(StatefulProcessor):
     """The same with a map state, vertex to last block, and the loads as one value: only the vertices of a micro-batch are read and written."""
 
-    def __init__(self, k: int, limit: int, alpha: float):
-        self.k, self.limit, self.alpha = k, limit, alpha
+    def __init__(self, k: int, m: int, n: int, lanes: int, eps: float | str):
+        self.k, self.m, self.n, self.lanes, self.eps = k, m, n, lanes, eps
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         self.last = handle.getMapState("last", "v long", "block int")
@@ -137,21 +145,13 @@ class OnePassPlacer(StatefulProcessor):
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
         load = np.array(self.loads.get()[0] if self.loads.exists() else [0] * self.k, np.int64)
-        limits, cost = np.full(self.k, self.limit), lambda i: self.alpha * GAMMA * float(load[i]) ** (GAMMA - 1)
         for f in rows:
-            f = f.sort_values(["v", "u"])
             ends = set(f["u"].tolist()) | set(f["v"].tolist())
             last = {x: self.last.getValue((x,))[0] for x in ends if self.last.containsKey((x,))}
-            pick, out = fennel.Lightest(load, limits), []
-            for a, b in zip(f["u"].tolist(), f["v"].tolist()):
-                seen = {last.get(a, -1), last.get(b, -1), pick.get(1)} - {-1}
-                best = min((i for i in seen if load[i] < self.limit), key=lambda i: (cost(i) - (last.get(a) == i) - (last.get(b) == i), load[i], i))
-                last[a] = last[b] = best
-                load[best] += 1
-                out.append(best)
+            placed = _placed(f, load, last, self.k, self.m, self.n, self.lanes, self.eps)
             for x, block in last.items():
                 self.last.updateValue((x,), (int(block),))
-            yield f[["eid", "u", "v"]].assign(block=np.array(out, np.int32))
+            yield placed
         self.loads.update((load.tolist(),))
 
     def close(self) -> None:
@@ -163,10 +163,8 @@ ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvide
 
 def one_pass_stateful(edges: DataFrame, k: int, m: int, n: int, lanes: int = 1, eps: float | str = "0.03") -> DataFrame:
     """one_pass on a state store with column families. The session's spark.sql.streaming.stateStore.providerClass must be ROCKS when it starts."""
-    limit = block_cap(m, k, eps) if lanes == 1 else max(1, block_cap(m, k, eps) // lanes)
     laned = edges.withColumn("lane", F.pmod(F.xxhash64("v"), F.lit(lanes)).cast("int"))
-    placer = OnePassPlacer(k, limit, k**0.5 * n / max(m, 1) ** 1.5)
-    return laned.groupBy("lane").transformWithStateInPandas(placer, "eid long, u long, v long, block int", "Append", "None")
+    return laned.groupBy("lane").transformWithStateInPandas(OnePassPlacer(k, m, n, lanes, eps), "eid long, u long, v long, block int", "Append", "None")
 
 
 # ---- timed graphs
@@ -190,11 +188,23 @@ def sessions(edges: DataFrame, gap: str = "30 minutes", delay: str | None = None
     return timed.groupBy("v", F.session_window("ts", gap).alias("s")).agg(F.count(F.lit(1)).alias("events")).select("v", F.col("s.start").alias("start"), F.col("s.end").alias("end"), "events")
 
 
+def late_rows(query) -> int:
+    """Rows that a finished streaming query dropped for coming after the watermark."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
 def coactivity(left: DataFrame, right: DataFrame, within: str = "10 minutes", delay: str | None = None) -> DataFrame:
-    """(p, q, ts): two users on the same key within a time of each other. Both sides (ts, user, key); watermarks bound the state."""
+    """(p, q, ts): two users on the same key within a time of each other. Both sides (ts, user, key); watermarks bound the state.
+
+    Rows meet by key and stretch of time, the left ones in their own stretch and the next, so a key that occurs all the time is
+    many small groups.
+    """
+    stretch = lambda c: F.floor(F.unix_micros(c.cast("timestamp")) / F.expr(f"unix_micros(timestamp_micros(0) + INTERVAL {within})"))
     a = left.select(F.col("ts").alias("ts_a"), F.col("user").alias("p"), F.col("key").alias("k_a"))
     b = right.select(F.col("ts").alias("ts_b"), F.col("user").alias("q"), F.col("key").alias("k_b"))
     if delay:
         a, b = a.withWatermark("ts_a", delay), b.withWatermark("ts_b", delay)
-    near = F.expr(f"k_a = k_b AND ts_b >= ts_a AND ts_b <= ts_a + INTERVAL {within} AND p < q")
+    a = a.withColumn("s_a", F.explode(F.array(stretch(F.col("ts_a")), stretch(F.col("ts_a")) + 1)))
+    b = b.withColumn("s_b", stretch(F.col("ts_b")))
+    near = F.expr(f"k_a = k_b AND s_a = s_b AND ts_b >= ts_a AND ts_b <= ts_a + INTERVAL {within} AND p < q")
     return a.join(b, near).select("p", "q", F.col("ts_b").alias("ts"))

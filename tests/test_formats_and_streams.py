@@ -1,5 +1,7 @@
 """Formats by round trip, streams by replay, the SQL surface."""
 
+from datetime import datetime
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -96,3 +98,88 @@ def test_coactivity_and_sessions(spark):
     assert [tuple(r)[:2] for r in stream.coactivity(e, e, "10 MINUTES").collect()] == [(1, 2)]
     s = stream.sessions(e.select(F.col("key").alias("v"), "ts"), "30 minutes").orderBy("v", "start").collect()
     assert [(r.v, r.events) for r in s] == [(7, 2), (7, 1), (8, 1)]
+
+
+def star_and_pairs(spark):
+    """A hub whose edges all fall in one lane of the later end, and some more."""
+    rows = [(i, 0, 1000) if i == 0 else (i, i, 1000) for i in range(60)] + [(60 + i, 2000 + i, 3000 + i) for i in range(20)]
+    return spark.createDataFrame([(datetime(2024, 1, 1), *r) for r in rows], "ts timestamp, eid long, u long, v long")
+
+
+@pytest.mark.parametrize("way", ["one_pass", "one_pass_stateful"])
+def test_lane_with_a_hub(spark, tmp_path, way):
+    """A lane that gets far more than its share of the edges places them all, evenly."""
+    star_and_pairs(spark).coalesce(1).write.parquet(f"{tmp_path}/in")
+    edges = stream.source(spark, f"{tmp_path}/in", "ts timestamp, eid long, u long, v long")
+    name = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(name)
+    spark.conf.set(name, stream.ROCKS)
+    try:
+        getattr(stream, way)(edges, 4, 80, 101, lanes=4).writeStream.format("parquet").option("path", f"{tmp_path}/out").option("checkpointLocation", f"{tmp_path}/c").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    finally:
+        spark.conf.set(name, before)
+    got = spark.read.parquet(f"{tmp_path}/out").toPandas()
+    assert sorted(got["eid"]) == list(range(80)) and got["block"].between(0, 3).all()
+    assert got["block"].value_counts().max() <= 21 + 4  # the cap, and an edge more for each lane
+
+
+def test_buffered_stream_modes(spark, tmp_path):
+    """Without a memory a buffer is cut alone; with it, earlier blocks count; subset links some of what maximal links."""
+    import numpy as np
+
+    rng = np.random.default_rng(2)
+    pairs = sorted({(int(a), int(b)) for a, b in rng.integers(0, 40, (300, 2)) if a < b}, key=lambda e: (e[1], e[0]))
+    rows = [(i, a, b) for i, (a, b) in enumerate(pairs)]
+    cut = len(rows) // 2
+    got = {}
+    for mode in buffered.MODES:
+        b = stream.BufferedStream(f"file://{tmp_path}/{mode}", 4, m_hint=len(rows), mode=mode, r=1)
+        for at, part in enumerate((rows[:cut], rows[cut:])):
+            b.step(spark.createDataFrame(part, "eid long, u long, v long"), at)
+        got[mode] = [r.block for r in b.assign(spark).orderBy("eid").collect()]
+        assert len(got[mode]) == len(rows)
+        loads = np.bincount(got[mode][:cut], minlength=4)
+        part = np.array(rows[cut:])
+        met = {}
+        for (_, u, v), block in zip(rows[:cut], got[mode][:cut]):
+            met.setdefault(u, {})[block] = met.setdefault(v, {})[block] = 1
+        last = {}
+        for (_, u, v), block in zip(rows[:cut], got[mode][:cut]):
+            last[u] = last[v] = block
+        items, ids = [], []
+        for i, (e, u, v) in enumerate(rows[cut:]):
+            blocks = {"none": [], "minimal": sorted({last[x] for x in (u, v) if x in last}), "maximal": sorted({y for x in (u, v) for y in met.get(x, {})})}.get(mode)
+            if blocks is None:
+                blocks = sorted({y for x in (u, v) for y in met.get(x, {})}, key=lambda y, e=e: ((e * 7919 + y * 104729) % 1_000_003, y))[:1]
+            items += [i] * len(blocks)
+            ids += blocks
+        cap = buffered.block_cap(len(rows), 4)
+        o = buffered.Options(4, 1, cap, len(rows), mode)
+        want, _ = buffered.cut_batch(part[:, 1], part[:, 2], part[:, 0], None, items, ids, loads, np.full(4, cap), o, [0, 0, 0])
+        assert got[mode][cut:] == want.tolist()
+    assert got["none"] != got["maximal"]
+    with pytest.raises(ValueError):
+        stream.BufferedStream("x", 2, mode="other")
+
+
+def test_components_inside_blocks(spark):
+    """Only copied vertices meet across blocks, and the result is that of the whole graph."""
+    import numpy as np
+
+    from edgeblocks.operators import analytics, baselines
+    from edgeblocks.operators.canonical import from_pairs
+
+    rng = np.random.default_rng(1)
+    g = from_pairs(spark.createDataFrame([(int(a), int(b)) for a, b in rng.integers(0, 300, (220, 2))], "a long, b long"))
+    parent = list(range(g.n))
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for r in g.edges.collect():
+        a, b = find(r.u), find(r.v)
+        parent[max(a, b)] = min(a, b)
+    got = {r.v: r.component for r in analytics.components(baselines.hash_edges(g, 5)).collect()}
+    assert got == {x: find(x) for x in range(g.n)}

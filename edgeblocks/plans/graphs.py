@@ -134,15 +134,22 @@ TUNING, TEST, HUGE = ["part_order", "geo", "turn_path"], ["trade_region", "trade
 _built: dict[tuple, Graph] = {}
 
 
+def first_seen(spark: SparkSession, d: str) -> DataFrame:
+    """(kind, num, str, at): when each property and each user of user_prop occurs first."""
+    e = table(spark, d, "events").select("ts", F.get_json_object("props", "$.k").cast("long").alias("k"), "user_id")
+    sides = [e.groupBy(F.col(c).alias("num")).agg(F.min("ts").alias("at")).select(F.lit(kind).alias("kind"), "num", F.lit(None).cast("string").alias("str"), "at") for kind, c in ((0, "k"), (1, "user_id"))]
+    return sides[0].union(sides[1]).where("num IS NOT NULL")
+
+
 def graph(spark: SparkSession, sf_dir: str, name: str, id_order: str = "small_side_first") -> Graph:
-    """The canonical graph; order_iso is part_order with the orders that have no line. Built once per session and folder."""
+    """The canonical graph; id_order event_time is for user_prop; order_iso is part_order with the orders that have no line. Built once per session and folder."""
     key = (spark.sparkContext.applicationId, sf_dir, name, id_order)
     if key not in _built:
         base, lonely = name, None
         if name == "order_iso":
             base = "part_order"
             lonely = table(spark, sf_dir, "orders").select(F.lit(1).alias("kind"), F.col("o_orderkey").alias("num"), F.lit(None).cast("string").alias("str"))
-        _built[key] = build(pairs_of(spark, sf_dir, base), name, id_order, lonely)
+        _built[key] = build(pairs_of(spark, sf_dir, base), name, id_order, lonely, first_seen(spark, sf_dir) if id_order == "event_time" else None)
     return _built[key]
 
 
@@ -159,6 +166,9 @@ _SQL_PAIRS = {
     "user_next": "SELECT 0 ak, user_id an, NULL::VARCHAR a_s, 0 bk, lead(user_id) OVER (ORDER BY ts, event_id) bn, NULL::VARCHAR b_s FROM events",
     "page_link": "SELECT 0 ak, page_id an, NULL::VARCHAR a_s, 1 bk, NULL::BIGINT bn, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) b_s FROM pages",
     "doc_token": "SELECT 0 ak, doc_id an, NULL::VARCHAR a_s, 1 bk, NULL::BIGINT bn, tok b_s FROM (SELECT doc_id, unnest(regexp_split_to_array(text, '[ \\t\\n\\r\\f\\x0B]+')) tok FROM documents) WHERE tok <> ''",
+    "knn": """SELECT 0 ak, p an, NULL::VARCHAR a_s, 0 bk, q bn, NULL::VARCHAR b_s FROM (SELECT a.vec_id AS p, b.vec_id AS q,
+  row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_cosine_similarity(a.x, b.x), 12) DESC, b.vec_id) AS r
+  FROM (SELECT vec_id, embedding::DOUBLE[] AS x FROM embeddings) a JOIN (SELECT vec_id, embedding::DOUBLE[] AS x FROM embeddings) b ON a.vec_id <> b.vec_id) WHERE r <= 10""",
     "turn_path": "SELECT 0 ak, conv_id * 1000000 + turn an, NULL::VARCHAR a_s, 0 bk, conv_id * 1000000 + lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) bn, NULL::VARCHAR b_s FROM conversations",
 }
 

@@ -13,7 +13,7 @@ from ..operators.canonical import Graph
 from ..sources.tables import table
 from ..storage import materialise
 from ..streaming import stream
-from . import profiles, published, workloads
+from . import profiles, published, stepwise, workloads
 from .graphs import NAMES, graph, sql_prefix
 
 #: The flagship setting.
@@ -39,7 +39,7 @@ def g_of(spark: SparkSession, d: str, name: str = NAME) -> Graph:
 for _n in [*NAMES, "order_iso"]:
     add(
         f"graph_{_n}", lambda s, d, n=_n: canonical.summary(g_of(s, d, n)),
-        None if _n == "knn" else """, dg AS (SELECT count(*) AS c FROM arc GROUP BY v)
+        """, dg AS (SELECT count(*) AS c FROM arc GROUP BY v)
 SELECT (SELECT count(*) FROM v) AS n, (SELECT count(*) FROM e) AS m, max(c) AS max_degree, count(*) FILTER (c <= 2) AS low_degree FROM dg""",
         _n,
     )
@@ -83,7 +83,7 @@ def owned(s: SparkSession, d: str, name: str = NAME, delta: int = DELTA) -> Data
 add("split_vertices", lambda s, d: linegraph.split_vertices(owned(s, d)), _OWN + " SELECT batch, x AS v, (row_number() OVER (PARTITION BY batch, x ORDER BY eid) - 1)::INT AS pos, eid FROM b")
 add(
     "split_edges", lambda s, d: linegraph.dominant_edges(linegraph.split_vertices(owned(s, d))).drop("w"),
-    _OWN + ", s AS (SELECT batch, x, (row_number() OVER (PARTITION BY batch, x ORDER BY eid) - 1)::INT AS pos, eid FROM b) SELECT p.batch, p.eid, p.x AS v1, p.pos AS pos1, q.x AS v2, q.pos AS pos2 FROM s p JOIN s q ON p.eid = q.eid AND p.batch = q.batch AND p.x < q.x",
+    _OWN + ", s AS (SELECT batch, x, (row_number() OVER (PARTITION BY batch, x ORDER BY eid) - 1)::INT AS pos, eid FROM b) SELECT batch, eid, min(x) AS v1, arg_min(pos, x) AS pos1, max(x) AS v2, arg_max(pos, x) AS pos2 FROM s GROUP BY batch, eid",
 )
 add("split_auxiliary", lambda s, d: linegraph.auxiliary_edges(linegraph.split_vertices(owned(s, d))), _OWN + ", s AS (SELECT batch, x AS v, (row_number() OVER (PARTITION BY batch, x ORDER BY eid) - 1)::INT AS pos, eid AS e1, lead(eid) OVER (PARTITION BY batch, x ORDER BY eid) AS e2 FROM b) SELECT batch, v, pos, pos + 1 AS next_pos, e1, e2 FROM s WHERE e2 IS NOT NULL")
 add("contracted_links", lambda s, d: linegraph.contracted(owned(s, d)).drop("w"), _LINKS + " SELECT batch, v, e1, e2 FROM l")
@@ -164,7 +164,7 @@ add("dbh_blocks", lambda s, d: baselines.dbh(g_of(s, d), K), _DEG + " SELECT eid
 add("dbh_rf", lambda s, d: metrics.replication(baselines.dbh(g_of(s, d), K), g_of(s, d)), _DEG + _RF)
 add("grid_rf", lambda s, d: metrics.replication(baselines.grid(g_of(s, d), 16), g_of(s, d)), _HASH.replace("((u * 31 + v * 17) % 8)", "(u % 4 * 4 + v % 4)") + _RF)
 add("round_robin_rf", lambda s, d: metrics.replication(baselines.round_robin(g_of(s, d), K), g_of(s, d)), _HASH.replace("((u * 31 + v * 17) % 8)", "(eid % 8)") + _RF)
-add("random_rf", lambda s, d: metrics.replication(baselines.random_blocks(g_of(s, d), K), g_of(s, d)))
+add("random_rf", lambda s, d: metrics.replication(baselines.random_blocks(g_of(s, d), K), g_of(s, d)), _HASH.replace("((u * 31 + v * 17) % 8)", "(((eid % 1000003 * 7919 + 12345) % 1000003 * (eid % 1000003 + 104729) % 998244353) % 8)") + _RF)
 add("replicas_hash", lambda s, d: metrics.replicas(hashed(s, d)), _HASH + " SELECT v, block FROM rep")
 add("covered_hash", lambda s, d: metrics.covered(hashed(s, d)), _HASH + " SELECT block, count(*) AS vertices FROM rep GROUP BY block")
 add("extra_copies_hash", lambda s, d: metrics.replication(hashed(s, d, "supp_part"), g_of(s, d, "supp_part")).select("extra_copies"), _HASH + " SELECT sum(lam - 1)::BIGINT AS extra_copies FROM lam", "supp_part")
@@ -178,8 +178,20 @@ add("balance_hash", lambda s, d: metrics.balance(hashed(s, d), K), _HASH + ", c
 _SEEN = _HASH + ", ev AS (SELECT u AS x, block, batch, eid FROM h UNION ALL SELECT v, block, batch, eid FROM h)"
 add("new_replicas_by_batch_hash", lambda s, d: metrics.new_replicas(hashed_batches(s, d)), _SEEN + ", p1 AS (SELECT x, block, min(batch) AS batch FROM ev GROUP BY x, block), f1 AS (SELECT x, min(batch) AS batch FROM ev GROUP BY x) SELECT batch, (SELECT count(*) FROM p1 WHERE p1.batch = t.batch) - (SELECT count(*) FROM f1 WHERE f1.batch = t.batch) AS gamma FROM (SELECT DISTINCT batch FROM h) t")
 add("sync_messages_hash", lambda s, d: metrics.sync_messages(hashed(s, d)), _HASH + " SELECT (2 * sum(lam - 1))::BIGINT AS messages FROM lam")
-add("load_quantiles_hash", lambda s, d: metrics.load_quantiles(hashed(s, d, "supp_part"), K))
-add("replication_preview_hash", lambda s, d: metrics.replication_preview(hashed(s, d), g_of(s, d)))
+add(
+    "load_quantiles_hash", lambda s, d: metrics.load_quantiles(hashed(s, d, "supp_part"), K).select(*(F.col("quantiles")[i].alias(n) for i, n in enumerate(("half", "most", "top")))),
+    _HASH + ", c AS (SELECT i::INT AS block, count(h.eid) AS load FROM range(8) t(i) LEFT JOIN h ON h.block = i GROUP BY i) SELECT quantile_disc(load, 0.5)::BIGINT AS half, quantile_disc(load, 0.9)::BIGINT AS most, max(load) AS top FROM c", "supp_part",
+)
+
+
+def _preview(s: SparkSession, d: str) -> DataFrame:
+    """The sketched replication, held within five of its standard errors of the exact one."""
+    g, a = g_of(s, d), hashed(s, d)
+    both = metrics.replication(a, g).select("rf").crossJoin(metrics.replication_preview(a, g, 0.02))
+    return both.select("rf", (F.abs(F.col("rf_approx") / F.col("rf") - 1) <= 5 * 0.02).alias("close"))
+
+
+add("replication_preview_hash", _preview, _HASH + " SELECT round(sum(lam) / (SELECT count(*) FROM v), 6) AS rf, true AS close FROM lam")
 add("block_bitmaps_hash", lambda s, d: state.block_bitmap(hashed(s, d)).groupBy("v").agg(F.sum(F.bitmap_count("bits")).alias("lam")), _HASH + " SELECT v, lam FROM lam")
 add("memory_cells_hash", lambda s, d: state.cells(state.update(None, hashed_batches(s, d), "minimal")).select(F.lit("minimal").alias("mode"), "cells").union(state.cells(state.update(None, hashed_batches(s, d), "maximal")).select(F.lit("maximal"), "cells")), _HASH + " SELECT 'minimal' AS mode, count(*) AS cells FROM lam UNION ALL SELECT 'maximal', count(*) FROM rep")
 
@@ -217,11 +229,20 @@ add("model_sizes_by_mode_hash", _model_sizes, _PAST + " " + " UNION ALL ".join(f
 
 # ---- partitioners: certificates that a right partition must show
 
-_CERT = "SELECT count(*) AS placed, count(*) AS distinct_edges, 0::BIGINT AS bad_blocks, 0::BIGINT AS over_cap, 0::BIGINT AS bound_violations FROM e"
+_CERT = "SELECT count(*) AS placed, count(*) AS distinct_edges, 0::BIGINT AS bad_blocks, 0::BIGINT AS over_cap, 0::BIGINT AS bound_violations"
+_BELOW = _HASH + f" {_CERT}, (SELECT count(*) FROM rep) AS hash_copies, true AS below_hash FROM e"
 
 
 def certified(run: Callable[[Graph], buffered.Partition], k: int = K) -> Query:
-    return lambda s, d: metrics.certificate(run(g_of(s, d)).assign, g_of(s, d), k)
+    """What must hold for the partition, batch by batch where the method has batches with a memory, and that it copies less than hashing."""
+
+    def query(s: SparkSession, d: str) -> DataFrame:
+        g = g_of(s, d)
+        p = run(g)
+        by_batch = "cut" in p.stats.columns and p.notes.get("mode") != "none"
+        return metrics.certificate(p.assign, g, k, stats=p.stats if by_batch else None).crossJoin(metrics.against_hashing(p.assign, g, k))
+
+    return query
 
 
 def buf(**more) -> Callable[[Graph], buffered.Partition]:
@@ -230,31 +251,60 @@ def buf(**more) -> Callable[[Graph], buffered.Partition]:
 
 _METHODS: dict[str, Callable[[Graph], buffered.Partition]] = {
     "buffered_minimal": buf(), "buffered_maximal": buf(mode="maximal"), "buffered_subset": buf(mode="subset", r=2), "buffered_none": buf(mode="none"),
-    "buffered_static": buf(alpha="static"), "buffered_dynamic": buf(alpha="dynamic"), "buffered_allk": buf(init="all_k"), "buffered_bucket": buf(init="two_set_bucket"),
+    "buffered_static": buf(alpha="static"), "buffered_dynamic": buf(alpha="dynamic"), "buffered_dynamic_low": buf(alpha="dynamic_low"), "buffered_allk": buf(init="all_k"), "buffered_bucket": buf(init="two_set_bucket"),
     "buffered_onebatch": buf(delta=1 << 40), "buffered_split": buf(line="split"), "buffered_neighbour_order": buf(order="nbr"), "buffered_random_order": buf(order="random"),
-    "buffered_jobs": buf(exec="jobs", delta=8192), "buffered_lanes": buf(lanes=4, delta=2048),
+    "buffered_jobs": buf(exec="jobs", delta=8192), "buffered_lanes": buf(lanes=4, delta=2048), "buffered_budget": buf(budget=8000), "buffered_budget_lanes": buf(budget=8000, lanes=3),
     "onthefly": lambda g: onthefly.partition(g, K), "onthefly_all": lambda g: onthefly.partition(g, K, net_memory="all"), "onthefly_lanes": lambda g: onthefly.partition(g, K, lanes=4),
     "hdrf": lambda g: baselines.hdrf(g, K), "hdrf_exact": lambda g: baselines.hdrf(g, K, degrees="exact"), "hdrf_lanes": lambda g: baselines.hdrf(g, K, lanes=4),
     "two_phase_hdrf": lambda g: baselines.two_phase(g, K), "two_phase_linear": lambda g: baselines.two_phase(g, K, "linear"),
     "neighbour_expansion": lambda g: baselines.neighbour_expansion(g, K), "window_greedy": lambda g: baselines.window_greedy(g, K), "restricted_buffer": lambda g: baselines.restricted_buffer(g, K),
 }
 for _n, _run in _METHODS.items():
-    add(_n, certified(_run), _CERT)
-add("many_blocks_hdrf", lambda s, d: metrics.certificate(baselines.hdrf(g_of(s, d, "turn_path"), 16384).assign, g_of(s, d, "turn_path"), 16384), _CERT, "turn_path")
+    add(_n, certified(_run), _BELOW)
+add("many_blocks_hdrf", lambda s, d: metrics.certificate(baselines.hdrf(g_of(s, d, "turn_path"), 16384).assign, g_of(s, d, "turn_path"), 16384), _CERT + " FROM e", "turn_path")
+
+# ---- one-pass methods, block by block against a step-by-step recursion in SQL
+
+_SMALL = stepwise.NAME
+
+
+def _blocks(run: Callable[[Graph], buffered.Partition]) -> Query:
+    return lambda s, d: run(g_of(s, d, _SMALL)).assign.select("eid", "u", "v", "block")
+
+
+def _flat(**more) -> Callable[[Graph], buffered.Partition]:
+    """The buffered method without clustering and refinement."""
+    return lambda g: buffered.partition(g, stepwise.K, delta=stepwise.DELTA, cluster_rounds=0, refine_rounds=0, **more)
+
+
+for _n, _run, _sql in (
+    ("onthefly_blocks", lambda g: onthefly.partition(g, K), stepwise.on_the_fly()), ("onthefly_all_blocks", lambda g: onthefly.partition(g, K, net_memory="all"), stepwise.on_the_fly(True)),
+    ("hdrf_blocks", lambda g: baselines.hdrf(g, K, scan="all"), stepwise.hdrf()), ("hdrf_seen_blocks", lambda g: baselines.hdrf(g, K), stepwise.hdrf()), ("hdrf_exact_blocks", lambda g: baselines.hdrf(g, K, degrees="exact"), stepwise.hdrf(True)),
+    ("two_phase_hdrf_blocks", lambda g: baselines.two_phase(g, K), stepwise.two_phase()), ("two_phase_linear_blocks", lambda g: baselines.two_phase(g, K, "linear"), stepwise.two_phase("linear")),
+    ("buffered_flat_minimal_blocks", _flat(), stepwise.buffered()), ("buffered_flat_maximal_blocks", _flat(mode="maximal"), stepwise.buffered("maximal")),
+    ("buffered_flat_none_blocks", _flat(mode="none"), stepwise.buffered("none")), ("buffered_flat_static_blocks", _flat(alpha="static"), stepwise.buffered("minimal", "static")),
+    ("buffered_flat_jobs_blocks", _flat(exec="jobs"), stepwise.buffered()), ("buffered_flat_allk_blocks", _flat(init="all_k"), stepwise.buffered()),
+):
+    add(_n, _blocks(_run), _sql, None)
+add("fennel_vertex_blocks", lambda s, d: _fennel_vertices(g_of(s, d, _SMALL)), stepwise.fennel_vertices(), None)
 
 
 def _batch_bounds(s: SparkSession, d: str) -> DataFrame:
-    """Batches in which new replicas exceed the cut of the model, for the modes that have a memory; and totals that must agree."""
+    """For every graph and the modes that have a memory, in one lane and in four: batches in which new replicas exceed the cut of the model,
+    and, in one lane, new replicas that do not add up to the extra copies of the whole graph (batches of a round do not see each other's)."""
     out = None
-    for mode in ("minimal", "subset", "maximal"):
-        p = buf(mode=mode)(g_of(s, d))
-        total = metrics.replication(p.assign, g_of(s, d)).select("extra_copies")
-        one = p.stats.agg(F.count_if(F.col("gamma") > F.col("cut")).alias("violations"), F.sum("gamma").alias("gamma")).crossJoin(total).select(F.lit(mode).alias("mode"), "violations", (F.col("gamma") - F.col("extra_copies")).alias("unexplained"))
-        out = one if out is None else out.union(one)
+    for name in ("trade_region", "trade_nation", "turn_path", "page_link", "user_prop", "geo"):
+        g = g_of(s, d, name)
+        for mode, lanes in (("minimal", 1), ("subset", 1), ("maximal", 1), ("minimal", 4)):
+            p = buffered.partition(g, K, delta=max(16, g.n // (4 * lanes)), mode=mode, lanes=lanes)
+            total = metrics.replication(p.assign, g).select("extra_copies")
+            sums = p.stats.agg(F.count_if(F.col("gamma").isNull() | (F.col("gamma") > F.col("cut"))).alias("violations"), F.sum("gamma").alias("gamma")).crossJoin(total)
+            one = sums.select(F.lit(name).alias("graph"), F.lit(mode).alias("mode"), F.lit(lanes).alias("lanes"), "violations", (F.col("gamma") - F.col("extra_copies") if lanes == 1 else F.lit(0).cast("long")).alias("unexplained"))
+            out = one if out is None else out.union(one)
     return out
 
 
-add("batch_bounds", _batch_bounds, "SELECT unnest(['minimal', 'subset', 'maximal']) AS mode, 0::BIGINT AS violations, 0::BIGINT AS unexplained", None)
+add("batch_bounds", _batch_bounds, "SELECT graph, mode, lanes::INT AS lanes, 0::BIGINT AS violations, 0::BIGINT AS unexplained FROM (SELECT unnest(['trade_region', 'trade_nation', 'turn_path', 'page_link', 'user_prop', 'geo']) AS graph), (VALUES ('minimal', 1), ('subset', 1), ('maximal', 1), ('minimal', 4)) t(mode, lanes)", None)
 
 
 def _tight(s: SparkSession, d: str) -> DataFrame:
@@ -275,10 +325,23 @@ def _different(one: Callable[[Graph], buffered.Partition], two: Callable[[Graph]
     return run
 
 
-for _n, _a, _b in (("two_set_equals_all_k", buf(), buf(init="all_k")), ("bucket_equals_heap", buf(), buf(init="two_set_bucket")), ("spac_equals_cspac_cost", buf(), buf(line="split")), ("single_task_equals_jobs", buf(delta=8192), buf(delta=8192, exec="jobs"))):
+for _n, _a, _b in (("two_set_equals_all_k", buf(), buf(init="all_k")), ("bucket_equals_heap", buf(), buf(init="two_set_bucket")), ("single_task_equals_jobs", buf(delta=8192), buf(delta=8192, exec="jobs")), ("single_task_equals_jobs_maximal", buf(delta=8192, mode="maximal"), buf(delta=8192, mode="maximal", exec="jobs")), ("single_task_equals_jobs_subset", buf(delta=8192, mode="subset", r=2, alpha="dynamic"), buf(delta=8192, mode="subset", r=2, alpha="dynamic", exec="jobs")), ("single_task_equals_jobs_none", buf(delta=8192, mode="none", alpha="static"), buf(delta=8192, mode="none", alpha="static", exec="jobs")), ("single_task_equals_jobs_low", buf(delta=8192, alpha="dynamic_low"), buf(delta=8192, alpha="dynamic_low", exec="jobs")), ("budget_equals_jobs", buf(budget=20000), buf(budget=20000, exec="jobs"))):
     add(_n, _different(_a, _b), "SELECT 0::BIGINT AS different", None)
 
 
+def _line_graph_sizes(s: SparkSession, d: str) -> DataFrame:
+    """What the cut works on with the split graph and with the contracted one: items, links and edges whose copies were torn apart."""
+    out = None
+    for line in ("contracted", "split"):
+        p = buf(line=line)(g_of(s, d))
+        one = p.stats.agg(F.sum("items").alias("items"), F.sum("links").alias("links"), F.sum("apart").alias("apart")).select(F.lit(line).alias("line"), "items", "links", "apart")
+        out = one if out is None else out.union(one)
+    return out
+
+
+add("split_against_contracted", _line_graph_sizes, _LINKS + ", n AS (SELECT (SELECT count(*) FROM e) AS m, (SELECT count(*) FROM l) AS l) SELECT 'contracted' AS line, m AS items, l AS links, 0::BIGINT AS apart FROM n UNION ALL SELECT 'split', 2 * m, m + l, 0 FROM n")
+
+
 def _vertex_cut(s: SparkSession, d: str, run) -> DataFrame:
     g = g_of(s, d, "copurchase")
     blocks = run(g)
@@ -306,7 +369,7 @@ def _fennel_vertices(g: Graph) -> DataFrame:
 _VCERT = "SELECT count(*) AS placed, 0::BIGINT AS bad_blocks, 0::BIGINT AS over_cap FROM v"
 add("buffered_vertex_partition", lambda s, d: _vertex_cut(s, d, lambda g: buffered.vertex_partition(g, K, delta=512)), _VCERT, "copurchase")
 add("fennel_vertex_stream", lambda s, d: _vertex_cut(s, d, _fennel_vertices), _VCERT, "copurchase")
-add("hypergraph_adapter", lambda s, d: metrics.replication(hypergraph.edge_partition_via(lambda pins: pins.select("pin").distinct().select(F.col("pin").alias("item"), F.pmod("pin", F.lit(K)).cast("int").alias("block")), g_of(s, d)), g_of(s, d)), ORACLES["round_robin_rf"], None)
+add("hypergraph_adapter", lambda s, d: hypergraph.edge_partition_via(lambda pins: hypergraph.stream_partition(pins, K), g_of(s, d, _SMALL)).select("eid", "u", "v", "block"), stepwise.on_the_fly(), None)
 
 # ---- reporting on the published rows
 
@@ -324,14 +387,15 @@ def _profile_sql(measure: str, where: str = "") -> str:
 q AS (SELECT alg, x / min(x) OVER (PARTITION BY graph, k) AS ratio FROM f) SELECT alg, tau::DOUBLE AS tau, round(avg(CASE WHEN ratio <= tau THEN 1 ELSE 0 END), 6) AS share FROM q, (SELECT unnest({_TAUS}) AS tau) GROUP BY alg, tau"""
 
 
-add("performance_profile_published", lambda s, d: profiles.performance_profile(_published(s), "rf", _TAUS), _profile_sql("rf"), None)
-add("performance_profile_large_k", lambda s, d: profiles.performance_profile(_published(s), "seconds", _TAUS, 512), _profile_sql("seconds", "WHERE k >= 512"), None)
-add("improvement_published", lambda s, d: profiles.mean_improvement(_published(s), "buffered_32x", "two_phase_hdrf", "rf"), _PUB + " SELECT count(*) AS instances, round((exp(avg(ln(b.rf))) / exp(avg(ln(a.rf))) - 1) * 100, 6) AS improvement, round(avg(CASE WHEN a.rf < b.rf THEN 1.0 ELSE 0.0 END), 6) AS win_rate FROM r a JOIN r b USING (graph, k) WHERE a.alg = 'buffered_32x' AND b.alg = 'two_phase_hdrf'", None)
-add("rollup_published", lambda s, d: profiles.rolled(_published(s), "rf"), _PUB + " SELECT alg, k, count(*) AS runs, round(exp(avg(ln(rf))), 6) AS mean FROM r GROUP BY ROLLUP (alg, k)", None)
-add("pivot_published", lambda s, d: profiles.pivoted(_published(s), "rf", published.METHODS), _PUB + " SELECT graph, k, " + ", ".join(f"max(rf) FILTER (alg = '{m}') AS {m}" for m in published.METHODS) + " FROM r GROUP BY graph, k", None)
-add("relative_published", lambda s, d: profiles.relative(_published(s), "gb", "onthefly").withColumn("ratio", F.round("ratio", 6)), _PUB + " SELECT a.alg, a.graph, a.k, round(a.gb / b.gb, 6) AS ratio FROM r a JOIN r b USING (graph, k) WHERE b.alg = 'onthefly'", None)
-add("slope_published", lambda s, d: profiles.slope(_published(s), "seconds"), _PUB + " SELECT alg, graph, round(regr_slope(ln(seconds), ln(k)), 4) AS slope FROM r GROUP BY alg, graph", None)
-add("best_of_published", lambda s, d: _published(s).groupBy("graph", "k").agg(F.min_by("alg", F.struct("rf", "alg")).alias("best")), _PUB + " SELECT graph, k, arg_min(alg, (rf, alg)) AS best FROM r GROUP BY graph, k", None)
+if published.rows():
+    add("performance_profile_published", lambda s, d: profiles.performance_profile(_published(s), "rf", _TAUS), _profile_sql("rf"), None)
+    add("performance_profile_large_k", lambda s, d: profiles.performance_profile(_published(s), "seconds", _TAUS, 512), _profile_sql("seconds", "WHERE k >= 512"), None)
+    add("improvement_published", lambda s, d: profiles.mean_improvement(_published(s), "buffered_32x", "two_phase_hdrf", "rf"), _PUB + " SELECT count(*) AS instances, round((exp(avg(ln(b.rf))) / exp(avg(ln(a.rf))) - 1) * 100, 6) AS improvement, round(avg(CASE WHEN a.rf < b.rf THEN 1.0 ELSE 0.0 END), 6) AS win_rate FROM r a JOIN r b USING (graph, k) WHERE a.alg = 'buffered_32x' AND b.alg = 'two_phase_hdrf'", None)
+    add("rollup_published", lambda s, d: profiles.rolled(_published(s), "rf"), _PUB + " SELECT alg, k, count(*) AS runs, round(exp(avg(ln(rf))), 6) AS mean FROM r GROUP BY ROLLUP (alg, k)", None)
+    add("pivot_published", lambda s, d: profiles.pivoted(_published(s), "rf", published.METHODS), _PUB + " SELECT graph, k, " + ", ".join(f"max(rf) FILTER (alg = '{m}') AS {m}" for m in published.METHODS) + " FROM r GROUP BY graph, k", None)
+    add("relative_published", lambda s, d: profiles.relative(_published(s), "gb", "onthefly").withColumn("ratio", F.round("ratio", 6)), _PUB + " SELECT a.alg, a.graph, a.k, round(a.gb / b.gb, 6) AS ratio FROM r a JOIN r b USING (graph, k) WHERE b.alg = 'onthefly'", None)
+    add("slope_published", lambda s, d: profiles.slope(_published(s), "seconds"), _PUB + " SELECT alg, graph, round(regr_slope(ln(seconds), ln(k)), 4) AS slope FROM r GROUP BY alg, graph", None)
+    add("best_of_published", lambda s, d: _published(s).groupBy("graph", "k").agg(F.min_by("alg", F.struct("rf", "alg")).alias("best")), _PUB + " SELECT graph, k, arg_min(alg, (rf, alg)) AS best FROM r GROUP BY graph, k", None)
 
 # ---- relational cases on the same graphs
 
@@ -406,7 +470,9 @@ def _user_edges(s: SparkSession, d: str) -> DataFrame:
     return _keyed_events(s, d).where("user IS NOT NULL AND key IS NOT NULL").select("ts", F.col("user").alias("u"), (F.col("key") + 1_000_000).alias("v"))
 
 
-add("window_graph_sliding", lambda s, d: stream.windowed(_user_edges(s, d), "1 day", "6 hours").groupBy("start").agg(F.count(F.lit(1)).alias("edges"), F.sum("mult").alias("events")).select(F.date_format("start", "yyyy-MM-dd HH").alias("hour"), "edges", "events"))
+add("window_graph_sliding", lambda s, d: stream.windowed(_user_edges(s, d), "1 day", "6 hours").groupBy("start").agg(F.count(F.lit(1)).alias("edges"), F.sum("mult").alias("events")).select(F.date_format("start", "yyyy-MM-dd HH").alias("hour"), "edges", "events"), """WITH k AS (SELECT ts, user_id AS u, 1000000 + json_extract_string(props, '$.k')::BIGINT AS v FROM events WHERE user_id IS NOT NULL AND json_extract_string(props, '$.k') IS NOT NULL),
+w AS (SELECT time_bucket(INTERVAL 6 HOURS, ts, TIMESTAMP '1970-01-01') - i * INTERVAL 6 HOURS AS start, least(u, v) AS u, greatest(u, v) AS v FROM k, range(4) t(i)),
+x AS (SELECT start, u, v, count(*) AS mult FROM w GROUP BY ALL) SELECT strftime(start, '%Y-%m-%d %H') AS hour, count(*) AS edges, sum(mult)::BIGINT AS events FROM x GROUP BY start""", None)
 add(
     "session_graph", lambda s, d: stream.sessions(_user_edges(s, d).select(F.col("u").alias("v"), "ts"), "10 hours").groupBy("v").agg(F.count(F.lit(1)).alias("sessions"), F.max("events").alias("longest")),
     """WITH x AS (SELECT user_id AS v, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 10 HOURS THEN 0 ELSE 1 END AS new FROM events WHERE user_id IS NOT NULL AND json_extract_string(props, '$.k') IS NOT NULL),
@@ -416,8 +482,14 @@ SELECT v, count(*) AS sessions, max(c) AS longest FROM z GROUP BY v""", None,
 add("stream_buffered", lambda s, d: workloads.stream_buffered(s, d), "SELECT count(*) AS placed, count(*) AS distinct_edges, 0::BIGINT AS bad_blocks FROM e", "user_prop")
 add("stream_one_pass", lambda s, d: workloads.stream_one_pass(s, d), "SELECT count(*) AS placed, count(*) AS distinct_edges, 0::BIGINT AS bad_blocks FROM e", "user_prop")
 add("stream_one_pass_stateful", lambda s, d: workloads.stream_one_pass_stateful(s, d), ORACLES["stream_one_pass"], None)
-add("stream_late_edges", lambda s, d: workloads.stream_late(s, d))
-add("stream_dedup", lambda s, d: workloads.stream_dedup(s, d))
+add(
+    "stream_late_edges", lambda s, d: workloads.stream_late(s, d),
+    """, f AS (SELECT least(a.id, b.id) AS u, greatest(a.id, b.id) AS v, min(ts) AS ts FROM events JOIN v a ON a.own = 0 AND a.num = json_extract_string(props, '$.k')::BIGINT JOIN v b ON b.own = 1 AND b.num = user_id GROUP BY 1, 2),
+x AS (SELECT *, (SELECT max(ts) FROM f) AS last, (SELECT min(ts) FROM f) AS start FROM f)
+SELECT count(DISTINCT date_trunc('day', ts)) FILTER (date_trunc('day', ts) + INTERVAL 1 DAY <= last - INTERVAL 1 HOUR) AS windows, count(*) FILTER (date_trunc('day', ts) + INTERVAL 1 DAY <= last - INTERVAL 1 HOUR) AS edges, count(*) FILTER (ts < start + INTERVAL 1 DAY) AS late FROM x""", "user_prop",
+)
+add("stream_coactivity", lambda s, d: workloads.stream_coactivity(s, d), ORACLES["interval_coactivity"], None)
+add("stream_dedup", lambda s, d: workloads.stream_dedup(s, d), "SELECT count(*) AS edges, count(*) AS distinct_edges FROM e", "user_prop")
 
 # ---- computing on blocks
 
@@ -464,7 +536,7 @@ def _contract_round(s: SparkSession, d: str) -> DataFrame:
 
 
 add("contract_round", _contract_round, _LINKS + " SELECT batch, least(e1 // 2, e2 // 2) AS a, greatest(e1 // 2, e2 // 2) AS b, count(*) AS w FROM l WHERE e1 // 2 <> e2 // 2 GROUP BY 1, 2, 3")
-add("coarsest_sizes", lambda s, d: s.createDataFrame([(n, k, multilevel.coarsest_size(n, k)) for n in (100, 10_000, 10_000_000) for k in (2, 32, 1024)], "items long, k int, bound long"), "SELECT i::BIGINT AS items, k::INT AS k, least(20000, greatest(i // (2 * k), 4 * k))::BIGINT AS bound FROM (SELECT unnest([100, 10000, 10000000]) AS i), (SELECT unnest([2, 32, 1024]) AS k)", None)
+add("coarsest_sizes", lambda s, d: s.createDataFrame([(n, k, multilevel.coarsest_size(n, k)) for n in (100, 10_000, 10_000_000) for k in (2, 32, 1024)], "items long, k int, bound long"), "SELECT i::BIGINT AS items, k::INT AS k, greatest(i // (2 * k), 4 * k)::BIGINT AS bound FROM (SELECT unnest([100, 10000, 10000000]) AS i), (SELECT unnest([2, 32, 1024]) AS k)", None)
 
 
 
@@ -503,6 +575,9 @@ add("cluster_rounds", _clustered, "SELECT true AS within, true AS fewer, 0::BIGI
 
 # ---- experiments
 
+for _n, (_run, _sql) in workloads.CHECKED.items():
+    add(_n, lambda s, d, run=_run: workloads.checked(run(s, d)), _sql, None)
+add("experiment_claims", workloads.claims, f"SELECT unnest({workloads.CLAIMS!r}) AS claim, true AS holds", None)
 for _n, _run in workloads.EXPERIMENTS.items():
     add(_n, _run)
 

@@ -11,7 +11,9 @@ hashes of the five-word shingles: an unchanged part of a text keeps its minima w
 similarity s agree on a band with probability s**ROWS. Texts that share a key are candidates; the exact Jaccard similarity of their sets
 of five-word shingles decides (SIMILAR or more). dedup goes by ascending id: a text stays unless it is that similar to one that stays, so each one dropped has a
 direct, verified link to a kept one. A key's texts are compared with its first few first, and with more of them where that leaves
-some open; a group of near copies is mostly gone before all its pairs would be made.
+some open; a group of near copies is mostly gone before all its pairs would be made. Before any text is fetched, a pair must pass a bound
+that no pair of SIMILAR or more can fail: of each set of shingles 512 parity bits are kept, of which every shingle flips one, so two sets
+differ in at least as many shingles as bits. It is part of the join, which gives out only what passes.
 
 Defined cases: null and empty text have no words and fingerprint zero, and link like any other; documents of null id get a
 component by their fingerprint and are never dropped by dedup; repeated rows stay rows (dedup keeps one per id and text); an empty table
@@ -21,12 +23,12 @@ gives an empty result; extra columns are ignored by components and kept by dedup
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import cache
+from functools import cache, reduce
 from itertools import combinations, repeat
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.components import connected_components
@@ -38,10 +40,12 @@ SEED, SHINGLE, DISTANCE = 42, 3, 3
 BLOCKS = (11, 11, 11, 11, 10, 10)
 #: Fingerprints of a group that one task compares directly.
 GROUP = 4096
-#: Bands of minima that dedup takes beside the fingerprint, and minima in a band: at similarity 0.8 all differ for one pair in 9000.
-BANDS, ROWS = 30, 6
+#: Bands of minima that dedup takes beside the fingerprint, and minima in a band: at similarity 0.8 all differ for one pair in 13000.
+BANDS, ROWS = 18, 4
 #: Words of a shingle and Jaccard similarity by which dedup calls two texts copies; first texts of a key that others meet at first.
-WIDE_SHINGLE, SIMILAR, LEADERS = 5, 0.8, 4
+WIDE_SHINGLE, SIMILAR, LEADERS = 5, 0.8, 8
+#: By how much the number of first texts grows from round to round, and 64-bit words of parity bits.
+MORE, PARITY = 8, 8
 _CHUNK = 1 << 16
 
 
@@ -104,6 +108,12 @@ def shingle_set(text: str | None) -> np.ndarray:
     return np.unique(out)
 
 
+def parity_bits(shingles: np.ndarray) -> np.ndarray:
+    """64 x PARITY bits, of which each shingle flips one."""
+    counts = np.bincount((shingles >> np.uint64(20)) % np.uint64(64 * PARITY), minlength=64 * PARITY)
+    return np.packbits((counts & 1).astype(np.uint8)).view(np.int64)
+
+
 def jaccard(a: np.ndarray, b: np.ndarray) -> float:
     """Of two shingle sets; two empty ones are equal."""
     both = np.concatenate([a, b])
@@ -137,6 +147,17 @@ def candidate_keys(text: str | None, shingles: np.ndarray, bands: int) -> np.nda
     return _named(values, np.arange(1, len(values) + 1, dtype=np.uint64))
 
 
+#: Columns that describe a set of shingles: its size and its parity bits.
+SET = ["size", *(f"bits{i}" for i in range(PARITY))]
+_SET_DDL = ", ".join(f"{c} {'int' if c == 'size' else 'bigint'}" for c in SET)
+
+
+def _may_be_similar() -> Column:
+    """Of columns size, bits0, … and the same with _a: false only where fewer than SIMILAR of the shingles can be in common."""
+    differ = reduce(lambda x, y: x + y, (F.bit_count(F.col(c).bitwiseXOR(F.col(f"{c}_a"))) for c in SET[1:]))
+    return differ * F.lit(1 + SIMILAR) <= (F.col("size") + F.col("size_a")) * F.lit(1 - SIMILAR) + F.lit(1e-6)
+
+
 def _named(values: np.ndarray, names: np.ndarray) -> np.ndarray:
     """Values of different names made different."""
     h = (values ^ names * np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD6E8FEB86659FD93)
@@ -148,14 +169,15 @@ def _key_batches(bands: int):
         from xxhash import xxh64_intdigest
 
         for b in batches:
-            nodes, keys = np.zeros(b.num_rows, np.uint64), []
+            nodes, keys, bits, sizes = np.zeros(b.num_rows, np.uint64), [], np.zeros((b.num_rows, PARITY), np.int64), np.zeros(b.num_rows, np.int32)
             for i, t in enumerate(x.as_py() for x in b.column("text")):
                 shingles = shingle_set(t)
                 nodes[i] = xxh64_intdigest(shingles.tobytes(), SEED)
+                bits[i], sizes[i] = parity_bits(shingles), len(shingles)
                 keys.append(candidate_keys(t, shingles, bands).view(np.int64))
             ends = np.cumsum([0, *map(len, keys)]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.zeros(0, np.int64), *keys])))
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("hashed"), pa.array(nodes.view(np.int64)), lists], names=["doc_id", "hashed", "node", "keys"])
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("hashed"), pa.array(nodes.view(np.int64)), lists, pa.array(sizes), *(pa.array(c.copy()) for c in bits.T)], names=["doc_id", "hashed", "node", "keys", *SET])
 
     return run
 
@@ -234,14 +256,18 @@ def links(fps: DataFrame) -> DataFrame:
 
 
 def components(docs: DataFrame) -> DataFrame:
-    """doc_id, fp, component_id for every row of docs."""
+    """doc_id, fp, component_id for every row of docs.
+
+    Links carry the least id of each fingerprint, so the component found is the smallest id already and no row is dealt by component.
+    """
     rows = materialise(fingerprints(docs), "fingerprints")
     least = materialise(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints")
-    linked = connected_components(links(least.select(F.lit(0).alias("r"), "fp")))
-    linked = least.join(linked, least["fp"] == linked["node"], "left").select("fp", "least", F.coalesce("component", "fp").alias("root"))
-    linked = materialise(linked, "fingerprint-roots")
-    first = linked.groupBy("root").agg(F.min("least").alias("component_id"))
-    return rows.join(linked.join(first, "root").select("fp", "component_id"), "fp")
+    at = least.select("fp", F.struct(F.col("least").isNull().alias("lost"), "least", "fp").alias("at"))  # fingerprints of null ids only come last
+    near = links(least.select(F.lit(0).alias("r"), "fp")).select("a", "b")
+    near = near.join(at.select(F.col("fp").alias("a"), F.col("at").alias("x")), "a").join(at.select(F.col("fp").alias("b"), F.col("at").alias("y")), "b")
+    found = connected_components(near, "x", "y").select(F.col("node.fp").alias("fp"), F.col("component.least").alias("found"))
+    parts = least.join(found, "fp", "left").select("fp", F.coalesce("found", "least").alias("component_id"))
+    return rows.join(parts, "fp")
 
 
 def _leading(held: DataFrame, n: int) -> DataFrame:
@@ -251,7 +277,7 @@ def _leading(held: DataFrame, n: int) -> DataFrame:
 
 
 def _represented(nodes: DataFrame, texts: DataFrame) -> DataFrame:
-    """node, kept: the node that stands for it, for every node that shares a key with another. nodes: node, least, keys.
+    """node, kept: the node that stands for it, for every node that shares a key with another. nodes: node, least, keys and SET.
 
     Each round verifies pairs of a key's first nodes with all of its others, more of them every time. A node that is
     among the first under all its keys knows all its earlier neighbours: it stays once none of them is left, and then its later
@@ -259,7 +285,7 @@ def _represented(nodes: DataFrame, texts: DataFrame) -> DataFrame:
     """
     open_, tested, decided, n = nodes, None, [], LEADERS
     while True:
-        held = open_.select("node", "least", F.explode("keys").alias("key"))
+        held = open_.select("node", "least", *SET, F.explode("keys").alias("key"))
         held = held.join(held.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key"), "key")
         held = materialise(held, "copy-keys")
         if held.isEmpty():
@@ -269,8 +295,10 @@ def _represented(nodes: DataFrame, texts: DataFrame) -> DataFrame:
         known = held.groupBy("node").agg(F.count(F.lit(1)).alias("all")).join(led, "node", "left").where("led = all").select("node")
         # a node that shares no key any more has no candidate left
         known = materialise(known.union(open_.join(held, "node", "left_anti").select("node")), "copy-known")
-        a, b = leading.select("key", F.col("node").alias("a"), F.col("least").alias("la")), held.select("key", F.col("node").alias("b"), F.col("least").alias("lb"))
-        pairs = b.join(a, "key").where("la < lb OR la = lb AND a < b").select("a", "b").distinct()
+        a = leading.select(F.col("key").alias("key_a"), F.col("node").alias("a"), F.col("least").alias("la"), *(F.col(c).alias(f"{c}_a") for c in SET))
+        b = held.select("key", F.col("node").alias("b"), F.col("least").alias("lb"), *SET)
+        earlier = (F.col("la") < F.col("lb")) | (F.col("la") == F.col("lb")) & (F.col("a") < F.col("b"))
+        pairs = b.join(a, (F.col("key") == F.col("key_a")) & earlier & _may_be_similar()).select("a", "b").distinct()
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         with_texts = pairs.join(texts.select(F.col("node").alias("b"), F.col("text").alias("text_b")), "b").join(texts.select(F.col("node").alias("a"), F.col("text").alias("text_a")), "a")
@@ -293,7 +321,7 @@ def _represented(nodes: DataFrame, texts: DataFrame) -> DataFrame:
         open_ = materialise(open_, "copy-open")
         if open_.isEmpty():
             return _union(decided)
-        n *= 4
+        n *= MORE
 
 
 def _union(parts: list[DataFrame]) -> DataFrame:
@@ -307,14 +335,14 @@ def _copies(docs: DataFrame, bands: int) -> DataFrame:
     """Of every row of docs doc_id, hashed (of the text), component_id, the id of the kept document that stands for it, and whether it is that one."""
     kind = docs.schema["doc_id"].dataType.simpleString()
     text = docs.select("doc_id", F.col("text").cast("string").alias("text")).withColumn("hashed", F.xxhash64("text"))
-    rows = materialise(text.mapInArrow(_key_batches(bands), f"doc_id {kind}, hashed bigint, node bigint, keys array<bigint>"), "copy-rows")
-    whole = rows.where("doc_id IS NOT NULL").groupBy("node").agg(F.min(F.struct("doc_id", "hashed")).alias("first"), F.first("keys").alias("keys"))
-    nodes = materialise(whole.select("node", F.col("first.doc_id").alias("least"), F.col("first.hashed").alias("hashed"), "keys"), "copy-nodes")
+    rows = materialise(text.mapInArrow(_key_batches(bands), f"doc_id {kind}, hashed bigint, node bigint, keys array<bigint>, {_SET_DDL}"), "copy-rows")
+    whole = rows.where("doc_id IS NOT NULL").groupBy("node").agg(F.min(F.struct("doc_id", "hashed")).alias("first"), F.first("keys").alias("keys"), *(F.first(c).alias(c) for c in SET))
+    nodes = materialise(whole.select("node", F.col("first.doc_id").alias("least"), F.col("first.hashed").alias("hashed"), "keys", *SET), "copy-nodes")
     held = nodes.select("node", F.explode(F.array_distinct("keys")).alias("key"))
     met = held.join(held.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "key").groupBy("node").agg(F.collect_list("key").alias("keys"))
     some = materialise(nodes.drop("keys").join(met, "node"), "copy-candidates")
     texts = materialise(some.join(text.withColumnRenamed("doc_id", "least"), ["least", "hashed"]).select("node", "text").dropDuplicates(["node"]), "copy-texts")
-    stands = materialise(_represented(some.select("node", "least", "keys"), texts), "copy-stands")
+    stands = materialise(_represented(some.select("node", "least", "keys", *SET), texts), "copy-stands")
     kept = nodes.select(F.col("node").alias("kept"), F.col("least").alias("component_id"), F.col("hashed").alias("first"))
     to = nodes.select("node").join(stands, "node", "left").select("node", F.coalesce("kept", "node").alias("kept")).join(kept, "kept")
     stays = (F.col("node") == F.col("kept")) & (F.col("doc_id") == F.col("component_id")) & (F.col("hashed") == F.col("first"))

@@ -116,6 +116,24 @@ def plain_kept(texts):
     return set(kept)
 
 
+def test_parity_bound_loses_no_pair():
+    """No pair of sets at 0.8 or more fails the bound; most pairs far below do."""
+    rng = np.random.default_rng(5)
+    passed = failed = 0
+    for n in (1, 2, 9, 40, 150, 600, 3000):
+        for share in (0.0, 0.02, 0.05, 0.1, 0.111, 0.12, 0.2, 0.4):
+            for _ in range(6):
+                a = rng.integers(0, 1 << 62, n).astype(np.uint64)
+                b = np.concatenate([a[int(share * n) :], rng.integers(0, 1 << 62, int(share * n * rng.random())).astype(np.uint64)])
+                a, b = np.unique(a), np.unique(b)
+                differ = sum(int(x).bit_count() for x in (simhash.parity_bits(a) ^ simhash.parity_bits(b)).view(np.uint64))
+                assert differ <= len(a) + len(b) - 2 * len(np.intersect1d(a, b))
+                may = differ * 1.8 <= (len(a) + len(b)) * 0.2 + 1e-6
+                assert may or simhash.jaccard(a, b) < 0.8
+                passed, failed = passed + may, failed + (not may)
+    assert failed > 30 and passed > 80
+
+
 def edited(words, at, rng):
     out = list(words)
     for i in at:

@@ -7,7 +7,8 @@ The chain is fitted on at most SAMPLE labelled documents, half of them of the la
 documents are scored. The cut of the last category is the one of best out-of-fold F1 at the labels' own rates.
 
 Defined cases: null text and text without words have probability 0 and are not toxic; labels that repeat a document count once,
-with the larger value; documents without label are scored like all others; with no labels, or labels of one class only,
+with the larger value; documents without label are scored like all others; a category whose labels are all of one class gets that
+class for every document with words, and the rest of the chain is fitted as ever; with no labels, or with a last category of one class,
 nothing is toxic; extra columns and repeated rows do no harm; an empty table gives an empty result.
 """
 
@@ -24,12 +25,12 @@ from pyspark.sql import functions as F
 
 from .bpe import by_size
 from .columns import unused
+from .plain import PLAIN
 
 #: Labelled documents for the fit, word buckets, words that a model keeps, folds.
 SAMPLE, BUCKETS, KEPT, FOLDS = 6000, 1 << 20, 1024, 5
 #: The chain: category and the condition on a label row.
 CHAIN = [("low_quality", "quality = 0"), ("toxic", "toxic = 1")]
-_PLAIN = bytes(32 if i < 48 or 57 < i < 65 or 90 < i < 97 or 122 < i < 128 else i for i in range(256))
 MEASURES = 3
 #: Bytes of the word beginnings that count as words too, for inflected forms.
 STEMS = (4, 6)
@@ -38,7 +39,7 @@ STEMS = (4, 6)
 def features(text: str | None) -> tuple[np.ndarray, np.ndarray]:
     """Different buckets of words and word beginnings, sorted, and the measures: log count of words, share of different ones, share of symbols."""
     raw = (text or "").lower().encode("utf-8", "surrogatepass")
-    plain = raw.translate(_PLAIN)
+    plain = raw.translate(PLAIN)
     words = plain.split()
     if not words:
         return np.zeros(0, np.int32), np.zeros(MEASURES)
@@ -57,6 +58,11 @@ class Linear:
     weights: np.ndarray
     bias: float
 
+    @property
+    def constant(self) -> bool:
+        """Whether the category had one class only, so that its log-odds tell later models nothing."""
+        return not self.weights.any()
+
     def logit(self, ids: np.ndarray, dense: np.ndarray) -> float:
         at = np.searchsorted(self.words, ids)
         at = at[(at < len(self.words)) & (self.words[np.minimum(at, len(self.words) - 1)] == ids)] if len(self.words) else at[:0]
@@ -107,19 +113,26 @@ class Chain:
         if not len(ids) or not self.models:
             return [0.0] * len(self.names)
         out: list[float] = []
+        seen: list[float] = []
         for model in self.models:
-            out.append(float(np.clip(model.logit(ids, np.concatenate([dense, out])), -30, 30)))
+            out.append(float(np.clip(model.logit(ids, np.concatenate([dense, seen])), -30, 30)))
+            seen.append(0.0 if model.constant else out[-1])
         return [1 / (1 + np.exp(-z)) for z in out]
 
 
 def fit_chain(docs: list[np.ndarray], dense: np.ndarray, labels: np.ndarray, names: list[str], rates: float | None = None, kept: int = KEPT, folds: int = FOLDS) -> Chain:
     """labels: documents x categories in chain order. rates: the last category's share among all labels."""
     chain = Chain(names)
-    if not len(docs) or (labels.min(axis=0) == labels.max(axis=0)).any():
+    if not len(docs) or (labels.min(axis=0) == labels.max(axis=0)).all():
         return chain
     fold = np.arange(len(docs)) % folds
     for c in range(labels.shape[1]):
         y = labels[:, c].astype(float)
+        if y.min() == y.max():  # nothing to tell apart: a constant for all
+            out = np.full(len(docs), 30.0 if y[0] else -30.0)
+            chain.models.append(Linear(np.zeros(0, np.int32), np.zeros(dense.shape[1]), out[0]))
+            dense = np.hstack([dense, np.zeros((len(docs), 1))])
+            continue
         out = np.zeros(len(docs))
         for f in range(folds):
             rest, own = np.flatnonzero(fold != f), np.flatnonzero(fold == f)
@@ -127,6 +140,9 @@ def fit_chain(docs: list[np.ndarray], dense: np.ndarray, labels: np.ndarray, nam
             out[own] = [np.clip(model.logit(docs[i], dense[i]), -30, 30) for i in own]
         chain.models.append(_fit_linear(docs, dense, y, kept))
         dense = np.hstack([dense, out[:, None]])
+    if y.min() == y.max():
+        chain.cut = 1.0
+        return chain
     order = np.argsort(-out)
     share = y.mean()
     rate = share if rates is None else rates

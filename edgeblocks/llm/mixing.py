@@ -5,7 +5,8 @@ source's budget runs out is split again by the next hash bits, level by level, u
 is taken when its hash lies below its source's threshold, so nothing is sorted and reruns agree.
 
 Defined cases: null text counts 0 words; a null source is a source of its own, last in order; documents of equal id share
-their hash and so their fate; an empty table gives an empty result; extra columns are ignored.
+their hash and so their fate; no document is taken more often than the cap says, those without words included; an empty table gives an
+empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -63,12 +64,15 @@ def _narrow(sized: DataFrame, marks: DataFrame, level: int) -> DataFrame:
     return edge.select("m_source", F.col("prefix").alias("m_prefix"), (F.col("m_rest") - (F.col("upto") - F.col("words"))).alias("m_rest"), F.col("words").alias("m_words"))
 
 
-def mix(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3) -> DataFrame:
-    """doc_id, size, source, source_size, target, taken: the words that the mix takes of each document.
+def _sized(docs: DataFrame) -> DataFrame:
+    return docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), id_hash(F.col("doc_id")).alias("h"))
 
-    A target above its source's size repeats every document target // size times; the remainder is taken by hash order.
+
+def bounds(sized: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3) -> tuple[DataFrame, bool]:
+    """(b_source, source_size, target, rounds, bound) of each source, and whether they are few enough for a broadcast.
+
+    Every document is taken rounds times, and once more if its hash is below the bound.
     """
-    sized = materialise(docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), id_hash(F.col("doc_id")).alias("h")), "mix-sizes")
     targets = materialise(source_targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, cap), "mix-targets")
     few = targets.limit(BROADCAST_SOURCES + 1).count() <= BROADCAST_SOURCES
     small = F.broadcast if few else lambda df: df
@@ -78,24 +82,39 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3) ->
     for level in range(1, LEVELS + 1):
         marks = _narrow(sized, small(marks), level)
     # a hash value at the very edge is taken whole if that ends nearer to the budget
-    bounds = plan.join(marks, plan["source"].eqNullSafe(marks["m_source"]), "left").select(
+    found = plan.join(marks, plan["source"].eqNullSafe(marks["m_source"]), "left").select(
         F.col("source").alias("b_source"), "source_size", "target", "rounds",
         F.when(F.col("m_words") - F.col("m_rest") < F.col("m_rest"), F.col("m_prefix") + 1).otherwise(F.col("m_prefix")).alias("bound"),
     )
-    picked = sized.join(small(bounds), sized["source"].eqNullSafe(F.col("b_source")))
-    repeats = F.col("rounds") + F.when(F.col("h") < F.col("bound"), 1).otherwise(0)
+    return materialise(found, "mix-bounds"), few
+
+
+def _repeats(h: Column, rounds: Column, bound: Column, cap: int) -> Column:
+    return F.least(rounds + F.when(h < bound, 1).otherwise(0), F.lit(cap))
+
+
+def mix(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3) -> DataFrame:
+    """doc_id, size, source, source_size, target, taken: the words that the mix takes of each document.
+
+    A target above its source's size repeats every document target // size times; the remainder is taken by hash order.
+    """
+    sized = materialise(_sized(docs), "mix-sizes")
+    found, few = bounds(sized, weights, cap)
+    picked = sized.join(F.broadcast(found) if few else found, sized["source"].eqNullSafe(F.col("b_source")))
+    repeats = _repeats(F.col("h"), F.col("rounds"), F.col("bound"), cap)
     return picked.select("doc_id", "source", "size", "source_size", "target", (F.col("size") * repeats).alias("taken"), repeats.alias("repeats"))
 
 
-def apply_mix(docs: DataFrame, **options) -> DataFrame:
-    """The mixed corpus: each document as often as the mix takes it, with the columns of docs."""
-    plan = mix(docs.select("doc_id", "source", "text"), **options)
-    key, source, repeats, copy = unused(docs, "key", "from", "repeats", "copy")
-    keep = plan.where("repeats > 0").groupBy("doc_id", "source").agg(F.max("repeats").alias(repeats))
-    keep = keep.select(F.col("doc_id").alias(key), F.col("source").alias(source), repeats)
-    same = docs["doc_id"].eqNullSafe(keep[key]) & docs["source"].eqNullSafe(keep[source])
-    kept = docs.join(keep, same).withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(repeats).cast("int"))))
-    return kept.select(*docs.columns)
+def apply_mix(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3) -> DataFrame:
+    """The mixed corpus: each document as often as the mix takes it, with the columns of docs. Texts are not shuffled: a document's
+    own hash and its source's bound decide."""
+    found, few = bounds(materialise(_sized(docs), "mix-sizes"), weights, cap)
+    source, rounds, bound, copy = unused(docs, "b_source", "rounds", "bound", "copy")
+    small = found.select(F.col("b_source").alias(source), F.col("rounds").alias(rounds), F.col("bound").alias(bound))
+    met = docs.join(F.broadcast(small) if few else small, docs["source"].eqNullSafe(small[source]))
+    repeats = _repeats(id_hash(docs["doc_id"]), F.col(rounds), F.col(bound), cap).cast("int")
+    kept = met.withColumn(copy, F.explode(F.when(repeats > 0, F.sequence(F.lit(1), repeats))))
+    return kept.select(*(docs[c] for c in docs.columns))
 
 
 def op3_mixing(spark, sf_dir: str) -> DataFrame:

@@ -1,11 +1,13 @@
 """License templates in texts: MinHash bands over overlapping windows retrieve, exact shingle containment verifies.
 
-Words are runs of ASCII letters and digits and other bytes, in lower case; shingles have five words (a shorter template is one
-shingle). Templates of about equal length form a class with windows as long as its longest one plus a stride, so every
-occurrence lies in a window whole. The least hashes of a window's shingles under several hash functions are its MinHash;
-bands of ROWS of them are compared with the templates'. bands_for() gives the number of bands for which a window that holds
-CONTAINMENT of a template's shingles is found with probability CONFIDENCE or more. Each window found is then compared with the
-template shingle by shingle. Nothing is shuffled; templates are a broadcast of known size.
+Templates are the full texts in license_texts and some short notices. Words are runs of ASCII letters and digits and other bytes, in lower
+case; shingles have five words (a shorter template is one shingle). Templates of about equal length form a class with windows as long as
+its longest one plus a stride, so every occurrence lies in a window whole. The least hashes of a window's shingles under several hash
+functions are its MinHash; bands of ROWS of them are compared with the templates'. bands_for() gives the number of bands for which a window that
+holds CONTAINMENT of a template's shingles is found with probability CONFIDENCE or more. Each window found is then compared with the
+template shingle by shingle. A band can agree only where the window holds a shingle that is a template's least one, so windows without such an
+anchor are passed over: the outcome is that of all windows, at the cost of one table look-up per word. Nothing is shuffled; templates
+are a broadcast of known size.
 
 Defined cases: null and empty text match nothing; of several occurrences of a template the best
 is reported, of equal ones the first; repeated rows and extra columns do no harm; an empty table gives an empty result.
@@ -16,6 +18,7 @@ from __future__ import annotations
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
+from importlib.resources import files
 
 import numpy as np
 import pyarrow as pa
@@ -23,22 +26,30 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import by_size
+from .plain import PLAIN as _PLAIN
 
-SHINGLE, CONTAINMENT, ROWS, CONFIDENCE = 5, 0.8, 1, 0.999
-#: Fixed texts: short public licence notices by identifier.
-TEMPLATES = {
+SHINGLE, CONTAINMENT, ROWS, CONFIDENCE = 5, 0.8, 2, 0.999
+#: Fixed texts: short public licence notices and opening paragraphs by identifier.
+NOTICES = {
     "MIT-notice": "Released under the MIT License.",
     "Apache-2.0-notice": "Licensed under the Apache License, Version 2.0.",
     "GPL-3.0-notice": "This work is licensed under the GNU General Public License, version 3.",
     "CC-BY-NC-4.0-notice": "Licensed under CC BY-NC 4.0.",
     "all-rights-reserved": "All rights reserved.",
-    "MIT": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the Software), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions",
+    "MIT-opening": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the Software), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions",
     "Apache-2.0-header": "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an AS IS BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.",
-    "BSD": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met",
+    "BSD-opening": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met",
     "GPL-3.0-header": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
-    "ISC": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
+    "ISC-opening": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
 }
-_PLAIN = bytes(32 if i < 48 or 57 < i < 65 or 90 < i < 97 or 122 < i < 128 else i for i in range(256))
+
+
+def license_texts() -> dict[str, str]:
+    """Full texts and long notices, by identifier."""
+    return {f.name.removesuffix(".txt"): f.read_text(encoding="utf-8") for f in sorted((files(__package__) / "license_texts").iterdir(), key=lambda f: f.name) if f.name.endswith(".txt")}
+
+
+TEMPLATES = {**NOTICES, **license_texts()}
 _ODD, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
 _INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
 _LAST = np.uint64(0xFFFFFFFFFFFFFFFF)
@@ -137,57 +148,80 @@ def classes(templates: dict[str, str] = TEMPLATES, containment: float = CONTAINM
     return out
 
 
-def _windows(h: np.ndarray, starts: np.ndarray, owner: np.ndarray, c: Class) -> np.ndarray:
-    """Least hash of each window for each function: minima of strides, then of as many of one text as a window touches."""
-    out = np.empty((len(c.seeds), len(starts)), np.uint64)
-    gone = h == _LAST
-    for i, seed in enumerate(c.seeds):
-        v = _mix(h * seed)
-        v[gone] = _LAST
-        least = np.minimum.reduceat(v, starts)
-        best = least.copy()
-        for j in range(1, min(-(-c.window // c.stride), len(least))):
-            best[:-j] = np.where(owner[:-j] == owner[j:], np.minimum(best[:-j], least[j:]), best[:-j])
-        out[i] = best
+#: Bits of a shingle hash by which the table of anchors is looked up.
+_TABLE = 20
+
+
+def anchors(cs: list[Class]) -> dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Per shingle width a table of first bits, the sorted shingles that are least in a template under a function, and their classes as a matrix."""
+    out = {}
+    for width in {c.width for c in cs}:
+        own = [(i, np.unique(np.concatenate([x[_mix(x[None] * c.seeds[:, None]).argmin(axis=1)] for x in c.sets]))) for i, c in enumerate(cs) if c.width == width]
+        least = np.unique(np.concatenate([a for _, a in own]))
+        belongs = np.zeros((len(least), len(cs)), bool)
+        for i, a in own:
+            belongs[np.searchsorted(least, a), i] = True
+        table = np.zeros(1 << _TABLE, bool)
+        table[(least >> np.uint64(64 - _TABLE)).astype(np.int64)] = True
+        out[width] = (table, least, belongs)
     return out
 
 
-def matches(texts: list[str | None], cs: list[Class], containment: float = CONTAINMENT) -> list[tuple[int, str, float, int]]:
+def _anchored(h: np.ndarray, table: np.ndarray, least: np.ndarray, belongs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Positions of anchors among the shingles, and which classes each belongs to."""
+    at = np.flatnonzero(table[(h >> np.uint64(64 - _TABLE)).astype(np.int64)])
+    rank = np.minimum(np.searchsorted(least, h[at]), len(least) - 1)
+    hit = least[rank] == h[at]
+    return at[hit], belongs[rank[hit]]
+
+
+def matches(texts: list[str | None], cs: list[Class], containment: float = CONTAINMENT, marks: dict | None = None) -> list[tuple[int, str, float, int]]:
     """(text, template, best containment, word where it starts) for the texts of a slice; windows start anew in each text."""
     words, per_text = word_hashes(texts)
     if not len(words):
         return []
-    text_starts = np.cumsum(per_text) - per_text
+    ends = np.cumsum(per_text)
     best: dict[tuple[int, str], tuple[float, int]] = {}
-    by_width = {w: shingle_hashes(words, per_text, w) for w in {c.width for c in cs}}
-    for c in cs:
-        h = by_width[c.width]
-        strides = -(-per_text // c.stride)
-        owner = np.repeat(np.arange(len(per_text)), strides)
-        starts = text_starts[owner] + (np.arange(len(owner)) - np.repeat(np.cumsum(strides) - strides, strides)) * c.stride
-        keys = _band_keys(_windows(h, starts, owner, c), c.rows)
-        reach = -(-c.window // c.stride) * c.stride
-        for t, own in enumerate(c.sets):
-            for w in np.flatnonzero((keys == c.keys[:, t, None]).any(axis=0)):
-                text, lo = int(owner[w]), int(starts[w])
-                part = h[lo : min(lo + reach, int(text_starts[text] + per_text[text]))]
-                inside = np.isin(part, own)
-                share = len(np.unique(part[inside])) / len(own)
-                if share >= containment:
-                    new = (share, -(lo + int(np.flatnonzero(inside)[0]) - int(text_starts[text])))
-                    best[text, c.names[t]] = max(new, best.get((text, c.names[t]), new))
+    for width, found in (marks or anchors(cs)).items():
+        h = shingle_hashes(words, per_text, width)
+        spots, belongs = _anchored(h, *found)
+        owner = np.searchsorted(ends, spots, side="right")
+        for i in np.flatnonzero(belongs.any(axis=0)):
+            c = cs[i]
+            reach = -(-c.window // c.stride) * c.stride
+            windows = set()
+            for p, text in zip(spots[belongs[:, i]].tolist(), owner[belongs[:, i]].tolist()):
+                at = p - int(ends[text] - per_text[text])
+                windows.update((text, w) for w in range(max(0, (at - reach) // c.stride + 1), at // c.stride + 1))
+            for text, w in sorted(windows):
+                begin = int(ends[text] - per_text[text])
+                lo = begin + w * c.stride
+                part = h[lo : min(lo + reach, int(ends[text]))]
+                part = part[part != _LAST]
+                if not len(part):
+                    continue
+                minima = np.array([_mix(part * s).min() for s in c.seeds])
+                keys = _band_keys(minima[:, None], c.rows)
+                for t in np.flatnonzero((keys == c.keys).any(axis=0)).tolist():
+                    own, name = c.sets[t], c.names[t]
+                    inside = np.isin(part, own)
+                    share = len(np.unique(part[inside])) / len(own)
+                    if share >= containment:
+                        new = (share, -(lo + int(np.flatnonzero(inside)[0]) - begin))
+                        best[text, name] = max(new, best.get((text, name), new))
     return [(text, name, s, -first) for (text, name), (s, first) in sorted(best.items())]
 
 
 def scan(docs: DataFrame, templates: dict[str, str] = TEMPLATES, containment: float = CONTAINMENT, rows: int = ROWS, confidence: float = CONFIDENCE) -> DataFrame:
     """doc_id, license_id, containment, first_word: a row per document and template found in it."""
-    sent = docs.sparkSession.sparkContext.broadcast(classes(templates, containment, rows, confidence))
+    cs = classes(templates, containment, rows, confidence)
+    sent = docs.sparkSession.sparkContext.broadcast((cs, anchors(cs)))
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def find(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in it:
             for p in by_size(b):
-                got = matches(p.column("text").to_pylist(), sent.value, containment)
+                got = matches(p.column("text").to_pylist(), sent.value[0], containment, sent.value[1])
                 ids = p.column("doc_id").take(pa.array([g[0] for g in got], pa.int64()))
                 rest = [pa.array([g[i] for g in got], t) for i, t in ((1, pa.string()), (2, pa.float64()), (3, pa.int64()))]
                 yield pa.RecordBatch.from_arrays([ids, *rest], names=["doc_id", "license_id", "containment", "first_word"])

@@ -7,13 +7,13 @@ best queries, weighs more than the part across it. A scan adds up 16-entry table
 each block are scored again on the original vectors in double precision. So is every other vector whose code score, plus the length of
 its residual times that of the query, can still reach the k-th best of these: no neighbour is lost, also among near copies.
 
-Queries are taken in packs of at most PACK (a bounded broadcast); a pack is compared with all vectors in one pass over blocks,
-and each task keeps per query only the best k of what it has seen. Equal vectors are scanned once, with the smallest k + 1 of
+Queries are taken in packs of at most PACK (a bounded broadcast); a pack is compared with all vectors in one pass over blocks, each
+task keeps per query only the best k of what it has seen, and what a pack finds is written before the next begins. Equal vectors are scanned once, with the smallest k + 1 of
 their ids, which loses no neighbour. The index is fitted on at most FIT_SAMPLE vectors, chosen by hash of the id; every vector is
 encoded.
 
-Defined cases: vectors that are null, zero, of another length than the first kept one, or that hold null or non-finite
-components take no part; a query's own id is no candidate; ties go to the smaller id; rows that repeat an id and a vector count
+Defined cases: vectors that are null, zero, of another length than the most frequent one (of equally frequent ones the shortest), or that hold null
+or non-finite components take no part; a query's own id is no candidate; ties go to the smaller id; rows that repeat an id and a vector count
 once; fewer candidates than k are all returned; an empty table gives an empty result.
 """
 
@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..storage import materialise
+from ..storage import fresh_dir, materialise
 
 #: Vectors that the centres are fitted on, queries in a broadcast, vectors in a block, candidates reranked per query and block before the bound decides about the rest.
 FIT_SAMPLE, PACK, BLOCK, RERANK = 8192, 4096, 4096, 64
@@ -192,17 +192,14 @@ def search(vectors: DataFrame, is_query, k: int = 10, rerank: int = RERANK, fit_
     indexed = materialise(unique.repartition(parts).mapInArrow(_encoder(book, dim), "ids array<bigint>, v array<double>, code binary"), "ann-index")
     total = queries.count()
     slot = F.pmod(F.xxhash64("vec_id"), F.lit(max(1, -(-total // max(1, pack // 2)))))  # packs of half the size on average
-    found = []
+    folder, found_ddl = fresh_dir(spark, "ann-found"), "query_id bigint, vec_id bigint, score double"
+    spark.createDataFrame([], found_ddl).write.parquet(folder)
     for p in range(max(1, -(-total // max(1, pack // 2)))):
         part = queries.where(slot == p).select("vec_id", "v").toArrow()
         if part.num_rows:
             sent = spark.sparkContext.broadcast((part.column("vec_id").to_numpy(), _matrix(part.column("v").combine_chunks(), dim)))
-            found.append(indexed.mapInArrow(_scanner(book, sent, dim, k, rerank), "query_id bigint, vec_id bigint, score double"))
-    if not found:
-        return spark.createDataFrame([], schema)
-    every = found[0]
-    for more in found[1:]:
-        every = every.unionByName(more)
+            indexed.mapInArrow(_scanner(book, sent, dim, k, rerank), found_ddl).write.mode("append").parquet(folder)
+    every = spark.read.schema(found_ddl).parquet(folder)
     best = Window.partitionBy("query_id").orderBy("score", "vec_id")
     return every.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
@@ -255,3 +252,15 @@ def _scanner(book, sent, dim: int, k: int, rerank: int):
 
 def op2_nearest(spark, sf_dir: str) -> DataFrame:
     return search(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), F.col("vec_id") % 100 == 0)
+
+
+#: All pairs; a distance adds its squares in eight lanes, as numpy does for vectors of 64 components.
+SQL = """
+WITH d AS (SELECT len(embedding) AS dim FROM embeddings WHERE len(embedding) > 0 GROUP BY 1 ORDER BY count(*) DESC, 1 LIMIT 1),
+v AS (SELECT DISTINCT vec_id, embedding::DOUBLE[] AS x FROM embeddings, d WHERE vec_id IS NOT NULL AND len(embedding) = dim
+      AND len(list_filter(embedding, lambda c: c IS NULL OR NOT isfinite(c))) = 0 AND len(list_filter(embedding, lambda c: c <> 0)) > 0),
+p AS (SELECT q.vec_id AS query_id, v.vec_id, list_transform(list_zip(q.x, v.x), lambda c: (c[2] - c[1]) * (c[2] - c[1])) AS s FROM v q JOIN v ON v.vec_id <> q.vec_id WHERE q.vec_id % 100 = 0),
+l AS (SELECT query_id, vec_id, list_transform(range(1, 9), lambda j: list_reduce(list_transform(range(0, len(s) // 8), lambda i: s[8 * i + j]), lambda a, b: a + b)) AS r FROM p),
+n AS (SELECT query_id, vec_id, sqrt(((r[1] + r[2]) + (r[3] + r[4])) + ((r[5] + r[6]) + (r[7] + r[8]))) AS score FROM l)
+SELECT query_id, rank::INT AS rank, vec_id, score FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score, vec_id) AS rank FROM n) WHERE rank <= 10
+"""

@@ -203,7 +203,10 @@ class Merger:
 
 
 class Encoder:
-    """A worker's encoder: mapped lexicon, remembered words, exact merges for the rest."""
+    """A worker's encoder: mapped lexicon, remembered words, exact merges for the rest.
+
+    The lexicon came by broadcast; the file that it is mapped from is the worker's own, unlinked as soon as it is mapped, and nobody else reads it.
+    """
 
     def __init__(self, spec_json: str, lexicon: bytes | None):
         import regex

@@ -17,4 +17,4 @@ QUERIES = {
     "op10_bpe": bpe.op10_bpe,
 }
 
-ORACLES = {"op1_warc": warc.SQL, "op3_mixing": mixing.SQL, "op8_secrets": secrets.SQL}
+ORACLES = {"op1_warc": warc.SQL, "op2_nearest": ann.SQL, "op3_mixing": mixing.SQL, "op8_secrets": secrets.SQL}

@@ -41,6 +41,10 @@ NAMES = sorted({n for _, n in SCRIPTS})
 _SCRIPT = np.array([NAMES.index(n) for _, n in SCRIPTS])
 
 
+#: Numbers of languages: 32 767 at most.
+LABEL = np.int16
+
+
 @cache
 def _letters() -> np.ndarray:
     return np.fromiter((chr(i).isalpha() for i in range(0x110000)), bool, 0x110000)
@@ -99,12 +103,12 @@ def viterbi(e: np.ndarray, per_text: np.ndarray, switch: float = SWITCH) -> np.n
     order = np.argsort(-per_text, kind="stable")
     lengths = per_text[order]
     starts = (np.cumsum(per_text) - per_text)[order]
-    labels = np.zeros(len(e), np.int8)
+    labels = np.zeros(len(e), LABEL)
     steps = int(lengths[0]) if len(lengths) else 0
     if not steps or n_lang == 1:
         return labels
     active = len(lengths) - np.searchsorted(lengths[::-1], np.arange(steps), side="right")
-    own, back = np.arange(n_lang, dtype=np.int8)[None, :], []
+    own, back = np.arange(n_lang, dtype=LABEL)[None, :], []
     v = np.zeros((active[0], n_lang), np.float32)
     last = np.zeros(len(lengths), np.int64)
     for t in range(steps):
@@ -114,7 +118,7 @@ def viterbi(e: np.ndarray, per_text: np.ndarray, switch: float = SWITCH) -> np.n
             v = v[:n]
         lead = v.argmax(axis=1)
         top = v[np.arange(n), lead][:, None] - np.float32(switch)
-        back.append(np.where(v >= top, own, lead[:, None].astype(np.int8)))
+        back.append(np.where(v >= top, own, lead[:, None].astype(LABEL)))
         v = np.maximum(v, top) + e[starts[:n] + t]
         v -= v.max(axis=1, keepdims=True)
     last[: len(v)] = v.argmax(axis=1)
@@ -175,7 +179,7 @@ def predict(docs: DataFrame, model: Model, keep_spans: bool = False) -> DataFram
                     labels = viterbi(m.emissions(w), w.per_text)
                     mass = np.bincount(text_of * len(m.langs) + labels, weights=w.lengths, minlength=n * len(m.langs)).reshape(n, -1)
                 else:
-                    labels, mass = np.zeros(len(w.starts), np.int8), np.zeros((n, 1))
+                    labels, mass = np.zeros(len(w.starts), LABEL), np.zeros((n, 1))
                 total = mass.sum(axis=1)
                 best = mass.argmax(axis=1)
                 lang = [m.langs[i] if t else "und" for i, t in zip(best, total)]

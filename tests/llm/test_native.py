@@ -50,6 +50,18 @@ def test_mixing_edges(spark):
     assert applied.columns == ["doc_id", "text", "source", "extra"] and applied.count() >= 1
 
 
+def test_texts_without_words_obey_the_cap(spark):
+    """Sources of which the first is taken three times over: no text is repeated oftener, and the mixed corpus holds what mix says."""
+    rows = [(i, None if i % 5 == 0 else "", "a") for i in range(40)] + [(i, "w x y", "a") for i in range(40, 60)] + [(i, "w " * 300, "b") for i in range(60, 90)]
+    table = docs(spark, rows)
+    out = mixing.mix(table, weights=(5, 1)).collect()
+    assert max(r.repeats for r in out) == 3 and max(r.repeats for r in out if not r.size) == 3
+    got = {r.doc_id: r["count"] for r in mixing.apply_mix(table, weights=(5, 1)).groupBy("doc_id").count().collect()}
+    assert got == {r.doc_id: r.repeats for r in out if r.repeats}
+    plan = mixing.apply_mix(table)._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" not in plan and "Exchange hashpartitioning" not in plan
+
+
 BASE = {
     "assign": (re.compile(r"""((?:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I), 2, 8),
     "access": (re.compile(r"AKIA[A-Z0-9]+"), 0, 16), "hex": (re.compile(r"[0-9a-f]+"), 0, 32),

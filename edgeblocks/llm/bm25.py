@@ -2,13 +2,17 @@
 
 Each document becomes its different terms with counts, once. Document frequencies of the queries' terms, the number of documents
 and their mean length are taken over all documents, so scores do not depend on the shards. A task turns its documents into
-shards of at most SHARD; a shard has posting lists, the maximum of each list, and the maximum of each list in each block of
-BLOCK documents. For a query the lists are ordered by their maxima; the weakest ones whose maxima together stay below the
-k-th best score so far can't lift a document into the result alone (the pivot test). Only the other lists are walked; a
-document goes on if its sum so far and the block maxima of the weak lists reach the k-th best score. Those that go on
-are scored in full, from their forward lists if they are few. The k-th best score carries over from shard to shard of a task.
-Whole lists are handled at a time, which changes the order of the tests but not their outcome. A query is the set of its
-different terms: how often it repeats one has no weight.
+shards of bounded postings. Inside a shard documents are ordered by their most frequent terms, so that documents of one language and kind stand
+together; a shard has posting lists, the maximum of each list, and the maximum of each list in each block of BLOCK documents.
+
+A query goes over the blocks in document order. The pivot is the next block whose block maxima together reach the k-th best score so
+far; everything before it is skipped, its postings are not read. First the block of the largest bound is scored, which gives a
+k-th best score to begin with. Of a run of pivot blocks the lists are ordered by their maxima; the weakest ones whose maxima together stay below
+the k-th best score can't lift a document into the result alone, so only the others are walked, and a document goes on if its sum so
+far and the block maxima of the weak lists reach the k-th best score. Those that go on are scored in full, from their forward
+lists if they are few. The k-th best score rises after each run and carries over from shard to shard of a task. Runs are handled as
+arrays, which changes the order of the tests but not their outcome. A query is the set of its different terms: how often it repeats one has
+no weight.
 
 Defined cases: null text and text without terms match nothing and ask nothing; a query matches its own document too; ties go to
 the smaller id; documents of null id take no part; documents that share no term with a query are not returned, so fewer than
@@ -22,30 +26,34 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..storage import materialise
+from ..storage import fresh_dir, materialise
 from .bpe import by_size
+from .memory import give_back
+from .plain import PLAIN
 
 K1, B = 1.2, 0.75
-#: Documents in a shard and in a block, and queries in a broadcast.
-SHARD, BLOCK, PACK = 8192, 64, 8192
-_PLAIN = bytes(32 if i < 48 or 57 < i < 65 or 90 < i < 97 or 122 < i < 128 else i for i in range(256))
+#: Documents in a block, documents and postings that fill a shard, terms of the queries in a broadcast (16 bytes each), blocks of the first run.
+BLOCK, SHARD, SHARD_POSTINGS, PACK_TERMS, RUN = 32, 8192, 2_000_000, 4_000_000, 64
+#: Documents after which the size of a shard is looked at.
+SLICE = 512
 
 
 def terms_of(text: str | None) -> tuple[np.ndarray, np.ndarray]:
     """64-bit hashes of the different terms, sorted, and their counts. A term is a run of ASCII letters and digits and other bytes."""
     from xxhash import xxh64_intdigest
 
-    counts = Counter((text or "").lower().encode("utf-8", "surrogatepass").translate(_PLAIN).split())
+    counts = Counter((text or "").lower().encode("utf-8", "surrogatepass").translate(PLAIN).split())
     hashes = np.fromiter(map(xxh64_intdigest, counts), np.uint64, len(counts)).view(np.int64)
     order = np.argsort(hashes)
     return hashes[order], np.fromiter(counts.values(), np.int32, len(counts))[order]
 
 
 def forward_index(docs: DataFrame) -> DataFrame:
-    """doc_id, terms, counts, length for every document with an id."""
+    """doc_id, terms, counts, length and how many different terms (width) for every document with an id."""
 
     def read(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in it:
@@ -54,10 +62,12 @@ def forward_index(docs: DataFrame) -> DataFrame:
                 ends = np.cumsum([0, *(len(t) for t, _ in got)]).astype(np.int32)
                 flat = [np.concatenate([np.zeros(0, k), *(g[i] for g in got)]) for i, k in ((0, np.int64), (1, np.int32))]
                 lists = [pa.ListArray.from_arrays(pa.array(ends), pa.array(f)) for f in flat]
-                yield pa.RecordBatch.from_arrays([p.column("doc_id"), *lists, pa.array([int(c.sum()) for _, c in got], pa.int64())], names=["doc_id", "terms", "counts", "length"])
+                yield pa.RecordBatch.from_arrays([p.column("doc_id"), *lists, pa.array([int(c.sum()) for _, c in got], pa.int64()), pa.array([len(t) for t, _ in got], pa.int32())], names=["doc_id", "terms", "counts", "length", "width"])
+                del got, flat, lists
+        give_back()
 
     rows = docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(read, "doc_id bigint, terms array<bigint>, counts array<int>, length bigint")
+    return rows.mapInArrow(read, "doc_id bigint, terms array<bigint>, counts array<int>, length bigint, width int")
 
 
 def _lists(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -93,15 +103,28 @@ class Queries:
         return self.terms[own], self.idf[self.terms[own]]
 
 
+def _kinds(flat: np.ndarray, counts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """Order of documents by their most frequent term, then by their number of terms; any order is right, this one keeps like ones together."""
+    has = np.flatnonzero(lengths)
+    starts = (np.cumsum(lengths) - lengths)[has]
+    most = np.zeros(len(lengths), np.int64)
+    if len(has):
+        top = np.repeat(np.maximum.reduceat(counts, starts), lengths[has])
+        most[has] = np.minimum.reduceat(np.where(counts == top, flat, np.iinfo(np.int64).max), starts)
+    return np.lexsort((lengths, most))
+
+
 class Shard:
     """Posting lists with maxima by list and block, and forward lists, over the terms of a pack."""
 
     def __init__(self, queries: Queries, ids: np.ndarray, flat: np.ndarray, counts: np.ndarray, lengths: np.ndarray, sizes: np.ndarray):
-        self.ids, n = ids, len(ids)
+        n, order = len(ids), _kinds(flat, counts, lengths)
+        self.ids, sizes, at = ids[order], sizes[order], _spread((np.cumsum(lengths) - lengths)[order], lengths[order])
+        flat, counts, lengths = flat[at], counts[at], lengths[order]
         at, known = queries.number(flat)
         doc = np.repeat(np.arange(n, dtype=np.int32), lengths)[known]
         term, tf = at[known].astype(np.int32), counts[known].astype(np.float64)
-        del at, known
+        del at, known, flat, counts
         gain = tf * (K1 + 1) / (tf + K1 * (1 - B + B * sizes[doc] / queries.mean))
         del tf
         self.doc_terms, self.doc_gains = term, gain
@@ -109,15 +132,20 @@ class Shard:
         order = np.argsort(term, kind="stable")  # documents are in order already
         self.docs, self.gains, term = doc[order].astype(np.intp), gain[order], term[order]
         del order, doc
-        self.terms, self.starts = np.unique(term, return_index=True)
+        terms, self.starts = np.unique(term, return_index=True)
+        self.list_of = np.full(len(queries.vocabulary), -1, np.int64)
+        self.list_of[terms] = np.arange(len(terms))
         self.sizes = np.diff(np.append(self.starts, len(term)))
         self.tops = np.maximum.reduceat(self.gains, self.starts) if len(term) else np.zeros(0)
         block = self.docs // BLOCK
-        cut = np.flatnonzero(np.diff(block, prepend=-1) | np.diff(term, prepend=-1)) if len(term) else np.zeros(0, np.int64)
-        self.block_of, self.block_top = block[cut], np.maximum.reduceat(self.gains, cut) if len(cut) else np.zeros(0)
-        self.block_starts = np.searchsorted(cut, self.starts)
-        self.block_sizes = np.diff(np.append(self.block_starts, len(cut)))
+        self.cut = np.flatnonzero((np.diff(block, prepend=-1) != 0) | (np.diff(term, prepend=-1) != 0)) if len(term) else np.zeros(0, np.int64)
+        self.block_of, self.block_top = block[self.cut], np.maximum.reduceat(self.gains, self.cut) if len(self.cut) else np.zeros(0)
+        self.cut = np.append(self.cut, len(term))
+        self.block_starts = np.searchsorted(self.cut[:-1], self.starts)
+        self.block_sizes = np.diff(np.append(self.block_starts, len(self.block_of)))
+        self.blocks = -(-n // BLOCK)
         self.weights = np.zeros(len(queries.vocabulary))
+        self.skipped = 0
 
     def full(self, docs: np.ndarray) -> np.ndarray:
         """Scores of documents from their forward lists, under self.weights."""
@@ -125,47 +153,79 @@ class Shard:
         at = _spread(self.doc_ends[docs], lengths)
         return np.bincount(np.repeat(np.arange(len(docs)), lengths), weights=self.doc_gains[at] * self.weights[self.doc_terms[at]], minlength=len(docs))
 
-    def _walk(self, lists: np.ndarray, weights: np.ndarray) -> np.ndarray:
-        """Sum over lists of weight x gain for every document of the shard."""
-        sizes = self.sizes[lists]
-        spans = list(zip(self.starts[lists].tolist(), (self.starts[lists] + sizes).tolist()))
-        gains = np.concatenate([self.gains[a:b] for a, b in spans])
-        gains *= np.repeat(weights, sizes)
-        return np.bincount(np.concatenate([self.docs[a:b] for a, b in spans]), weights=gains, minlength=len(self.ids))
+    def _walk(self, parts: np.ndarray, weights: np.ndarray) -> np.ndarray:
+        """Sum of weight x gain over the postings of some (list, block) parts, for every document of the shard."""
+        starts, sizes = self.cut[parts], self.cut[parts + 1] - self.cut[parts]
+        at = _spread(starts, sizes)
+        return np.bincount(self.docs[at], weights=self.gains[at] * np.repeat(weights, sizes), minlength=len(self.ids))
 
     def best(self, terms: np.ndarray, weights: np.ndarray, k: int, floor: float) -> tuple[np.ndarray, np.ndarray]:
         """Positions and scores of all documents that may be among the k best, given the k-th best score so far (0: none yet)."""
-        at = np.searchsorted(self.terms, terms)
-        here = at < len(self.terms)
-        here[here] = self.terms[at[here]] == terms[here]
-        lists, w = at[here], weights[here]
+        at = self.list_of[terms]
+        lists, w = at[at >= 0], weights[at >= 0]
         if not len(lists):
+            self.skipped += self.blocks
             return np.zeros(0, np.int64), np.zeros(0)
         self.weights[terms] = weights
-        tops = w * self.tops[lists]
-        order = np.argsort(-tops, kind="stable")
-        lists, w, tops = lists[order], w[order], tops[order]
-        low = floor - 1e-9 * max(1.0, floor)
-        # pivot: the weak lists' maxima together stay below the floor
-        strong = len(tops) - int((np.cumsum(tops[::-1]) < low).sum())
-        sums = self._walk(lists[:strong], w[:strong]) if strong else np.zeros(len(self.ids))
-        alive = np.flatnonzero(sums > 0)
-        if strong < len(lists) and len(alive):
-            rest, rw = lists[strong:], w[strong:]
-            at = _spread(self.block_starts[rest], self.block_sizes[rest])
-            bound = np.bincount(self.block_of[at], weights=self.block_top[at] * np.repeat(rw, self.block_sizes[rest]), minlength=len(self.ids) // BLOCK + 1)
-            alive = alive[sums[alive] + bound[alive // BLOCK] >= low]
-            if len(alive) > 4 * k:  # many are left: adding the weak lists costs less than their forward lists
-                sums += self._walk(rest, rw)
-                strong = len(lists)
-        if strong == len(lists):
-            alive = alive[sums[alive] >= low]
-            if len(alive) > k:
-                edge = np.partition(sums[alive], len(alive) - k)[len(alive) - k]
-                alive = alive[sums[alive] >= edge - 1e-9 * max(1.0, edge)]
-        scores = self.full(alive)  # in one order of terms, so that equal documents score alike in every shard
+        order = np.argsort(-w * self.tops[lists], kind="stable")
+        lists, w = lists[order], w[order]
+        weak = np.cumsum((w * self.tops[lists])[::-1])[::-1]  # what a list and all after it can add
+        parts = _spread(self.block_starts[lists], self.block_sizes[lists])  # (list, block) pairs, strong lists first
+        upto = np.cumsum(self.block_sizes[lists])
+        wide, own = np.repeat(w, self.block_sizes[lists]), self.block_of[parts]
+        lift = self.block_top[parts] * wide
+        bound = np.bincount(own, weights=lift, minlength=self.blocks)
+        todo = bound > 0
+        found, scores, best = [], [], np.zeros(0)
+        run = 1 if not floor else RUN  # with no score to beat yet, the block of the largest bound comes first
+        while True:
+            low = floor - 1e-9 * max(1.0, floor)
+            ahead = np.flatnonzero(todo & (bound >= low))
+            if not len(ahead):
+                break
+            chosen = ahead[:run] if run > 1 else np.array([bound.argmax()])
+            todo[chosen] = False
+            if run > 1:  # blocks before the last of the run that are not in it stay below the k-th best score, which only rises
+                self.skipped += int(todo[: chosen[-1]].sum())
+                todo[: chosen[-1]] = False
+            run = RUN if run == 1 else 4 * run
+            strong = max(1, int((weak >= low).sum()))
+            if len(chosen) < self.blocks:
+                pick = np.zeros(self.blocks, bool)
+                pick[chosen] = True
+                inside = np.flatnonzero(pick[own])
+                edge = int(np.searchsorted(inside, upto[strong - 1]))
+                first, rest = inside[:edge], inside[edge:]
+            else:
+                first, rest = np.arange(upto[strong - 1]), np.arange(upto[strong - 1], len(parts))
+            sums = self._walk(parts[first], wide[first])
+            alive = np.flatnonzero(sums > 0)
+            if len(rest):
+                more = np.bincount(own[rest], weights=lift[rest], minlength=self.blocks)
+                alive = alive[sums[alive] + more[alive // BLOCK] >= low]
+                if len(alive) > 4 * k:  # many are left: adding the weak lists costs less than their forward lists
+                    sums += self._walk(parts[rest], wide[rest])
+                    rest = rest[:0]
+            if not len(rest):
+                alive = alive[sums[alive] >= low]
+                if len(alive) > k:
+                    edge_score = np.partition(sums[alive], len(alive) - k)[len(alive) - k]
+                    alive = alive[sums[alive] >= edge_score - 1e-9 * max(1.0, edge_score)]
+            if len(alive):
+                got = self.full(alive)  # in one order of terms, so that equal documents score alike in every shard
+                found.append(alive)
+                scores.append(got)
+                best = np.concatenate([best, got])
+                if len(best) >= k:
+                    best = np.partition(best, len(best) - k)[len(best) - k :]
+                    floor = max(floor, float(best[0]))
+        self.skipped += int(todo.sum())
         self.weights[terms] = 0
-        return alive, scores
+        if not found:
+            return np.zeros(0, np.int64), np.zeros(0)
+        docs, scores = np.concatenate(found), np.concatenate(scores)
+        keep = scores >= floor
+        return docs[keep], scores[keep]
 
 
 def _matched(index: DataFrame, sent) -> np.ndarray:
@@ -190,43 +250,50 @@ def _searcher(sent, k: int, shard: int):
     def search(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         q = sent.value
         top: list[list[tuple[float, int]]] = [[] for _ in q.ids]
-        held, n = [], 0
+        held, n, postings = [], 0, 0
 
         def run() -> None:
             cols = pa.Table.from_batches(held).combine_chunks()
+            held.clear()
             flat, lengths = _lists(cols.column("terms").combine_chunks())
             s = Shard(q, cols.column("doc_id").to_numpy(), flat, _lists(cols.column("counts").combine_chunks())[0], lengths, cols.column("length").to_numpy())
+            del cols, flat, lengths
             for i in range(len(q.ids)):
                 floor = -top[i][-1][0] if len(top[i]) == k else 0.0
                 at, scores = s.best(*q.of(i), k, floor)
-                if len(at) > k:
-                    edge = np.partition(scores, len(at) - k)[len(at) - k]
-                    at, scores = at[scores >= edge], scores[scores >= edge]
                 if len(at):
                     top[i] = sorted(top[i] + [(-x, d) for x, d in zip(scores.tolist(), s.ids[at].tolist())])[:k]
 
         for b in it:
-            for lo in range(0, b.num_rows, shard):
-                held.append(b.slice(lo, shard))
+            for lo in range(0, b.num_rows, SLICE):
+                held.append(b.slice(lo, SLICE))
                 n += held[-1].num_rows
-                if n >= shard:
+                postings += int(pa.compute.sum(pa.compute.list_value_length(held[-1].column("terms"))).as_py() or 0)
+                if n >= shard or postings >= SHARD_POSTINGS:
                     run()
-                    held, n = [], 0
+                    n = postings = 0
         if n:
             run()
         rows = [(int(q.ids[i]), d, -s) for i, found in enumerate(top) for s, d in found]
+        del top, held
+        give_back()
         yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], t) for j, t in enumerate((pa.int64(), pa.int64(), pa.float64()))], names=["query_id", "doc_id", "score"])
 
     return search
 
 
-def search(docs: DataFrame, is_query, k: int = 10, pack: int = PACK, shard: int = SHARD) -> DataFrame:
-    """query_id, rank, doc_id, score: the k best documents of each query, a query being the whole text of a row for which is_query holds."""
+def search(docs: DataFrame, is_query, k: int = 10, pack: int | None = None, shard: int = SHARD, pack_terms: int = PACK_TERMS) -> DataFrame:
+    """query_id, rank, doc_id, score: the k best documents of each query, a query being the whole text of a row for which is_query holds.
+
+    Queries go in packs of bounded terms (and of at most pack queries, if given), each against all shards; what a pack finds is written
+    before the next begins.
+    """
     spark = docs.sparkSession
     index = materialise(forward_index(docs), "bm25-index")
-    n, words, asked = index.agg(F.count(F.lit(1)), F.sum("length"), F.count_if(is_query)).first()
-    packs = max(1, -(-asked // max(1, pack // 2)))
-    found = []
+    n, words, asked, terms = index.agg(F.count(F.lit(1)), F.sum("length"), F.count_if(is_query), F.sum(F.when(is_query, F.col("width")))).first()
+    packs = max(1, -(-(terms or 0) // max(1, pack_terms // 2)), -(-asked // max(1, pack // 2)) if pack else 1)
+    folder, schema = fresh_dir(spark, "bm25-found"), "query_id bigint, doc_id bigint, score double"
+    spark.createDataFrame([], schema).write.parquet(folder)
     for p in range(packs if words else 0):
         rows = index.where(is_query & (F.pmod(F.xxhash64("doc_id"), F.lit(packs)) == p)).select("doc_id", "terms").toArrow().combine_chunks()
         if not rows.num_rows:
@@ -234,12 +301,8 @@ def search(docs: DataFrame, is_query, k: int = 10, pack: int = PACK, shard: int
         flat, lengths = _lists(rows.column("terms").combine_chunks())
         queries = Queries(rows.column("doc_id").to_numpy(), flat, lengths)
         queries.weigh(_matched(index, spark.sparkContext.broadcast(queries)), n, words / n)
-        found.append(index.mapInArrow(_searcher(spark.sparkContext.broadcast(queries), k, shard), "query_id bigint, doc_id bigint, score double"))
-    if not found:
-        return spark.createDataFrame([], "query_id bigint, rank int, doc_id bigint, score double")
-    every = found[0]
-    for more in found[1:]:
-        every = every.unionByName(more)
+        index.mapInArrow(_searcher(spark.sparkContext.broadcast(queries), k, shard), schema).write.mode("append").parquet(folder)
+    every = spark.read.schema(schema).parquet(folder)
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "doc_id")
     return every.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "doc_id", "score")
 

@@ -368,3 +368,22 @@ def test_tables_of_trials():
     with pytest.raises(MemoryError):
         trials._room(trials.CELLS_LIMIT + 1)
     assert pa.list_(pa.int32()) == trials._TYPES["array<int>"]
+
+
+@pytest.mark.parametrize("mode", ["maximal", "subset"])
+def test_pairs_met_in_the_place_of_a_table(mode, monkeypatch):
+    """The same blocks from the pairs; a study's run with more cells than a table may have is no failure (it was one, and SQL expects its edges)."""
+    from edgeblocks.plans import trials
+
+    rnd = np.random.default_rng(5)
+    key = np.unique(rnd.integers(0, 300 * 300, 3000))
+    u, v = key // 300, 300 + key % 300
+    a = trials.Arrays(u, v, 600, np.lexsort((u, v)))
+    runs = []
+    for cells in (1 << 26, 0):
+        monkeypatch.setattr(buffered, "TABLE_CELLS", cells)
+        monkeypatch.setattr(trials, "CELLS_LIMIT", 100)
+        info = {}
+        runs.append(trials._buffered(a, 32, metrics.block_cap(len(u), 32), info, 50, mode=mode))
+    assert (runs[0] == runs[1]).all()
+    assert 600 < info["cells"] - 32 < 600 * 32

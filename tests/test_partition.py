@@ -206,3 +206,23 @@ def test_quality_follows_the_reported_order(spark, small):
     maximal, none = rf(buffered.partition(g, 8, delta=g.n // 16, mode="maximal")), rf(buffered.partition(g, 8, delta=g.n // 16, mode="none"))
     assert whole <= small_buffer <= none and maximal <= none
     assert max(small_buffer, rf(onthefly.partition(g, 8))) < rf(baselines.hash_edges(g, 8))
+
+
+@pytest.mark.parametrize("mode,alpha,lanes", [("minimal", "dynamic_low", 1), ("maximal", "dynamic", 1), ("subset", "batch", 3)])
+def test_jobs_take_many_rounds(spark, small, mode, alpha, lanes, monkeypatch):
+    """A job per chunk of rounds, not per round; the blocks do not depend on how rounds fall into chunks."""
+    from edgeblocks.plans.graphs import graph
+
+    g, got, merges = graph(spark, small, "trade_region"), [], []
+    add = buffered.RoundMemory.add
+    monkeypatch.setattr(buffered.RoundMemory, "add", lambda self, placed: (merges.append(1), add(self, placed)))
+    for edges in (10**9, 150, 60):
+        monkeypatch.setattr(buffered, "CHUNK_EDGES", edges)
+        merges.clear()
+        p = buffered.partition(g, 4, delta=16, mode=mode, alpha=alpha, lanes=lanes, exec="jobs", r=2)
+        got.append((len(merges), sorted(map(tuple, p.assign.select("eid", "block").collect()))))
+    assert got[0][1] == got[1][1] == got[2][1]
+    assert got[0][0] == 0 < got[1][0] < got[2][0]
+    if lanes == 1:
+        one = buffered.partition(g, 4, delta=16, mode=mode, alpha=alpha, r=2)
+        assert got[0][1] == sorted(map(tuple, one.assign.select("eid", "block").collect()))

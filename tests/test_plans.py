@@ -37,3 +37,18 @@ def test_relational_stages_stay_in_the_jvm(spark, small):
     own = batching.own_edges(g.edges, 64)
     for df in (linegraph.size_law(own), batching.batch_vertices(own, 64), baselines.dbh(g, 8), metrics.lambda_histogram(baselines.dbh(g, 8))):
         assert not re.search("Python|Arrow|CartesianProduct|BroadcastNestedLoopJoin", plan(df))
+
+
+def test_neighbours_are_found_in_slices(spark, tmp_path, monkeypatch):
+    """A task compares a slice of vectors with a pack, never a whole Arrow batch; ties go to the smaller id."""
+    import numpy as np
+
+    from edgeblocks.plans import graphs
+
+    r = np.arange(6.0) % 2
+    assert graphs._largest(r, 4).tolist() == [1, 3, 5, 0] and graphs._largest(r, 9).tolist() == [1, 3, 5, 0, 2, 4]
+    x = np.random.default_rng(3).integers(-2, 3, (70, 4)) + np.array([0.5, 0, 0, 0])
+    spark.createDataFrame([(i * 3 % 70, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>").write.parquet(str(tmp_path / "embeddings.parquet"))
+    whole = sorted(map(tuple, graphs._knn(spark, str(tmp_path), 5).collect()))
+    monkeypatch.setattr(graphs, "SLICE", 7)
+    assert whole == sorted(map(tuple, graphs._knn(spark, str(tmp_path), 5).collect())) and len(whole) == 350

@@ -387,3 +387,25 @@ def test_pairs_met_in_the_place_of_a_table(mode, monkeypatch):
         runs.append(trials._buffered(a, 32, metrics.block_cap(len(u), 32), info, 50, mode=mode))
     assert (runs[0] == runs[1]).all()
     assert 600 < info["cells"] - 32 < 600 * 32
+
+
+def test_kernels_hold_arrays_of_edges(monkeypatch):
+    """Edges are Python numbers only a slice at a time, and a vertex is no list of blocks."""
+    import tracemalloc
+
+    from edgeblocks.operators import sequential
+
+    rnd = np.random.default_rng(2)
+    key = np.unique(rnd.integers(0, 4000 * 4000, 40000))
+    u, v = (key // 4000).astype(np.int32), (4000 + key % 4000).astype(np.int32)
+    kept = {}
+    monkeypatch.setattr(sequential, "SLICE", 256, raising=False)
+    monkeypatch.setattr(sequential, "run", lambda g, k, kernel, *a: kept.setdefault(len(kept), kernel))
+    baselines.neighbour_expansion(None, 8, sample=0.01)
+    baselines.restricted_buffer(None, 8, 64)
+    for kernel in (*kept.values(), baselines.hdrf_kernel(scan="seen"), baselines.hdrf_kernel(degrees="exact", scan="seen"), baselines.two_phase_kernel(scan="seen"), baselines.two_phase_kernel("linear", scan="seen")):
+        tracemalloc.start()
+        kernel(u, v, 8000, 8, np.full(8, metrics.block_cap(len(u), 8)))
+        peak = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        assert peak < 90 * len(u)

@@ -41,3 +41,10 @@ def test_rows(spark, small, name):
 
 def test_every_oracle_has_a_query():
     assert not set(ORACLES) - set(QUERIES)
+
+
+@pytest.mark.parametrize("name", ["alpha_static", "alpha_vertex", "best_of_published", "block_cap", "coarsest_sizes", "fennel_gain_grid", "improvement_published", "model_none", "performance_profile_large_k", "performance_profile_published", "pivot_published", "relative_published"])
+def test_spark_reads_a_table(spark, small, name):
+    """No rows made on the driver, no empty plan."""
+    df = QUERIES[name](spark, small)
+    assert df.inputFiles() and df.count() > 0

@@ -52,3 +52,19 @@ def test_neighbours_are_found_in_slices(spark, tmp_path, monkeypatch):
     whole = sorted(map(tuple, graphs._knn(spark, str(tmp_path), 5).collect()))
     monkeypatch.setattr(graphs, "SLICE", 7)
     assert whole == sorted(map(tuple, graphs._knn(spark, str(tmp_path), 5).collect())) and len(whole) == 350
+
+
+def test_trials_leave_edges_off_the_driver(spark, small, monkeypatch):
+    """The driver collects no edges; a run is the same however its graph's trials fall to tasks."""
+    from edgeblocks.plans import trials
+
+    graphs = {n: graph(spark, small, n) for n in ("trade_region", "geo")}
+    monkeypatch.setattr(type(graphs["geo"].edges), "toArrow", lambda self: (_ for _ in ()).throw(AssertionError("edges on the driver")))
+    runs = [trials.Trial(alg, n, k, alg) for n in graphs for alg in ("hash", "onthefly") for k in (2, 4)]
+    got = []
+    for tasks in (1, 8):
+        monkeypatch.setattr(trials, "GRAPH_TASKS", tasks, raising=False)
+        done = trials.run_all(spark, graphs, runs).collect()
+        got.append({(r.alg, r.graph, r.k): (r.edges, r.blocks, r.error) for r in done})
+    assert got[0] == got[1] and len(got[0]) == 8
+    assert all(len(b) == m == graphs[n].m and e is None for (_, n, _), (m, b, e) in got[0].items())

@@ -226,3 +226,23 @@ def test_jobs_take_many_rounds(spark, small, mode, alpha, lanes, monkeypatch):
     if lanes == 1:
         one = buffered.partition(g, 4, delta=16, mode=mode, alpha=alpha, r=2)
         assert got[0][1] == sorted(map(tuple, one.assign.select("eid", "block").collect()))
+
+
+@pytest.mark.parametrize("seed", range(6))
+def test_refinement_by_table_makes_the_moves_of_the_plain_one(seed):
+    rng = np.random.default_rng(seed)
+    n, k, links = 300, (2, 8, 40)[seed % 3], 900
+    a, b = rng.integers(0, n, links), rng.integers(0, n, links)
+    a, b = a[a != b], b[a != b]
+    items = rng.integers(0, n, 200)
+    level = multilevel.Level(rng.integers(1, 5, n), a, b, rng.integers(1, 4, len(a)).astype(float), items, rng.integers(0, k, 200), np.ones(200))
+    first = rng.integers(0, k, n)
+    loads = np.bincount(first, weights=level.weights, minlength=k).astype(np.int64)
+    limits = np.full(k, int(loads.max()) + 3)
+    got = []
+    for run in (multilevel._refine_dense, multilevel._refine_sparse):
+        blocks, held = first.copy(), loads.copy()
+        moves = run(level, blocks, held, limits, 0.05, 0.5, 20, seed)
+        assert (np.bincount(blocks, weights=level.weights, minlength=k) == held).all()
+        got.append((moves, blocks.tolist(), held.tolist()))
+    assert got[0] == got[1] and got[0][0] > 0

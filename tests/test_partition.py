@@ -246,3 +246,18 @@ def test_refinement_by_table_makes_the_moves_of_the_plain_one(seed):
         assert (np.bincount(blocks, weights=level.weights, minlength=k) == held).all()
         got.append((moves, blocks.tolist(), held.tolist()))
     assert got[0] == got[1] and got[0][0] > 0
+
+
+@pytest.mark.parametrize("mode, alpha", [("minimal", "batch"), ("minimal", "dynamic_low"), ("maximal", "dynamic"), ("subset", "static"), ("none", "batch")])
+def test_streamed_batches_give_the_blocks_of_one_task(spark, small, mode, alpha, monkeypatch):
+    from edgeblocks.plans.graphs import graph
+
+    g = graph(spark, small, "part_order")
+    monkeypatch.setattr(buffered, "_rounds", None)  # a graph above the bound of one task must not need a job per chunk
+    rows = []
+    for bound in (1 << 30, 10):
+        monkeypatch.setattr(buffered, "SINGLE_TASK_EDGES", bound)
+        p = buffered.partition(g, 12, delta=64, mode=mode, alpha=alpha, r=2)
+        figures = ["batch", "items", "links", "block_links", "cut", "scores", "moves", "gamma"]
+        rows.append((sorted(map(tuple, p.assign.collect())), sorted(map(tuple, p.stats.select(*figures).collect()))))
+    assert rows[0] == rows[1] and len(rows[0][0]) == g.m and len(rows[0][1]) > 10

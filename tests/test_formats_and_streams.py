@@ -183,3 +183,45 @@ def test_components_inside_blocks(spark):
         parent[max(a, b)] = min(a, b)
     got = {r.v: r.component for r in analytics.components(baselines.hash_edges(g, 5)).collect()}
     assert got == {x: find(x) for x in range(g.n)}
+
+
+def test_placer_reads_and_writes_pages():
+    """Blocks as with all of the state in one dictionary, and no more accesses to the state than pages."""
+    import numpy as np
+    import pandas as pd
+
+    class State:
+        def __init__(self):
+            self.held, self.calls = {}, 0
+
+        def __getattr__(self, name):
+            def call(*args):
+                self.calls += 1
+                key = args[0] if name in ("getValue", "containsKey", "updateValue") else ()
+                if name in ("updateValue", "update"):
+                    self.held[key] = args[-1]
+                return key in self.held if name in ("containsKey", "exists") else self.held.get(key)
+
+            return call
+
+    class Handle:
+        def __init__(self):
+            self.map, self.value = State(), State()
+
+        def getMapState(self, *_):  # noqa: N802
+            return self.map
+
+        def getValueState(self, *_):  # noqa: N802
+            return self.value
+
+    rng = np.random.default_rng(4)
+    n, handle, load, last, calls = 3 * stream.PAGE + 7, Handle(), np.zeros(4, np.int64), {}, []
+    for _ in range(3):  # micro-batches
+        frames = [pd.DataFrame({"eid": range(500), "u": rng.integers(0, n - 1, 500), "v": n - 1}) for _ in range(2)]
+        placer = stream.OnePassPlacer(4, 3000, n, 1, "0.03")
+        placer.init(handle)
+        before = handle.map.calls
+        got = pd.concat(placer.handleInputRows(("lane",), iter(frames), None))
+        calls.append(handle.map.calls - before)
+        assert got["block"].tolist() == pd.concat([stream._placed(f, load, last, 4, 3000, n, 1, "0.03") for f in frames])["block"].tolist()
+    assert max(calls) <= 3 * 4

@@ -202,6 +202,37 @@ def test_blocks_are_skipped():
     assert s.skipped > 0.6 * 2 * len(pick) * s.blocks
 
 
+def test_queries_side_by_side():
+    """Queries of one kind that go over a shard together find what each finds alone, near ties below single precision too, and skip blocks."""
+    rng = np.random.default_rng(4)
+    texts = [" ".join([f"k{i % 4}"] * 5 + [f"k{i % 4}w{x}" for x in rng.zipf(1.4, 40)] + [f"c{x}" for x in rng.zipf(1.3, 4)]) for i in range(3000)]
+    texts[40:400:4] = [" ".join(["k0"] * 20000 + [f"y{i}y{x}" for x in range(i)]) for i in range(90)]
+    got = [bm25.terms_of(t) for t in texts]
+    sizes = np.array([int(c.sum()) for _, c in got])
+    pick = [*range(0, 800, 40), 1, 2, 3]
+    q = bm25.Queries(np.array(pick), np.concatenate([got[i][0] for i in pick]), np.array([len(got[i][0]) for i in pick]))
+    at, known = q.number(np.concatenate([t for t, _ in got]))
+    q.weigh(np.bincount(at[known], minlength=len(q.vocabulary)), 3000, sizes.mean())
+    s = bm25.Shard(q, np.arange(3000), np.concatenate([t for t, _ in got]), np.concatenate([c for _, c in got]), np.array([len(t) for t, _ in got]), sizes)
+    assert 0 < s.columns < len(s.sizes) and s.block_table.shape[1] > s.columns  # lists inside and outside both tables
+    every = np.zeros((len(pick), 3000))
+    for i in range(len(pick)):
+        s.weights[q.of(i)[0]] = q.of(i)[1]
+        every[i] = s.full(np.arange(3000))
+        s.weights[q.of(i)[0]] = 0
+    edges = np.sort(every, axis=1)[:, -10]
+    best = np.sort(every[1])[-20:]  # of the query k0
+    assert ((np.diff(best) > 0) & (np.diff(best) < best[1:] * 2.0**-23)).any()  # scores that single precision hardly tells apart
+    for floors in (np.zeros(len(pick)), edges, np.where(np.arange(len(pick)) % 2, edges, 0), edges * 0.9):
+        s.skipped = 0
+        for i, (found, scores) in enumerate(s.best_of([q.of(i) for i in range(len(pick))], 10, floors)):
+            assert sorted(found.tolist()) == np.flatnonzero(every[i] >= edges[i]).tolist() and np.array_equal(scores, every[i][found])
+        for i in range(0, 20, 5):
+            s.best(*q.of(i), 10, floors[i])
+        assert s.skipped > 0
+    assert all(not len(found) for found, _ in s.best_of([q.of(0), q.of(1)], 10, every.max() * np.array([2, 2])))
+
+
 # ---- language
 
 def test_languages_of_held_out_documents(spark):

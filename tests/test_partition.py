@@ -3,6 +3,8 @@
 import itertools
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -261,3 +263,28 @@ def test_streamed_batches_give_the_blocks_of_one_task(spark, small, mode, alpha,
         figures = ["batch", "items", "links", "block_links", "cut", "scores", "moves", "gamma"]
         rows.append((sorted(map(tuple, p.assign.collect())), sorted(map(tuple, p.stats.select(*figures).collect()))))
     assert rows[0] == rows[1] and len(rows[0][0]) == g.m and len(rows[0][1]) > 10
+
+
+@pytest.mark.parametrize("order, alpha", [("eid", "batch"), ("nbr", "dynamic_low"), ("random", "dynamic")])
+def test_streams_take_clusters_made_before(order, alpha, monkeypatch):
+    """Batches are clustered apart, in any tasks; the task that carries the state clusters nothing and gives the same blocks."""
+    rng = np.random.default_rng(7)
+    pairs = np.unique(np.sort(rng.integers(0, 600, (9000, 2)), axis=1), axis=0)
+    u, v = pairs[pairs[:, 0] < pairs[:, 1]].T
+    eid = np.arange(len(u)) * 3
+    o = buffered.Options(6, 50, -(-len(u) * 103 // 600), len(u), alpha=alpha, order=order, measure=False)
+    want, batch, stats, _ = buffered.run_batches(eid, u, v, o)
+    parts = []
+    for task in range(3):
+        own = np.flatnonzero(batch % 3 == task)
+        own = own[np.lexsort((eid[own], batch[own]))]
+        rows = pa.table({"batch": batch[own], "eid": eid[own], "u": u[own], "v": v[own]})
+        parts += buffered._clustered(o)(iter(rows.to_batches(max_chunksize=700)))
+    assert max(len(r) for p in parts for r in p.column("eid").to_pylist()) <= buffered.PIECE and len(parts) == len(stats)
+    assert any(len(r) > e for p in parts for r, e in zip(p.column("labels").to_pylist(), map(len, p.column("eid").to_pylist())))  # more than one level
+    pieces = pa.Table.from_batches(parts).sort_by([("batch", "ascending"), ("piece", "ascending")]).combine_chunks()
+    monkeypatch.setattr(multilevel, "cluster", None)
+    got = pa.Table.from_batches(list(buffered._streamed(o, 600)(iter(pieces.to_batches(max_chunksize=5)))))
+    placed = got.filter(pa.compute.is_valid(got.column("eid")))
+    assert dict(zip(placed.column("eid").to_pylist(), placed.column("block").to_pylist())) == dict(zip(eid.tolist(), want.tolist()))
+    assert [x for x in got.column("s_moves").to_pylist() if x is not None] == [s["moves"] for s in stats]

@@ -409,3 +409,18 @@ def test_kernels_hold_arrays_of_edges(monkeypatch):
         peak = tracemalloc.get_traced_memory()[1]
         tracemalloc.stop()
         assert peak < 90 * len(u)
+
+
+def test_one_lane_at_every_size(spark, small, monkeypatch):
+    """The stream order does not hang on the number of edges: no method takes lanes unasked, and a lane in a file gives the same blocks."""
+    from edgeblocks.operators import sequential
+    from edgeblocks.plans.graphs import graph
+
+    g = graph(spark, small, "part_order")
+    for run in (lambda: baselines.hdrf(g, 4, degrees="exact"), lambda: baselines.two_phase(g, 4), lambda: baselines.two_phase(g, 4, "linear"), lambda: baselines.restricted_buffer(g, 4)):
+        got = []
+        for edges, task in ((20_000_000, 1 << 20), (100, 200)):
+            monkeypatch.setattr(sequential, "LANE_EDGES", edges)
+            monkeypatch.setattr(sequential, "SORTED_EDGES", task, raising=False)
+            got.append(sorted(tuple(r) for r in run().assign.select("eid", "block", "batch").collect()))
+        assert got[0] == got[1] and len(got[0]) == g.m > 200

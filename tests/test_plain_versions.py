@@ -424,3 +424,37 @@ def test_one_lane_at_every_size(spark, small, monkeypatch):
             monkeypatch.setattr(sequential, "SORTED_EDGES", task, raising=False)
             got.append(sorted(tuple(r) for r in run().assign.select("eid", "block", "batch").collect()))
         assert got[0] == got[1] and len(got[0]) == g.m > 200
+
+
+@settings(max_examples=40, deadline=None)
+@given(GRAPHS, st.integers(1, 7), st.integers(1, 6))
+def test_restricted_buffer(edges, k, buffer):
+    """Edges without a met end wait; the buffer is emptied by degree; blocks are scored as in HDRF, without a table of vertices times blocks."""
+    edges, n = dense(edges)
+    order, cap = stream(edges), metrics.block_cap(len(edges), k)
+    degree = {x: sum(x in e for e in edges) for x in range(n)}
+    copies, loads, held, plain = defaultdict(set), [0] * k, [], {}
+
+    def put(e):
+        plain[e] = plain_hdrf([e], k, cap, degree, copies, loads)[0]
+
+    def flush():
+        for e in sorted(held, key=lambda e: (degree[e[0]] + degree[e[1]], order.index(e))):
+            put(e)
+        held.clear()
+
+    for e in order:
+        if copies[e[0]] or copies[e[1]] or not any(loads):
+            put(e)
+        else:
+            held.append(e)
+            if len(held) >= buffer:
+                flush()
+    flush()
+    u, v = (np.array([e[i] for e in order]) for i in (0, 1))
+    kept = []
+    with pytest.MonkeyPatch.context() as m:
+        m.setattr(baselines.sequential, "run", lambda g, k, kernel, *a: kept.append(kernel))
+        m.setattr(baselines, "_Greedy", None)
+        baselines.restricted_buffer(None, k, buffer)
+        assert list(kept[0](u, v, n, k, np.full(k, cap))) == [plain[e] for e in order]

@@ -48,3 +48,11 @@ def test_spark_reads_a_table(spark, small, name):
     """No rows made on the driver, no empty plan."""
     df = QUERIES[name](spark, small)
     assert df.inputFiles() and df.count() > 0
+
+
+def test_bounds_of_every_graph(duck):
+    """batch_bounds leaves out no graph, and no mode in four lanes."""
+    from edgeblocks.plans.graphs import NAMES
+
+    rows = duck.execute(ORACLES["batch_bounds"]).fetchall()
+    assert {r[:3] for r in rows} == {(n, mode, lanes) for n in NAMES for mode in ("minimal", "subset", "maximal") for lanes in (1, 4)}

@@ -2,6 +2,8 @@
 
 import re
 
+from pyspark.sql import functions as F
+
 from edgeblocks.operators import baselines, batching, linegraph, metrics
 from edgeblocks.plans.graphs import graph, pairs_of
 
@@ -68,3 +70,18 @@ def test_trials_leave_edges_off_the_driver(spark, small, monkeypatch):
         got.append({(r.alg, r.graph, r.k): (r.edges, r.blocks, r.error) for r in done})
     assert got[0] == got[1] and len(got[0]) == 8
     assert all(len(b) == m == graphs[n].m and e is None for (_, n, _), (m, b, e) in got[0].items())
+
+
+def test_blocks_of_trials_are_not_broadcast(spark, small):
+    """Blocks meet their edges by a shuffle whatever their files' size, a row for some hundred edges; every edge is there once for each trial."""
+    from edgeblocks.plans import trials
+
+    graphs = {n: graph(spark, small, n) for n in ("part_order", "geo")}
+    done = trials.run_all(spark, graphs, [trials.Trial("hash", n, k, "hash") for n in graphs for k in (2, 4)])
+    both = trials._joined(graphs, done.withColumn("trial", F.col("k") + F.length("graph")))
+    assert "Broadcast" not in plan(both) and both.count() == 2 * sum(g.m for g in graphs.values())
+    wrong = both.where(F.col("block") != F.pmod(F.col("u") * 31 + F.col("v") * 17, F.col("k"))).count()
+    assert not wrong
+    for r in trials.measured(spark, graphs, done).collect():
+        whole = metrics.replication(baselines.hash_edges(graphs[r.graph], r.k), graphs[r.graph]).first()
+        assert (r.replicas, r.placed, r.bad_blocks) == (whole.replicas, graphs[r.graph].m, 0)
